@@ -3,12 +3,18 @@
 from __future__ import annotations
 
 from .bpe import op2_byte_bpe
+from .langid import op6_language_id
 from .simhash import op3_simhash_near_dedup
+from .suffix_dedup import op5_suffix_dedup
 from .url_rules import OP9_SQL, op9_url_rules
+from .wav_media import op7_wav_fingerprints
 
 QUERIES = {
     "op2_byte_bpe": op2_byte_bpe,
     "op3_simhash_near_dedup": op3_simhash_near_dedup,
+    "op5_suffix_dedup": op5_suffix_dedup,
+    "op6_language_id": op6_language_id,
+    "op7_wav_fingerprints": op7_wav_fingerprints,
     "op9_url_rules": op9_url_rules,
 }
 
