@@ -299,7 +299,7 @@ def encode_documents(
             for parts in codec.encode_texts(batch["text"].tolist()):
                 ids = list(chain.from_iterable([p[0] for p in parts]))
                 said = " ".join([p[1] for p in parts])
-                rows.append((len(ids), sha(said.encode()).hexdigest(), sha(codec.decode(ids)).hexdigest(), *([ids] if keep_ids else [])))
+                rows.append((len(ids), sha(said.encode()).hexdigest(), sha(codec.decode(ids)).hexdigest(), *([np.array(ids, dtype=np.int32)] if keep_ids else [])))
             out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256", *(["ids"] if keep_ids else [])])
             out.insert(0, "key", batch["key"].array)
             yield out
