@@ -16,9 +16,10 @@ anywhere else in the table.  The work is split so that no task sees the corpus:
    sets the borders whose common prefix is l, and after level ``length - 1`` the
    borders never set are those with a common prefix of ``length`` or more.
 4. An anchor with more than ``HOT_PIECES`` distinct pieces (a passage that very
-   many documents share, in different surroundings) is split into its windows,
-   each keyed by its own 128-bit hash and counted with partial aggregation, so
-   that no anchor meets in one task.
+   many documents share, in different surroundings) is split into blocks of
+   windows, and where need be into single windows, each keyed by a 128-bit hash
+   of its own bytes and counted with partial aggregation, so that no anchor meets
+   in one task.
 
 Pieces and windows are compared by 128 bits of hash.
 
@@ -41,7 +42,9 @@ from .common import Stage, read_table, slices, text_or_empty
 
 LENGTH, GRAM = 200, 64
 #: Distinct pieces of an anchor that are still expanded together.
-HOT_PIECES = 512
+HOT_PIECES = 4096
+#: Windows counted together where an anchor has more.
+BLOCK = 32
 #: Bytes scanned together, and bytes of one Burrows-Wheeler text.
 SCAN_BYTES, TEXT_BYTES = 1 << 18, 400_000
 _RNG = np.random.default_rng(77)
@@ -109,6 +112,7 @@ def pieces_of(texts: list[bytes], length: int = LENGTH) -> dict[str, np.ndarray]
         "owner": own,
         "start": at - (ends - sizes)[own],
         "windows": windows,
+        "lead": anchor[at] - at,
         "anchor": h64[anchor[at]].view(np.int64),
         "digest": digest.view(np.int64),
     }
@@ -214,7 +218,7 @@ def _runs(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 # --- the distributed job -------------------------------------------------------------
 def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
-    """doc, mark, start, windows, anchor and digest; docs has doc, mark and text."""
+    """doc, mark, start, windows, lead (from the start to the anchor), anchor and digest; docs has doc, mark and text."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -238,18 +242,18 @@ def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
             if found:
                 got = {k: np.concatenate([f[k] for f in found]) for k in found[0]}
                 row = got.pop("row")
-                yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "start", "windows", "anchor", "digest"]]
+                yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "start", "windows", "lead", "anchor", "digest"]]
 
     kind = docs.schema["doc"].dataType.simpleString()
-    return docs.mapInPandas(run, f"doc {kind}, mark long, start int, windows int, anchor long, digest long")
+    return docs.mapInPandas(run, f"doc {kind}, mark long, start int, windows int, lead int, anchor long, digest long")
 
 
 def _cut_pieces(wanted: DataFrame, docs: DataFrame, length: int) -> DataFrame:
-    """The bytes of representative pieces: anchor, digest, copies, piece."""
-    lists = wanted.groupBy("doc", "mark").agg(F.collect_list(F.struct("start", "windows", "anchor", "digest", "copies")).alias("want"))
+    """The bytes of representative pieces: anchor, digest, copies, lead, piece."""
+    lists = wanted.groupBy("doc", "mark").agg(F.collect_list(F.struct("start", "windows", "lead", "anchor", "digest", "copies")).alias("want"))
     joined = docs.join(lists, docs["doc"].eqNullSafe(lists["doc"]) & (docs["mark"] == lists["mark"])).select(docs["text"], "want")
     joined = joined.select(F.encode("text", "UTF-8").alias("bytes"), "want")
-    pieces = F.expr(f"transform(want, w -> struct(w.anchor, w.digest, w.copies, substring(bytes, w.start + 1, w.windows + {length - 1}) AS piece))")
+    pieces = F.expr(f"transform(want, w -> struct(w.anchor, w.digest, w.copies, w.lead, substring(bytes, w.start + 1, w.windows + {length - 1}) AS piece))")
     return joined.select(pieces.alias("pieces")).select(F.explode("pieces").alias("p")).select("p.*")
 
 
@@ -289,31 +293,62 @@ def _expand(pieces: DataFrame, length: int) -> DataFrame:
     return spread.mapInPandas(run, "anchor long, digest long, low array<int>, high array<int>")
 
 
+def block_keys(piece: bytes, lead: int, length: int = LENGTH) -> pd.DataFrame:
+    """Blocks of windows of a piece, cut at fixed distances from the anchor: first and last window, hashes of core and whole.
+
+    All windows of a block, whole or cut off by the piece's end, hold the block's core; so equal windows have equal cores.
+    """
+    _, h128 = _hashes(np.frombuffer(piece, dtype=np.uint8))
+    n = len(piece) - length + 1
+    block = (lead - np.arange(n)) // BLOCK
+    low = np.flatnonzero(np.concatenate(([True], block[1:] != block[:-1])))
+    high = np.append(low[1:], n) - 1
+    number = block[low]
+    core, size = lead - number * BLOCK, length - BLOCK + 1
+    ends = high + length - 128
+    return pd.DataFrame(
+        {
+            "low": low,
+            "high": high,
+            "core1": _mixed(h128[core], h128[core + size - 128], number).view(np.int64),
+            "core2": _mixed(number, h128[core + size - 128], h128[core]).view(np.int64),
+            "whole": _mixed(h128[low], h128[ends], lead - low, lead - high).view(np.int64),
+        }
+    )
+
+
 def _split_hot(pieces: DataFrame, length: int) -> DataFrame:
-    """The same as ``_expand`` for anchors with very many pieces: windows are counted by their own hashes."""
+    """The same as ``_expand`` for anchors with very many pieces.
 
-    def windows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    Blocks of windows are counted by their cores.  A core that occurs once holds no
+    repeated window; where all blocks of a core are alike, all their windows
+    repeat; only windows of the other blocks are counted one by one.
+    """
+
+    def blocks(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             for a, b in slices(batch["piece"].map(len).tolist(), SCAN_BYTES):
                 part = batch.iloc[a:b]
-                keys = [window_keys(p, length) for p in part["piece"]]
-                sizes = [len(k[0]) for k in keys]
-                again = np.repeat(np.arange(len(part)), sizes)
-                yield pd.DataFrame(
-                    {
-                        "anchor": part["anchor"].to_numpy()[again],
-                        "digest": part["digest"].to_numpy()[again],
-                        "at": np.concatenate([np.arange(s) for s in sizes]),
-                        "k1": np.concatenate([k[0] for k in keys]),
-                        "k2": np.concatenate([k[1] for k in keys]),
-                        "copies": part["copies"].to_numpy()[again],
-                    }
-                )
-
-    rows = pieces.mapInPandas(windows, "anchor long, digest long, at int, k1 long, k2 long, copies long")
-    often = rows.groupBy("k1", "k2").agg(F.sum("copies").alias("n")).filter("n > 1")
-    hits = rows.join(often, ["k1", "k2"]).groupBy("anchor", "digest").agg(F.sort_array(F.collect_list("at")).alias("low"))
-    return hits.select("anchor", "digest", "low", F.transform("low", lambda x: x + 1).alias("high"))
+                found = [block_keys(p, lead, length).assign(anchor=x, digest=d, copies=c) for p, lead, x, d, c in part[["piece", "lead", "anchor", "digest", "copies"]].itertuples(index=False)]
+                yield pd.concat(found, ignore_index=True)
+
+    def windows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for piece, x, d, c, wanted in batch[["piece", "anchor", "digest", "copies", "wanted"]].itertuples(index=False):
+                k1, k2 = window_keys(piece, length)
+                at = np.concatenate([np.arange(w["low"], w["high"] + 1) for w in wanted])
+                yield pd.DataFrame({"anchor": x, "digest": d, "at": at, "k1": k1[at], "k2": k2[at], "copies": c})
+
+    rows = pieces.mapInPandas(blocks, "low int, high int, core1 long, core2 long, whole long, anchor long, digest long, copies long")
+    cores = rows.groupBy("core1", "core2").agg(F.sum("copies").alias("n"), F.min("whole").alias("w1"), F.max("whole").alias("w2")).filter("n > 1")
+    open_blocks = rows.join(cores.select("core1", "core2", (F.col("w1") == F.col("w2")).alias("alike")), ["core1", "core2"])
+    alike = open_blocks.filter("alike").select("anchor", "digest", "low", (F.col("high") + 1).alias("high"))
+    wanted = open_blocks.filter("NOT alike").groupBy("anchor", "digest").agg(F.collect_set(F.struct("low", "high")).alias("wanted"))
+    single = pieces.join(wanted, ["anchor", "digest"]).mapInPandas(windows, "anchor long, digest long, at int, k1 long, k2 long, copies long")
+    often = single.groupBy("k1", "k2").agg(F.sum("copies").alias("n")).filter("n > 1")
+    again = single.join(often, ["k1", "k2"]).select("anchor", "digest", F.col("at").alias("low"), (F.col("at") + 1).alias("high"))
+    spans = alike.unionByName(again).groupBy("anchor", "digest").agg(F.collect_set(F.struct("low", "high")).alias("s"))
+    return spans.select("anchor", "digest", F.col("s.low").alias("low"), F.col("s.high").alias("high"))
 
 
 def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None = None) -> DataFrame:
@@ -323,11 +358,15 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
     stage = stage or Stage(docs.sparkSession, "suffix")
     pieces = stage.keep(_scan_pieces(docs, length), "pieces")
     seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.min("digest").alias("d1"), F.max("digest").alias("d2")).filter("n > 1")
-    shared = stage.keep(pieces.join(seen.select("anchor", (F.col("d1") == F.col("d2")).alias("alike")), "anchor"), "shared")
+    # written first, so that both sides of the join are plain exchanges, of which adaptive execution can split a hot anchor
+    seen = stage.keep(seen.select("anchor", (F.col("d1") == F.col("d2")).alias("alike")), "seen")
+    stage.release()
+    shared = stage.keep(pieces.join(seen, "anchor"), "shared")
     stage.drop("pieces")
+    stage.drop("seen")
     stage.release()
     mixed = shared.filter(~F.col("alike"))
-    kinds = mixed.groupBy("anchor", "digest").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "mark", "start", "windows")).alias("at"))
+    kinds = mixed.groupBy("anchor", "digest").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "mark", "start", "windows", "lead")).alias("at"))
     wanted = kinds.select("anchor", "digest", "copies", "at.*")
     cut = stage.keep(_cut_pieces(wanted, docs, length), "cut")
     stage.release()
@@ -406,5 +445,26 @@ def remove_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
     return both.mapInPandas(run, f"doc {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string{extra}").withColumnRenamed("doc", key)
 
 
+def without_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text", length: int = LENGTH) -> DataFrame:
+    """All rows and columns, the text without its repeated bytes (whole characters only)."""
+    found = repeated_spans(keyed(docs, key, text), length=length)
+    found = found.select(F.col("doc").alias("nlops_doc"), F.col("mark").alias("nlops_mark"), F.col("spans").alias("nlops_spans"))
+
+    @F.pandas_udf("string")
+    def cut(texts: pd.Series, spans: pd.Series) -> pd.Series:
+        out = []
+        for t, s in zip(texts, spans):
+            if s is None:
+                out.append(t)
+                continue
+            data = t.encode()
+            out.append(_kept(data, whole_characters(data, merged(s))).decode())
+        return pd.Series(out, dtype=object)
+
+    marked = docs.withColumn("nlops_own", F.xxhash64(text_or_empty(text)))
+    both = marked.join(found, F.col(key).eqNullSafe(F.col("nlops_doc")) & (F.col("nlops_own") == F.col("nlops_mark")), "left")
+    return both.withColumn(text, F.when(F.col("nlops_spans").isNull(), F.col(text)).otherwise(cut(text_or_empty(text), F.col("nlops_spans")))).select(*docs.columns)
+
+
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(read_table(spark, sf_dir, "documents").select("doc_id", "text"), digest_only=True)

@@ -39,7 +39,7 @@ def made_up(seed):
     return texts
 
 
-@pytest.mark.parametrize("hot", [512, 2])
+@pytest.mark.parametrize("hot", [4096, 2])
 @pytest.mark.parametrize("scan", [1 << 18, 1000])
 def test_made_up_texts(spark, monkeypatch, hot, scan):
     monkeypatch.setattr(S, "HOT_PIECES", hot)
