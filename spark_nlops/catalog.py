@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .relational import surround
-from .workloads import operators_catalog
+from .workloads import operators_catalog, studies
 
 Query = Callable[[SparkSession, str], DataFrame]
-MODULES = (operators_catalog, surround)
+MODULES = (operators_catalog, studies, surround)
 
 
 def queries() -> dict[str, Query]:

@@ -9,7 +9,6 @@ growing pause.
 from __future__ import annotations
 
 import json
-import math
 import time
 import urllib.error
 import urllib.request
@@ -81,7 +80,7 @@ class EndpointModel(ModelBackend):
 
     def score(self, df, template, out="score"):
         got = self._call(df, template, "_answer")
-        return got.withColumn(out, F.exp(F.least(F.col("_answer.logp_true"), F.lit(0.0)))).drop("_answer")
+        return got.withColumn(out, F.when(F.col("_answer.logp_true").isNotNull(), F.exp(F.least(F.col("_answer.logp_true"), F.lit(0.0))))).drop("_answer")
 
     def answer(self, df, template, out="answer"):
         """Label and reason side by side."""
@@ -91,6 +90,3 @@ class EndpointModel(ModelBackend):
         reason = F.array_join(F.slice(lines, F.lit(1), F.greatest(F.size(lines) - 1, F.lit(0))), "\n")
         return got.withColumn(out, F.struct(label.alias("label"), reason.alias("reason"))).drop("_answer")
 
-
-def log_probability(p: float) -> float:
-    return math.log(max(p, 1e-300))

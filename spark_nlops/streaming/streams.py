@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -11,11 +12,19 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..models.base import ModelBackend
 from ..operators.filter import route
+from ..staging import shared_folder
 from ..template import Template
 
 
-def read_events(spark: SparkSession, folder: str, files_per_batch: int = 1) -> DataFrame:
-    """The events table as a file stream; times become UTC instants, as watermarks need."""
+def land(df: DataFrame, files: int | None = None) -> str:
+    """Write a table as files of a landing folder, which a file stream can follow."""
+    path = f"{shared_folder(df.sparkSession)}/nlops-landing-{uuid.uuid4().hex[:10]}"
+    (df.repartition(files) if files else df).write.parquet(path)
+    return path
+
+
+def read_events(spark: SparkSession, folder: str, files_per_batch: int = 10_000) -> DataFrame:
+    """A landing folder of events as a file stream; times become UTC instants, as watermarks need."""
     schema = spark.read.parquet(folder).schema
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(folder)
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
