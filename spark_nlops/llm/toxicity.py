@@ -31,7 +31,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc_remainder, read_table, slices, text_or_empty
+from .common import Stage, crc_remainder, read_table, slices, text_or_empty
 
 #: Letters that a digit or sign may stand for.
 LOOKALIKES = {
@@ -201,21 +201,18 @@ def _fit_logistic(x: np.ndarray, y: np.ndarray, penalty: float = 0.3, rounds: in
     return w
 
 
-def telling_words(rows: list[np.ndarray], labels: np.ndarray, most: int = 400) -> np.ndarray:
-    """Features whose presence speaks for label 1: likelihood ratio, lift and support are all large."""
-    toxic = np.bincount(np.concatenate([r for r, y in zip(rows, labels) if y] or [np.zeros(0, int)]), minlength=1 << WORD_BITS)
-    clean = np.bincount(np.concatenate([r for r, y in zip(rows, labels) if not y] or [np.zeros(0, int)]), minlength=1 << WORD_BITS)
-    n1, n0 = int(labels.sum()), int((1 - labels).sum())
+def telling_words(rows: DataFrame, most: int = 400) -> list[int]:
+    """Features whose presence speaks for label 1: likelihood ratio, lift and support are all large. Rows have y and f; counts are aggregated in Spark."""
+    n1, n0 = rows.agg(F.sum("y"), F.sum(1 - F.col("y"))).first()
     if not n1 or not n0:
-        return np.zeros(0, dtype=int)
-    at = np.flatnonzero(toxic >= 3)
-    a, b = toxic[at].astype(float), clean[at].astype(float)
+        return []
     share = n1 / (n1 + n0)
-    ratio = 2 * (a * np.log(a / ((a + b) * share)) + b * np.log(np.maximum(b, 1e-12) / ((a + b) * (1 - share))))
+    a, b = F.col("a").cast("double"), F.col("b").cast("double")
+    ratio = 2 * (a * F.log(a / ((a + b) * share)) + F.when(b > 0, b * F.log(b / ((a + b) * (1 - share)))).otherwise(0.0))
     lift = (a / n1) / ((b + 0.5) / n0)
-    good = (lift > 4) & (ratio > 12)
-    at, ratio = at[good], ratio[good]
-    return np.sort(at[np.argsort(-ratio, kind="stable")[:most]])
+    counts = rows.select("y", F.explode("f").alias("f")).groupBy("f").agg(F.sum("y").alias("a"), F.sum(1 - F.col("y")).alias("b")).filter("a >= 3")
+    best = counts.withColumns({"ratio": ratio, "lift": lift}).filter("lift > 4 AND ratio > 12").orderBy(F.desc("ratio"), "f").limit(most)
+    return sorted(r["f"] for r in best.select("f").collect())
 
 
 def train(
@@ -239,17 +236,18 @@ def train(
 
     # the sample has at most about train_rows small rows, so it may be broadcast
     picked = docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).join(F.broadcast(sample), "key")
-    got = picked.mapInPandas(run, "y int, f array<int>").toPandas()
-    rows, y = [np.asarray(f, dtype=int) for f in got["f"]], got["y"].to_numpy(dtype=int)
-    chosen = telling_words(rows, y)
-    x = np.zeros((len(rows), len(chosen) + 1))
+    rows = Stage(docs.sparkSession, "toxicity").keep(picked.mapInPandas(run, "y int, f array<int>"), "sample")
+    chosen = telling_words(rows)
+    # only which of the telling words a row has goes to the driver
+    got = rows.select("y", F.array_intersect("f", F.array(*[F.lit(f) for f in chosen]).cast("array<int>")).alias("f")).toPandas()
+    y = got["y"].to_numpy(dtype=int)
+    x = np.zeros((len(got), len(chosen) + 1))
     x[:, -1] = 1
-    for i, f in enumerate(rows):
-        if len(chosen):
-            x[i, np.flatnonzero(np.isin(chosen, f, assume_unique=True))] = 1
+    for i, f in enumerate(got["f"]):
+        x[i, np.searchsorted(chosen, f)] = 1
     order = np.lexsort((*x.T, y))  # sums in a fixed order, wherever the rows came from
     w = _fit_logistic(x[order], y[order].astype(float))
-    model.weights = dict(zip(chosen.tolist(), w[:-1].tolist()))
+    model.weights = dict(zip(chosen, w[:-1].tolist()))
     model.bias = float(w[-1] + np.log(rates[0] / rates[1]))
     return model
 
