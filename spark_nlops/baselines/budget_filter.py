@@ -69,3 +69,19 @@ def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend,
     predicted = F.lit(False) if w is None else (_probability(vec, w) >= 0.5)
     out = rows.filter(F.col(key).isin(positive) | (predicted & ~F.col(key).isin(list(known)))) if known else rows.limit(0)
     return NLResult(out.select(*df.columns), {"oracle": len(known), "embedding": rows.count()}, {"plan": "budget"})
+
+
+def budget_join(left: DataFrame, right: DataFrame, template: str, oracle: ModelBackend, *, left_key: str, right_key: str, embedder, budget: int, candidates: int = 20, batch: int = 50, seed: int = 0) -> NLResult:
+    """The same learner on pairs: each left row's most similar candidates, described by the product of both vectors."""
+    from ..operators.join import pair_rows
+    from ..vectors.similarity import similar_pairs
+
+    t = Template(template)
+    l = staged(embedder.embed(left.select(left_key, F.coalesce(t.columns("left")[0], F.lit("")).alias("_t")), "_t", "lv").drop("_t"), "left")
+    r = staged(embedder.embed(right.select(right_key, F.coalesce(t.columns("right")[0], F.lit("")).alias("_t")), "_t", "rv").drop("_t"), "right")
+    near = similar_pairs(l, r, left_key, "lv", right_key, "rv", k=candidates).select("lk", "rk")
+    pairs = pair_rows(left, right, t, left_key, right_key, near)
+    described = pairs.join(l.withColumnRenamed(left_key, "lk"), "lk").join(r.withColumnRenamed(right_key, "rk"), "rk")
+    described = described.withColumn("vec", F.zip_with("lv", "rv", lambda a, b: a * b)).withColumn("pair", F.concat_ws("-", "lk", "rk")).drop("lv", "rv")
+    out = budget_filter(described, t, oracle, key="pair", vec="vec", budget=budget, batch=batch, seed=seed)
+    return NLResult(out.df.select("lk", "rk"), out.calls, {"plan": "budget join"})

@@ -47,5 +47,17 @@ class Snippets:
             yield m.start(), m.end(), m.group()
 
 
-def register_snippets(spark: SparkSession, name: str = "nl_snippets") -> None:
+@F.udtf(returnType="label string, hits int")
+class Labels:
+    """``nl_labels(text, 'a,b,c')``: one row for each listed label word that the text has, with its count."""
+
+    def eval(self, text: str, labels: str):
+        words = re.findall(r"\w+", (text or "").lower())
+        for label in labels.split(","):
+            if n := words.count(label.strip().lower()):
+                yield label.strip(), n
+
+
+def register_snippets(spark: SparkSession, name: str = "nl_snippets", labels: str = "nl_labels") -> None:
     spark.udtf.register(name, Snippets)
+    spark.udtf.register(labels, Labels)

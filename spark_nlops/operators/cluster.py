@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..models.base import ModelBackend
+from ..plans import budget
 from ..result import NLResult, SampleSpec
 from ..staging import staged
 from ..stats import cuts, sampling
@@ -64,6 +65,8 @@ def nl_classify(
     template = Template(template) if isinstance(template, str) else template
     template.bind(df)
     columns = df.columns
+    if accuracy is None and (share := budget.current()) is not None:
+        accuracy, delta = share.accuracy, share.delta
     if plan == "reference" or (plan == "auto" and accuracy is None):
         return NLResult(oracle.classify(df, template, labels, "group_label"), {"oracle": df.count()}, {"plan": "reference"})
     spark = df.sparkSession

@@ -7,6 +7,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..models.base import ModelBackend
+from ..plans import budget
 from ..result import NLResult, SampleSpec
 from ..staging import staged
 from ..stats import calibrate, cuts, sampling
@@ -54,6 +55,8 @@ def nl_filter(
     template = Template(template) if isinstance(template, str) else template
     template.bind(df)
     columns = df.columns
+    if recall is None and precision is None and (share := budget.current()) is not None:
+        recall, precision, delta = share.recall, share.precision, share.delta
     if plan == "proxy_only":
         labelled = proxy.label(df, template, "_label")
         return NLResult(labelled.filter("_label").select(*columns), {"proxy": df.count()}, {"plan": plan})

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..models.base import ModelBackend
+from ..plans import budget
 from ..result import NLResult, SampleSpec
 from ..staging import staged
 from ..stats import cuts
@@ -155,6 +156,8 @@ def nl_join(
         asked = pair_rows(left, right, template, left_key, right_key)
         matched = oracle.label(asked, template, "_label").filter("_label").select("lk", "rk")
         return NLResult(finish(left, right, matched, left_key, right_key, how), {"oracle": n1 * n2}, {"plan": "reference"})
+    if recall is None and precision is None and (own := budget.current()) is not None:
+        recall, precision, delta = own.recall, own.precision, own.delta
     if embedder is None or (recall is None and precision is None):
         raise ValueError("a cascade needs an embedder and a target")
     spec = sample or SampleSpec()

@@ -85,7 +85,8 @@ def quick_select(df: DataFrame, template: Template, comparer: ModelBackend, k: i
         settled.append(taken.select(*groups, "row"))
         keep = ((F.col("w") > F.col("need")) & F.col("_better")) | ((F.col("w") + 1 < F.col("need")) & ~F.col("_better") & ~F.col("_is_pivot"))
         extra = ["_sim"] if similarity else []
-        state = staged(full.filter(keep).select(*groups, "row", *extra, F.when(enough, F.col("need") - F.col("w") - 1).otherwise(F.col("need")).alias("need")), "rank")
+        # the next state reads this round's stage table; it needs no table of its own
+        state = full.filter(keep).select(*groups, "row", *extra, F.when(enough, F.col("need") - F.col("w") - 1).otherwise(F.col("need")).alias("need"))
     if not settled:
         best = rows.limit(0).select(*groups, "row")
     else:

@@ -58,35 +58,39 @@ def nl_reduce(
     overflow: str = "split",
     partitioner: Partitioner | None = None,
     buckets: int | None = None,
+    provenance: bool = False,
 ) -> NLResult:
     """One text for each group (all rows are one group without ``by``).
 
     ``tree``: packs of rows become partial texts, packs of these become fewer, until
     one is left; each level is one shuffle.  ``fold``: rows in key order, each call
     takes the text so far and the next row.  A partitioner gives a bucket and an order
-    column, for reducers to which the order inside a prompt matters.
+    column, for reducers to which the order inside a prompt matters.  ``n_sources``
+    counts the rows behind each text; ``provenance`` also lists their keys, which is
+    meant for groups whose keys fit one row.
     """
     template = Template(template) if isinstance(template, str) else template
     template.bind(df)
     groups = by or []
     rows = df.filter(F.col(text).isNotNull())
     if pattern == "fold":
-        return _fold(rows, template, reducer, key, text, groups)
+        return _fold(rows, template, reducer, key, text, groups, provenance)
     if pattern != "tree" or fanin < 2:
         raise ValueError("pattern is tree or fold, and fan-in at least 2")
     buckets = buckets or max(64, rows.count() // 50_000)
     bucket, order = partitioner(rows) if partitioner else (F.pmod(F.xxhash64(key), F.lit(buckets)), F.col(key))
-    state = rows.select(*groups, bucket.alias("_bucket"), order.alias("_order"), F.col(key).alias("_key"), F.col(text).alias("part"), F.array(F.col(key)).alias("sources"))
-    state = fit(state, "part", token_budget, overflow).withColumn("_order", F.struct("_order", "_key", "_piece")).drop("_key", "_piece")
+    state = rows.select(*groups, bucket.alias("_bucket"), order.alias("_order"), F.col(key).alias("_key"), F.col(text).alias("part"), F.lit(1).cast("bigint").alias("n_sources"), *([F.array(F.col(key)).alias("sources")] if provenance else []))
+    state = fit(state, "part", token_budget, overflow).withColumns({"_order": F.struct("_order", "_key", "_piece"), "n_sources": F.when(F.col("_piece") == 0, F.col("n_sources")).otherwise(0)}).drop("_key", "_piece")
+    carried = ["n_sources", *(["sources"] if provenance else [])]
     calls, level, loose = 0, 0, False
     while True:
         state = state.withColumn("_tokens", F.greatest(token_estimate(F.col("part")), F.lit(1)))
         # once packs no longer shrink under the budget, only the fan-in limits them
         state = pack(state, groups, "_bucket", "_order", "_tokens", 2**31 - 1 if loose else token_budget, fanin)
-        packs = state.groupBy(*groups, "bin").agg(F.sort_array(F.collect_list(F.struct("_order", "part", "sources"))).alias("_rows"))
-        packs = packs.select(*groups, "bin", F.col("_rows.part").alias("parts"), F.array_sort(F.array_distinct(F.flatten("_rows.sources"))).alias("sources"))
+        packs = state.groupBy(*groups, "bin").agg(F.sort_array(F.collect_list(F.struct("_order", "part", *carried))).alias("_rows"))
+        packs = packs.select(*groups, "bin", F.col("_rows.part").alias("parts"), F.aggregate("_rows.n_sources", F.lit(0).cast("bigint"), lambda a, b: a + b).alias("n_sources"), *([F.array_sort(F.array_distinct(F.flatten("_rows.sources"))).alias("sources")] if provenance else []))
         partial = reducer.reduce(packs.withColumnRenamed("parts", "_parts"), template, "_parts", "part")
-        state = staged(partial.select(*groups, "bin", "part", "sources"), "level")
+        state = staged(partial.select(*groups, "bin", "part", *carried), "level")
         n = state.count()
         calls += n
         level += 1
@@ -96,14 +100,14 @@ def nl_reduce(
         loose = loose or level > 1 and n >= before
         before = n
         if widest > TOGETHER:  # go on within buckets; each holds its parts in order
-            state = state.select(*groups, F.col("bin.bucket").alias("_bucket"), F.struct("bin.cut", "bin.piece").alias("_order"), "part", "sources")
+            state = state.select(*groups, F.col("bin.bucket").alias("_bucket"), F.struct("bin.cut", "bin.piece").alias("_order"), "part", *carried)
         else:
             number = F.row_number().over(Window.partitionBy(*groups).orderBy("bin")) - 1
-            state = state.withColumn("_number", number).select(*groups, F.lit(0).alias("_bucket"), F.col("_number").alias("_order"), "part", "sources")
-    return NLResult(state.select(*groups, F.col("part").alias("reduced"), "sources"), {"oracle": calls}, {"pattern": "tree", "levels": level})
+            state = state.withColumn("_number", number).select(*groups, F.lit(0).alias("_bucket"), F.col("_number").alias("_order"), "part", *carried)
+    return NLResult(state.select(*groups, F.col("part").alias("reduced"), *carried), {"oracle": calls}, {"pattern": "tree", "levels": level})
 
 
-def _fold(rows: DataFrame, template: Template, reducer: ModelBackend, key: str, text: str, groups: list[str]) -> NLResult:
+def _fold(rows: DataFrame, template: Template, reducer: ModelBackend, key: str, text: str, groups: list[str], provenance: bool) -> NLResult:
     """Each group's rows in key order; round n folds the n-th row of every group into its text so far."""
     place = F.row_number().over(Window.partitionBy(*groups).orderBy(key))
     numbered = staged(rows.select(*groups, F.col(key).alias("_key"), F.col(text).alias("_next"), place.alias("_n")), "fold")
@@ -126,7 +130,7 @@ def _fold(rows: DataFrame, template: Template, reducer: ModelBackend, key: str,
         state = state.select(*groups, F.when(F.col("_next").isNull(), F.col("_so_far")).otherwise(F.col("part")).alias("part"))
         if n % 8 == 0:
             state = staged(state, "fold")
-    sources = numbered.groupBy(*groups).agg(F.array_sort(F.collect_list("_key")).alias("sources"))
+    sources = numbered.groupBy(*groups).agg(F.count("*").alias("n_sources"), *([F.array_sort(F.collect_list("_key")).alias("sources")] if provenance else []))
     if groups:
         named = sources.withColumnsRenamed({g: f"_of_{g}" for g in groups})
         same = F.lit(True)
@@ -135,4 +139,4 @@ def _fold(rows: DataFrame, template: Template, reducer: ModelBackend, key: str,
         out = state.join(named, same).drop(*[f"_of_{g}" for g in groups])
     else:
         out = state.crossJoin(sources)
-    return NLResult(out.select(*groups, F.col("part").alias("reduced"), "sources"), {"oracle": calls}, {"pattern": "fold"})
+    return NLResult(out.select(*groups, F.col("part").alias("reduced"), "n_sources", *(["sources"] if provenance else [])), {"oracle": calls}, {"pattern": "fold"})

@@ -62,6 +62,18 @@ def drift(batch: DataFrame, template: str, proxy: ModelBackend, oracle: ModelBac
     return 1.0 if not due else (kept or 0) / due
 
 
+def similar_to_index(stream: DataFrame, text: str, embedder, index, least: float, out: str = "near_key") -> DataFrame:
+    """Stream-static join: each row with the stored rows of its own bucket that are similar enough."""
+    from ..vectors.index import hyperplane_bucket
+    from ..vectors.similarity import cosine
+
+    m = index.manifest
+    own = embedder.embed(stream.withColumn("_t", F.coalesce(text, F.lit(""))), "_t", "_v").withColumn("_b", hyperplane_bucket(F.col("_v"), m["dim"], m["planes"]))
+    stored = index.vectors.select(F.col("key").alias(out), F.col("vec").alias("_w"), F.col("bucket").alias("_c"))
+    met = own.join(stored, F.col("_b") == F.col("_c"))
+    return met.withColumn("sim", F.round(cosine(F.col("_v"), F.col("_w")), 9)).filter(F.col("sim") >= least).drop("_t", "_v", "_w", "_b", "_c")
+
+
 class TopValues(StatefulProcessor):
     """Each user's k largest values so far."""
 

@@ -57,6 +57,8 @@ def similar_pairs(left: DataFrame, right: DataFrame, left_key: str, left_vec: st
     parts = []
     slim = left.select(F.col(left_key).cast("long").alias("lk"), F.col(left_vec).alias("v")).filter("v IS NOT NULL")
     for keys, matrix in right_blocks(right, right_key, right_vec):
+        if len(parts) == 1:
+            slim = staged(slim, "left")  # read once for each further block
         shipped = left.sparkSession.sparkContext.broadcast((keys, matrix))
 
         def run(batches: Iterator[pd.DataFrame], shipped=shipped) -> Iterator[pd.DataFrame]:
@@ -105,3 +107,19 @@ def score_histogram(left: DataFrame, right: DataFrame, left_key: str, left_vec:
         for r in slim.mapInPandas(run, "bin int, n long").groupBy("bin").agg(F.sum("n").alias("n")).collect():  # at most ``bins`` rows
             total[r["bin"]] += r["n"]
     return total
+
+
+def bucketed_pairs(left: DataFrame, right: DataFrame, left_key: str, left_vec: str, right_key: str, right_vec: str, *, least: float, dim: int, tables: int = 12, planes: int = 8, seed: int = 1) -> DataFrame:
+    """Pairs of at least ``least`` that share a random-hyperplane bucket in one of several tables: an approximate join for sides too large for blocks.
+
+    The chance to miss a pair of cosine c is (1 - (1 - acos(c)/pi)^planes)^tables;
+    every row is in every table, and pairs are verified exactly.
+    """
+    from .index import hyperplane_bucket
+
+    def listed(df: DataFrame, key: str, vec: str, k: str, v: str) -> DataFrame:
+        codes = F.array(*[F.struct(F.lit(t).alias("t"), hyperplane_bucket(F.col(vec).cast("array<double>"), dim, planes, seed * 1000 + t).alias("b")) for t in range(tables)])
+        return df.filter(F.col(vec).isNotNull()).select(F.col(key).cast("long").alias(k), F.col(vec).alias(v), F.explode(codes).alias("slot"))
+
+    met = listed(left, left_key, left_vec, "lk", "lv").join(listed(right, right_key, right_vec, "rk", "rv"), "slot")
+    return met.withColumn("sim", F.round(cosine(F.col("lv"), F.col("rv")), 9)).filter(F.col("sim") >= least).select("lk", "rk", "sim").distinct()

@@ -193,7 +193,7 @@ FIRST_WORD = "lower(regexp_extract(text, '([A-Za-z]+)', 1))"
 def _(s, d):
     df = docs(s, d, "doc_id", "text").select("doc_id", F.expr(FIRST_WORD).alias("term"))
     out = nl_reduce(df, "all terms of {term}", TERMS, key="doc_id", text="term", fanin=64)
-    return out.df.select("reduced", F.size("sources").cast("bigint").alias("n_sources"))
+    return out.df.select("reduced", "n_sources")
 
 
 @query("reduce_grouped", f"SELECT source, coalesce(string_agg(DISTINCT t, ' ' ORDER BY t) FILTER (t <> ''), '') AS reduced FROM (SELECT source, {FIRST_WORD} AS t FROM documents) GROUP BY source")

@@ -107,7 +107,17 @@ def _(s, d):
     block = rewriter.mean_of_successes(lambda seed: rewriter.blocking_join(left, right, w.CONTAINS, w.contains_oracle(), left_key="doc_id", right_key="item_id", embedder=oc.UNIGRAMS, budget=5 * left.count(), seed=seed))
     blocked = block[0][0].df.select(F.col("lk").alias("doc_id"), F.col("rk").alias("item_id"))
     rows = []
-    for name, out, calls in (("search_only", ranked_search, 0), ("nested_loop", truth, nested), ("rewriter_blocking", blocked, block[0][0].calls["oracle"]), ("cascade", matched, got.oracle_calls)):
+    learned = budget.budget_join(left, right, w.CONTAINS, w.contains_oracle(), left_key="doc_id", right_key="item_id", embedder=HashedNgrams(1, 64), budget=300)
+    learned_pairs = learned.df.select(F.col("lk").alias("doc_id"), F.col("rk").alias("item_id"))
+    # list-wise order of each document's matches by similarity of the strong vectors
+    near = similar_pairs(oc.TRIGRAMS.embed(left, "text", "v"), oc.TRIGRAMS.embed(right, "text", "v"), "doc_id", "v", "item_id", "v", least=0.0)
+    listed = staged(matched.join(near.select(F.col("lk").alias("doc_id"), F.col("rk").alias("item_id"), "sim"), ["doc_id", "item_id"]), "listed")
+    ordered = nl_rank(listed, "{sim} fits best", 10, key="item_id", by=["doc_id"], algorithm="listwise", score="sim")
+    runs = (
+        ("search_only", ranked_search, 0), ("nested_loop", truth, nested), ("budgeted", learned_pairs, learned.oracle_calls), ("rewriter_blocking", blocked, block[0][0].calls["oracle"]),
+        ("cascade", matched, got.oracle_calls), ("cascade_listwise_rank", ordered.df.select("doc_id", "item_id", "rank"), got.oracle_calls + ordered.oracle_calls),
+    )
+    for name, out, calls in runs:
         from pyspark.sql import Window
 
         ranked = out if "rank" in out.columns else out.withColumn("rank", F.row_number().over(Window.partitionBy("doc_id").orderBy("item_id")))
@@ -127,6 +137,31 @@ def _(s, d):
     return table(s, rows, "embedder string, plan string, oracle_calls long, chosen boolean")
 
 
+@query("w2_sample_of_500")
+def _(s, d):
+    """The same join with another embedder and samples of 500 and 4 000 pairs."""
+    rows = []
+    for size in (500, 4000):
+        got = oc.contains_cascade(s, d, embedder=HashedNgrams(2, 512), spec=SampleSpec(min_rows=size, weight_power=16.0, seed=5))
+        truth = w.contained_pairs(oc.docs(s, d), read_table(s, d, "benchmark"))
+        r = measures.set_precision_recall(got.df.select("doc_id", F.col("right_item_id").alias("item_id")), truth, ["doc_id", "item_id"]).first()
+        rows.append((size, got.plan["plan"], got.oracle_calls, r["recall"], r["precision"]))
+    return table(s, rows, "sample_rows int, plan string, oracle_calls long, recall double, precision double")
+
+
+@query("similar_pairs_lsh_recall", "SELECT true AS recall_met")
+def _(s, d):
+    """Bucketed pairs against all pairs of at least 0.85: the share found."""
+    from ..vectors.similarity import bucketed_pairs
+
+    small = HashedNgrams(1, 64)
+    left, right = staged(small.embed(oc.docs(s, d, "doc_id", "text"), "text", "v"), "left"), staged(small.embed(read_table(s, d, "benchmark"), "text", "v"), "right")
+    exact = staged(similar_pairs(left, right, "doc_id", "v", "item_id", "v", least=0.85), "exact").select("lk", "rk")
+    found = bucketed_pairs(left, right, "doc_id", "v", "item_id", "v", least=0.85, dim=64)
+    r = measures.set_precision_recall(found, exact, ["lk", "rk"]).first()
+    return table(s, [(bool(r["recall"] >= 0.9 and r["precision"] == 1.0),)], "recall_met boolean")
+
+
 @query("w2_direct_and_projected_agree", oc.MET_SQL)
 def _(s, d):
     truth = w.contained_pairs(oc.docs(s, d), read_table(s, d, "benchmark"))

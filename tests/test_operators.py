@@ -103,8 +103,8 @@ def test_calls_of_ranking_algorithms(spark):
 @pytest.mark.parametrize("parts", [1, 5])
 def test_reduction_is_invariant(spark, fanin, parts):
     df = spark.createDataFrame([(i, f"w{i % 9} v{i % 4}") for i in range(100)], "k long, t string").repartition(parts)
-    got = nl_reduce(df, "{t}", oc.TERMS, key="k", text="t", fanin=fanin, token_budget=12).df.first()
-    assert got.reduced == " ".join(sorted({f"w{i}" for i in range(9)} | {f"v{i}" for i in range(4)})) and got.sources == list(range(100))
+    got = nl_reduce(df, "{t}", oc.TERMS, key="k", text="t", fanin=fanin, token_budget=12, provenance=True).df.first()
+    assert got.reduced == " ".join(sorted({f"w{i}" for i in range(9)} | {f"v{i}" for i in range(4)})) and got.sources == list(range(100)) and got.n_sources == 100
 
 
 def test_reduction_order_overflow_and_edges(spark):
