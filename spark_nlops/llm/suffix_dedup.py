@@ -47,6 +47,8 @@ HOT_PIECES = 4096
 BLOCK = 32
 #: Bytes scanned together, and bytes of one Burrows-Wheeler text.
 SCAN_BYTES, TEXT_BYTES = 1 << 18, 400_000
+#: A piece's place is start * PLACE + windows.
+PLACE = 1024
 _RNG = np.random.default_rng(77)
 _BYTE_HASH = _RNG.integers(0, 2**64, 256, dtype=np.uint64)
 _FACTORS = [np.uint64(int(x) | 1) for x in _RNG.integers(2**60, 2**63, 10)]
@@ -112,7 +114,6 @@ def pieces_of(texts: list[bytes], length: int = LENGTH) -> dict[str, np.ndarray]
         "owner": own,
         "start": at - (ends - sizes)[own],
         "windows": windows,
-        "lead": anchor[at] - at,
         "anchor": h64[anchor[at]].view(np.int64),
         "digest": digest.view(np.int64),
     }
@@ -218,7 +219,7 @@ def _runs(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 # --- the distributed job -------------------------------------------------------------
 def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
-    """doc, mark, start, windows, lead (from the start to the anchor), anchor and digest; docs has doc, mark and text."""
+    """doc, mark, place (start and windows in one number), anchor and digest; docs has doc, mark and text."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -242,18 +243,19 @@ def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
             if found:
                 got = {k: np.concatenate([f[k] for f in found]) for k in found[0]}
                 row = got.pop("row")
-                yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "start", "windows", "lead", "anchor", "digest"]]
+                got["place"] = got.pop("start") * PLACE + got.pop("windows")
+                yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "place", "anchor", "digest"]]
 
     kind = docs.schema["doc"].dataType.simpleString()
-    return docs.mapInPandas(run, f"doc {kind}, mark long, start int, windows int, lead int, anchor long, digest long")
+    return docs.mapInPandas(run, f"doc {kind}, mark long, place long, anchor long, digest long")
 
 
 def _cut_pieces(wanted: DataFrame, docs: DataFrame, length: int) -> DataFrame:
-    """The bytes of representative pieces: anchor, digest, copies, lead, piece."""
-    lists = wanted.groupBy("doc", "mark").agg(F.collect_list(F.struct("start", "windows", "lead", "anchor", "digest", "copies")).alias("want"))
+    """The bytes of representative pieces: anchor, digest, copies, piece."""
+    lists = wanted.groupBy("doc", "mark").agg(F.collect_list(F.struct("place", "anchor", "digest", "copies")).alias("want"))
     joined = docs.join(lists, docs["doc"].eqNullSafe(lists["doc"]) & (docs["mark"] == lists["mark"])).select(docs["text"], "want")
     joined = joined.select(F.encode("text", "UTF-8").alias("bytes"), "want")
-    pieces = F.expr(f"transform(want, w -> struct(w.anchor, w.digest, w.copies, w.lead, substring(bytes, w.start + 1, w.windows + {length - 1}) AS piece))")
+    pieces = F.expr(f"transform(want, w -> struct(w.anchor, w.digest, w.copies, substring(bytes, cast(w.place div {PLACE} as int) + 1, cast(w.place % {PLACE} as int) + {length - 1}) AS piece))")
     return joined.select(pieces.alias("pieces")).select(F.explode("pieces").alias("p")).select("p.*")
 
 
@@ -293,13 +295,14 @@ def _expand(pieces: DataFrame, length: int) -> DataFrame:
     return spread.mapInPandas(run, "anchor long, digest long, low array<int>, high array<int>")
 
 
-def block_keys(piece: bytes, lead: int, length: int = LENGTH) -> pd.DataFrame:
+def block_keys(piece: bytes, anchor: int, length: int = LENGTH) -> pd.DataFrame:
     """Blocks of windows of a piece, cut at fixed distances from the anchor: first and last window, hashes of core and whole.
 
     All windows of a block, whole or cut off by the piece's end, hold the block's core; so equal windows have equal cores.
     """
-    _, h128 = _hashes(np.frombuffer(piece, dtype=np.uint8))
+    h64, h128 = _hashes(np.frombuffer(piece, dtype=np.uint8))
     n = len(piece) - length + 1
+    lead = int(np.flatnonzero(h64.view(np.int64) == anchor)[0])  # windows take the leftmost place of the least hash
     block = (lead - np.arange(n)) // BLOCK
     low = np.flatnonzero(np.concatenate(([True], block[1:] != block[:-1])))
     high = np.append(low[1:], n) - 1
@@ -329,7 +332,7 @@ def _split_hot(pieces: DataFrame, length: int) -> DataFrame:
         for batch in batches:
             for a, b in slices(batch["piece"].map(len).tolist(), SCAN_BYTES):
                 part = batch.iloc[a:b]
-                found = [block_keys(p, lead, length).assign(anchor=x, digest=d, copies=c) for p, lead, x, d, c in part[["piece", "lead", "anchor", "digest", "copies"]].itertuples(index=False)]
+                found = [block_keys(p, x, length).assign(anchor=x, digest=d, copies=c) for p, x, d, c in part[["piece", "anchor", "digest", "copies"]].itertuples(index=False)]
                 yield pd.concat(found, ignore_index=True)
 
     def windows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -357,16 +360,19 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
         raise ValueError(f"length must be from {2 * GRAM} to {2 * GRAM + 128}")
     stage = stage or Stage(docs.sparkSession, "suffix")
     pieces = stage.keep(_scan_pieces(docs, length), "pieces")
-    seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.min("digest").alias("d1"), F.max("digest").alias("d2")).filter("n > 1")
+    # all digests of an anchor are alike where their sum is a multiple of each; sums that overflow count as mixed
+    short = F.shiftright("digest", 24)
+    seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.try_sum(short).alias("sum")).filter("n > 1")
     # written first, so that both sides of the join are plain exchanges, of which adaptive execution can split a hot anchor
-    seen = stage.keep(seen.select("anchor", (F.col("d1") == F.col("d2")).alias("alike")), "seen")
+    seen = stage.keep(seen, "seen")
     stage.release()
-    shared = stage.keep(pieces.join(seen, "anchor"), "shared")
+    alike = F.coalesce(F.col("sum") == F.try_multiply("n", short), F.lit(False)).alias("alike")
+    shared = stage.keep(pieces.join(seen, "anchor").select(*pieces.columns, alike), "shared")
     stage.drop("pieces")
     stage.drop("seen")
     stage.release()
     mixed = shared.filter(~F.col("alike"))
-    kinds = mixed.groupBy("anchor", "digest").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "mark", "start", "windows", "lead")).alias("at"))
+    kinds = mixed.groupBy("anchor", "digest").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "mark", "place")).alias("at"))
     wanted = kinds.select("anchor", "digest", "copies", "at.*")
     cut = stage.keep(_cut_pieces(wanted, docs, length), "cut")
     stage.release()
@@ -375,11 +381,12 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
         _expand(cut.join(crowds, "anchor", "left_anti"), length).unionByName(_split_hot(cut.join(crowds, "anchor", "left_semi"), length)), "solved"
     )
     stage.drop("cut")
-    plain = shared.filter("alike").select("doc", "mark", F.array(F.struct(F.col("start").alias("low"), (F.col("start") + F.col("windows") + length - 1).alias("high"))).alias("spans"))
+    start, windows = F.expr(f"cast(place div {PLACE} as int)"), F.expr(f"cast(place % {PLACE} as int)")
+    plain = shared.filter("alike").select("doc", "mark", F.array(F.struct(start.alias("low"), (start + windows + length - 1).alias("high"))).alias("spans"))
     partly = mixed.join(solved, ["anchor", "digest"]).select(
         "doc",
         "mark",
-        F.zip_with("low", "high", lambda a, b: F.struct((F.col("start") + a).alias("low"), (F.col("start") + b + length - 1).alias("high"))).alias("spans"),
+        F.zip_with("low", "high", lambda a, b: F.struct((start + a).alias("low"), (start + b + length - 1).alias("high"))).alias("spans"),
     )
     return plain.unionByName(partly).groupBy("doc", "mark").agg(F.flatten(F.collect_list("spans")).alias("spans"))
 
