@@ -6,7 +6,7 @@ from .bpe import op2_byte_bpe
 from .langid import op6_language_id
 from .preference import OP8_SQL, op8_preference_format
 from .simhash import op3_simhash_near_dedup
-from .suffix_dedup import op5_suffix_dedup
+from .suffix_dedup import OP5_SQL, op5_suffix_dedup
 from .tiling import op10_benchmark_tiling
 from .token_scan import op4_token_counts
 from .toxicity import op1_toxicity
@@ -27,6 +27,7 @@ QUERIES = {
 }
 
 ORACLE_SQL = {
+    "op5_suffix_dedup": OP5_SQL,
     "op8_preference_format": OP8_SQL,
     "op9_url_rules": OP9_SQL,
 }

@@ -475,3 +475,30 @@ def without_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
 
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(read_table(spark, sf_dir, "documents").select("doc_id", "text"), digest_only=True)
+
+
+OP5_SQL = """
+WITH d AS (
+  SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents
+), starts AS (
+  SELECT doc_id, i, md5_number(substr(h, 2 * i + 1, 400)) AS k FROM (SELECT doc_id, h, unnest(range(0, length(h) // 2 - 199)) AS i FROM d)
+), often AS (
+  SELECT k, count(*) AS n FROM starts GROUP BY k HAVING count(*) > 1
+), counted AS (
+  SELECT doc_id, i, n FROM starts JOIN often USING (k)
+), marked AS (
+  SELECT doc_id, i, CASE WHEN i - lag(i) OVER (PARTITION BY doc_id ORDER BY i) <= 200 THEN 0 ELSE 1 END AS fresh FROM counted WHERE n > 1
+), numbered AS (
+  SELECT doc_id, i, sum(fresh) OVER (PARTITION BY doc_id ORDER BY i ROWS UNBOUNDED PRECEDING) AS no FROM marked
+), spans AS (
+  SELECT doc_id, min(i) AS low, max(i) + 200 AS high FROM numbered GROUP BY doc_id, no
+), cut AS (
+  SELECT s.doc_id, low, high, substr(h, 2 * coalesce(lag(high) OVER (PARTITION BY s.doc_id ORDER BY low), 0) + 1, 2 * (low - coalesce(lag(high) OVER (PARTITION BY s.doc_id ORDER BY low), 0))) AS part
+  FROM spans s JOIN d ON d.doc_id = s.doc_id
+), gone AS (
+  SELECT doc_id, sum(high - low) AS n_removed, count(*) AS n_spans, string_agg(part, '' ORDER BY low) AS front, max(high) AS last FROM cut GROUP BY doc_id
+)
+SELECT d.doc_id, (length(h) // 2)::BIGINT AS n_bytes, coalesce(n_removed, 0)::BIGINT AS n_removed, coalesce(n_spans, 0)::BIGINT AS n_spans,
+  sha256(unhex(coalesce(front, '') || substr(h, 2 * coalesce(last, 0) + 1))) AS kept_sha256
+FROM d LEFT JOIN gone ON gone.doc_id = d.doc_id
+"""
