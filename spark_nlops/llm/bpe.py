@@ -28,9 +28,9 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
 from collections.abc import Iterator
 from heapq import heappop, heappush
-from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -42,9 +42,9 @@ from .common import read_table, slices, text_or_empty
 
 NONE = np.int32(2**31 - 1)
 #: Characters of text tokenised together; bounds a worker's memory.
-BATCH_CHARS = 3_000_000
-#: Pre-tokens remembered by a worker, and the longest one remembered (characters).
-MEMO_ENTRIES, MEMO_CHARS = 400_000, 64
+BATCH_CHARS = 2_000_000
+#: Pre-tokens remembered within a task, and the longest one remembered (characters).
+MEMO_ENTRIES, MEMO_CHARS = 200_000, 64
 
 
 class RankQueue:
@@ -100,6 +100,7 @@ class Codec:
         self.tokens = [b""] * self.size
         for token, rank in self.ranks.items():
             self.tokens[rank] = token
+        self.names = [str(i) for i in range(self.size)]
         self.byte_ids = np.array([self.ranks[bytes([b])] for b in range(256)], dtype=np.int32)
         pairs = {}
         for token, rank in self.ranks.items():
@@ -112,7 +113,7 @@ class Codec:
         order = np.argsort(keys)
         self.pair_keys = keys[order]
         self.pair_ranks = np.fromiter(pairs.values(), dtype=np.int32, count=len(pairs))[order]
-        self.memo: dict[str, tuple[tuple[int, ...], str]] = {}
+        self.memo: dict[str, tuple[bytes, str]] = {}  # ids as 32-bit integers, and their decimal form
 
     # --- pair lookups -------------------------------------------------------------
     def _pair_rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -191,8 +192,13 @@ class Codec:
         open_bucket = queue.open_bucket
         while (r := queue.first()) >= 0:
             at = np.array(queue.close(r))
-            at = np.unique(at[rank[at] == r])
-            if not len(at):
+            at = at[rank[at] == r]
+            if len(at) > 1:
+                at.sort()
+                twice = at[1:] == at[:-1]
+                if twice.any():
+                    at = at[np.append(True, ~twice)]
+            elif not len(at):
                 continue
             chained = after[at[:-1]] == at[1:]
             if chained.any():  # the same pair overlaps itself: take every other one from the left
@@ -236,25 +242,30 @@ class Codec:
         return out
 
     # --- texts ----------------------------------------------------------------------
-    def encode_texts(self, texts: list[str]) -> Iterator[list[tuple[tuple[int, ...], str]]]:
-        """For each text its pre-tokens' (ids, decimal form), in order."""
+    def encode_texts(self, texts: list[str]) -> Iterator[tuple[np.ndarray, str]]:
+        """For each text its ids and their decimal form."""
         for a, b in slices([len(t) for t in texts], BATCH_CHARS):
             split = [self.pattern.findall(t) for t in texts[a:b]]
-            memo = self.memo
-            if len(memo) > MEMO_ENTRIES:
-                memo.clear()
-            missing = [p for p in set(chain.from_iterable(split)) if p not in memo]
-            found = self.encode_many([p.encode() for p in missing])
-            fresh = dict(zip(missing, ((ids, " ".join(map(str, ids))) for ids in found)))
-            memo.update(fresh)
+            memo, distinct = self.memo, set().union(*split)
+            if len(memo) > MEMO_ENTRIES:  # what this batch needs again stays
+                memo = self.memo = {p: memo[p] for p in distinct if p in memo}
+            missing = [p for p in distinct if p not in memo]
+            names = self.names
+            for p, ids in zip(missing, self.encode_many([p.encode() for p in missing])):
+                memo[p] = array("i", ids).tobytes(), " ".join([names[i] for i in ids])
             for pieces in split:
-                yield [memo[p] for p in pieces]
+                parts = list(map(memo.__getitem__, pieces))
+                yield np.frombuffer(b"".join([p[0] for p in parts]), dtype=np.int32), " ".join([p[1] for p in parts])
             for p in missing:
                 if len(p) > MEMO_CHARS:
                     del memo[p]
 
+    def rest(self) -> None:
+        """At a task's end: forget the words, since the worker goes on with other stages (a few kept ones would pin all their memory)."""
+        self.memo = {}
+
     def encode(self, text: str) -> list[int]:
-        return [i for ids, _ in next(iter(self.encode_texts([text]))) for i in ids]
+        return next(self.encode_texts([text]))[0].tolist()
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
@@ -295,14 +306,15 @@ def encode_documents(
         codec = codec_for(shipped.value, pattern)
         sha = hashlib.sha256
         for batch in batches:
-            rows = []
-            for parts in codec.encode_texts(batch["text"].tolist()):
-                ids = list(chain.from_iterable([p[0] for p in parts]))
-                said = " ".join([p[1] for p in parts])
-                rows.append((len(ids), sha(said.encode()).hexdigest(), sha(codec.decode(ids)).hexdigest(), *([np.array(ids, dtype=np.int32)] if keep_ids else [])))
-            out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256", *(["ids"] if keep_ids else [])])
-            out.insert(0, "key", batch["key"].array)
-            yield out
+            texts = batch["text"].tolist()
+            for a, b in slices([len(t) for t in texts], BATCH_CHARS):  # small results, one after the other
+                rows = []
+                for ids, said in codec.encode_texts(texts[a:b]):
+                    rows.append((len(ids), sha(said.encode()).hexdigest(), sha(codec.decode(ids.tolist())).hexdigest(), *([ids] if keep_ids else [])))
+                out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256", *(["ids"] if keep_ids else [])])
+                out.insert(0, "key", batch["key"].array[a:b])
+                yield out
+        codec.rest()
 
     kind = docs.schema[key].dataType.simpleString()
     out = docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).mapInPandas(run, f"key {kind}, {schema}")

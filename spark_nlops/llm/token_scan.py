@@ -49,11 +49,9 @@ def write_token_files(docs: DataFrame, *, key: str = "doc_id", text: str = "text
         for batch in batches:
             listings += 1  # listings are numbered downward from -1, beside the blocks
             yield pd.DataFrame({"file": [file], "block": [-listings], "data": [None], "ids": [batch["key"].tolist()]})
-            for parts in codec.encode_texts(batch["text"].tolist()):
-                ids = [i for p in parts for i in p[0]]
-                ids.append(eod)
-                waiting.append(np.array(ids, dtype=DTYPE))
-                held += len(ids)
+            for ids, _ in codec.encode_texts(batch["text"].tolist()):
+                waiting.append(np.append(ids, eod).astype(DTYPE))
+                held += len(ids) + 1
                 if held >= 16 * block_tokens:
                     tokens = np.concatenate(waiting)
                     cut = held // block_tokens * block_tokens
@@ -62,6 +60,7 @@ def write_token_files(docs: DataFrame, *, key: str = "doc_id", text: str = "text
         tokens = np.concatenate(waiting) if waiting else np.zeros(0, dtype=DTYPE)
         pieces = [tokens[a : a + block_tokens].tobytes() for a in range(0, len(tokens), block_tokens)]
         yield pd.DataFrame({"file": file, "block": range(block, block + len(pieces)), "data": pieces, "ids": None})
+        codec.rest()
 
     return docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).mapInPandas(run, f"file long, block long, data binary, ids array<{kind}>")
 
