@@ -1,7 +1,8 @@
 """A corpus pipeline of five stages, each written as Parquet and read again by the next.
 
 Language ID drops documents whose language can't be told with confidence; SimHash
-keeps the first document of each near-duplicate group; suffix intervals cut
+keeps the first document of each near-duplicate group (fingerprints of three
+words within two bits, or a similarity of 0.8 in sets of five words); suffix intervals cut
 repeated passages out of the texts; string tiling drops documents that hold
 benchmark items; byte-level BPE turns what is left into token ids.
 """
@@ -28,7 +29,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = simhash.near_duplicates(docs.select("doc_id", "text"))
+    found = simhash.duplicate_groups(docs)
     return docs.join(found.filter("component <> doc_id").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
 
 

@@ -50,7 +50,11 @@ def fingerprint(text: str, shingle: int = 3) -> int:
         ends = np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=n) + 1) - 1
         starts = np.concatenate(([0], ends[:-1] + 1))[: n - shingle + 1]
         hashes = [xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[shingle - 1 :].tolist())]
-    values = np.array(hashes, dtype="<u8")
+    return majority(np.array(hashes, dtype="<u8"))
+
+
+def majority(values: np.ndarray) -> int:
+    """Bits that are set in over half of the values."""
     ones = np.zeros(64, dtype=np.int64)
     for i in range(0, len(values), _LINES):
         ones += np.unpackbits(values[i : i + _LINES].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
@@ -164,3 +168,132 @@ def hex_fingerprint(name: str = "fp"):
 def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
     return found.select("doc_id", hex_fingerprint().alias("fingerprint"), F.col("component").alias("component_id"))
+
+
+# --- near-duplicates by shingle similarity ---------------------------------------------
+#: Least shingles of a text by which candidates meet; two texts of similarity s share none with probability (1 - s)^SKETCH.
+SKETCH = 8
+#: Members of a bucket up to which all its pairs are compared; larger buckets compare each member with their leaders.
+ALL_PAIRS = 32
+
+
+def hamming_reach(similarity: float) -> int:
+    """Differing bits that pairs of a Jaccard similarity stay below, four standard deviations out."""
+    cosine = 2 * similarity / (1 + similarity)
+    p = float(np.arccos(min(1.0, cosine)) / np.pi)
+    return int(np.ceil(64 * p + 4 * np.sqrt(64 * p * (1 - p))))
+
+
+def shingle_set(text: str, shingle: int) -> tuple[np.ndarray, int]:
+    """The distinct shingle hashes in order, and the fingerprint of all shingles."""
+    words = text.encode().lower().split()
+    n = len(words)
+    if not n:
+        return np.zeros(0, dtype=np.uint64), 0
+    joined = b" ".join(words)
+    if n <= shingle:
+        values = np.array([xxh64_intdigest(joined, SEED)], dtype="<u8")
+    else:
+        ends = np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=n) + 1) - 1
+        starts = np.concatenate(([0], ends[:-1] + 1))[: n - shingle + 1]
+        values = np.array([xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[shingle - 1 :].tolist())], dtype="<u8")
+    return np.unique(values), majority(values)
+
+
+def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
+    """doc, whole (hash of the set), fp, n, sketch and grams (sorted 32-bit shingle hashes) of each text."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for a, b in slices(batch["text"].map(len).tolist(), 4_000_000):
+                rows = []
+                for t in batch["text"].iloc[a:b]:
+                    values, fp = shingle_set(t, shingle)
+                    grams = np.unique((values >> np.uint64(32)).astype("<u4")).tobytes()
+                    rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), int(np.uint64(fp).view(np.int64)), len(grams) // 4, values[:SKETCH].view(np.int64), grams))
+                yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "fp", "n", "sketch", "grams"])})
+
+    rows = docs.select(F.col(key).cast("long").alias("doc"), text_or_empty(text).alias("text"))
+    return rows.mapInPandas(run, "doc long, whole long, fp long, n int, sketch array<long>, grams binary")
+
+
+def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> DataFrame:
+    """Pairs (a, b) of representatives that meet in a sketch bucket and survive the pivot tables."""
+    member = F.struct("rep", "fp", "n")
+    keys = stage.keep(sets.select(F.explode("sketch").alias("value"), "rep", "fp", "n"), "keys")
+    counts = keys.groupBy("value").agg(F.count("*").alias("m")).filter("m > 1")
+    met = stage.keep(keys.join(counts, "value"), "met")
+    # a text's weight: how often its sketch is met elsewhere; the text that copies were made from has the largest
+    weights = met.groupBy("rep").agg(F.sum(F.log2("m")).alias("weight"))
+    large = met.filter(F.col("m") > ALL_PAIRS).join(weights, "rep")
+    leaders = large.groupBy("value").agg(
+        F.max_by(member, F.struct("weight", "rep")).alias("l1"), F.min_by(member, F.struct("rep")).alias("l2"), F.max_by(member, F.struct("n", "rep")).alias("l3")
+    )
+    led = large.join(leaders, "value").select(member.alias("x"), F.explode(F.array("l1", "l2", "l3")).alias("y"))
+    few = met.filter(F.col("m") <= ALL_PAIRS).groupBy("value").agg(F.sort_array(F.collect_list(member)).alias("items"))
+    few = few.select(F.posexplode("items").alias("at", "x"), "items").select("x", F.explode(F.slice("items", F.col("at") + 2, F.size("items"))).alias("y"))
+    pairs = led.unionByName(few).filter("x.rep <> y.rep").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).filter(
+        (F.least("x.n", "y.n") >= F.lit(similarity) * F.greatest("x.n", "y.n"))
+    )
+    reach = hamming_reach(similarity)
+
+    def discard(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            x, y = batch["fx"].to_numpy(dtype=np.int64).view(np.uint64), batch["fy"].to_numpy(dtype=np.int64).view(np.uint64)
+            apart = np.abs(np.bitwise_count(x[:, None] ^ PIVOTS).astype(np.int16) - np.bitwise_count(y[:, None] ^ PIVOTS).astype(np.int16)).max(axis=1)
+            near = (apart <= reach) & (np.bitwise_count(x ^ y) <= reach)
+            yield batch.loc[near, ["a", "b"]]
+
+    slim = pairs.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"), F.col("x.fp").alias("fx"), F.col("y.fp").alias("fy")).distinct()
+    return slim.mapInPandas(discard, "a long, b long")
+
+
+def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """key and component of every row: components of texts whose shingle sets have at least the given Jaccard similarity.
+
+    Texts with the same set are folded.  Candidates share one of their least
+    shingles; pivot tables over SimHash fingerprints discard candidates that differ
+    in more bits than such pairs do; the sets themselves verify the rest.  Buckets of
+    more than ``ALL_PAIRS`` different texts compare every member with three leaders
+    (the text that is met most often, the first, and the longest) and not with each
+    other, so a link between two members that no leader is near to can be missed
+    there unless they also meet in a smaller bucket.
+    """
+    stage = Stage(docs.sparkSession, "similar")
+    marked = stage.keep(_sets(docs, key, text, shingle), "sets")
+    folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
+    sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
+    pairs = stage.keep(_candidates(sets.select("rep", "fp", "n", "sketch"), similarity, stage), "pairs")
+    stage.drop("keys")
+    stage.drop("met")
+    stage.release()
+    ends = pairs.select("a", "b", F.explode(F.array("a", "b")).alias("rep"))
+    held = ends.join(marked.select(F.col("doc").alias("rep"), "grams"), "rep").groupBy("a", "b").agg(F.min("grams").alias("g1"), F.max("grams").alias("g2"))
+
+    def verify(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            keep = []
+            for g1, g2 in zip(batch["g1"], batch["g2"]):
+                x, y = np.frombuffer(g1, dtype="<u4"), np.frombuffer(g2, dtype="<u4")
+                both = np.concatenate((x, y))
+                both.sort()
+                shared = int((both[1:] == both[:-1]).sum())
+                keep.append(shared >= similarity * (len(both) - shared))
+            yield batch.loc[np.array(keep, dtype=bool), ["a", "b"]]
+
+    links = stage.keep(held.mapInPandas(verify, "a long, b long"), "links")
+    parts = connected_components(links, stage)
+    named = folded.join(parts.select(F.col("node").alias("rep"), "component"), "rep", "left").select("whole", F.coalesce("component", "rep").alias("component"))
+    out = marked.select("doc", "whole").join(named, "whole", "left")
+    return out.select(F.col("doc").alias(key), F.when(F.col("doc").isNotNull(), F.col("component")).alias("component"))
+
+
+def duplicate_groups(docs: DataFrame, *, key: str = "doc_id", text: str = "text", similarity: float = 0.8) -> DataFrame:
+    """key and component of the rows that are in a group of several keys: linked by fingerprints of three words at two bits, or by sets of five words at the similarity."""
+    slim = docs.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text"))
+    stage = Stage(docs.sparkSession, "groups")
+    near = stage.keep(near_duplicates(slim, key="key").filter("component <> key").select("key", "component"), "near")
+    stage.release()
+    similar = stage.keep(similar_documents(slim, key="key", similarity=similarity).filter("component <> key").select("key", "component"), "similar")
+    links = near.unionByName(similar).select(F.col("key").alias("a"), F.col("component").alias("b")).distinct()
+    return connected_components(links, stage).select(F.col("node").alias(key), "component")

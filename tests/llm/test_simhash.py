@@ -77,3 +77,51 @@ def test_components_of_chains_and_hubs(spark):
     got = {r.node: r.component for r in connected_components(df, Stage(spark, "test")).collect()}
     assert got == {i: 0 for i in range(41)} | {i: 100 for i in range(100, 180)} | {299: 299, 300: 299}
     assert connected_components(df.limit(0), Stage(spark, "test")).count() == 0
+
+
+def slow_similar(texts, similarity=0.8):
+    sets = {}
+    for i, t in texts.items():
+        w = (t or "").encode().lower().split()
+        sets[i] = {b" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    ids = sorted(sets)
+    part = {i: i for i in ids}
+
+    def find(x):
+        while part[x] != x:
+            x = part[x]
+        return x
+
+    for n, a in enumerate(ids):
+        for b in ids[:n]:
+            x, y = sets[a], sets[b]
+            if min(len(x), len(y)) >= similarity * max(len(x), len(y)) and len(x & y) >= similarity * len(x | y):
+                p, q = find(a), find(b)
+                part[max(p, q)] = min(p, q)
+    return {i: find(i) for i in ids}
+
+
+def test_similar_documents_against_all_pairs(spark, sf01):
+    rows = {r.doc_id: r.text for r in spark.read.parquet(f"{sf01}/documents.parquet").select("doc_id", "text").collect()}
+    want = slow_similar(rows)
+    got = {r.doc_id: r.component for r in simhash.similar_documents(spark.read.parquet(f"{sf01}/documents.parquet")).collect()}
+    assert len(set(want.values())) < len(want) - 50
+    assert got == want
+
+
+def test_similar_documents_in_large_groups(spark, monkeypatch):
+    """More near copies of one text than a bucket compares in pairs."""
+    monkeypatch.setattr(simhash, "ALL_PAIRS", 8)
+    rng = random.Random(3)
+    base = [f"w{rng.randrange(5000)}" for _ in range(300)]
+    texts = {7: " ".join(base)}
+    for i in range(100, 180):
+        words = list(base)
+        for _ in range(5):
+            words[rng.randrange(300)] = f"x{rng.randrange(10**6)}"
+        texts[i] = " ".join(words)
+    texts |= {1: " ".join(f"v{rng.randrange(5000)}" for _ in range(300)), 2: "", 3: "", 4: "a b", 5: "A  b", 6: "b a"}
+    df = spark.createDataFrame([*texts.items(), (None, "a b")], "doc_id long, text string")
+    got = {r.doc_id: r.component for r in simhash.similar_documents(df).collect()}
+    assert {i: c for i, c in got.items() if i is not None} == slow_similar(texts) and got[None] is None
+    assert simhash.similar_documents(df.limit(0)).count() == 0
