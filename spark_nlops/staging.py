@@ -19,7 +19,19 @@ def shared_folder(spark: SparkSession) -> str:
     return current.get().rstrip("/")
 
 
+_made: list[str] = []
+
+
+def clear(spark: SparkSession) -> None:
+    """Delete the stage tables of this driver; results that still read them must have been written before."""
+    jvm = spark._jvm
+    while _made:
+        path = jvm.org.apache.hadoop.fs.Path(_made.pop())
+        path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
 def staged(df: DataFrame, name: str = "stage") -> DataFrame:
     path = f"{shared_folder(df.sparkSession)}/nlops-{name}-{uuid.uuid4().hex[:12]}"
+    _made.append(path)
     df.write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
