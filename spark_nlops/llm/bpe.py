@@ -113,7 +113,8 @@ class Codec:
         order = np.argsort(keys)
         self.pair_keys = keys[order]
         self.pair_ranks = np.fromiter(pairs.values(), dtype=np.int32, count=len(pairs))[order]
-        self.memo: dict[str, tuple[bytes, str]] = {}  # ids as 32-bit integers, and their decimal form
+        self.packed: dict[str, bytes] = {}  # ids of a pre-token as 32-bit integers
+        self.said: dict[str, str] = {}  # and in decimal form
 
     # --- pair lookups -------------------------------------------------------------
     def _pair_rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -246,23 +247,23 @@ class Codec:
         """For each text its ids and their decimal form."""
         for a, b in slices([len(t) for t in texts], BATCH_CHARS):
             split = [self.pattern.findall(t) for t in texts[a:b]]
-            memo, distinct = self.memo, set().union(*split)
-            if len(memo) > MEMO_ENTRIES:  # what this batch needs again stays
-                memo = self.memo = {p: memo[p] for p in distinct if p in memo}
-            missing = [p for p in distinct if p not in memo]
+            packed, said, distinct = self.packed, self.said, set().union(*split)
+            if len(packed) > MEMO_ENTRIES:  # what this batch needs again stays
+                packed = self.packed = {p: packed[p] for p in distinct if p in packed}
+                said = self.said = {p: said[p] for p in packed}
+            missing = [p for p in distinct if p not in packed]
             names = self.names
             for p, ids in zip(missing, self.encode_many([p.encode() for p in missing])):
-                memo[p] = array("i", ids).tobytes(), " ".join([names[i] for i in ids])
+                packed[p], said[p] = array("i", ids).tobytes(), " ".join([names[i] for i in ids])
             for pieces in split:
-                parts = list(map(memo.__getitem__, pieces))
-                yield np.frombuffer(b"".join([p[0] for p in parts]), dtype=np.int32), " ".join([p[1] for p in parts])
+                yield np.frombuffer(b"".join(map(packed.__getitem__, pieces)), dtype=np.int32), " ".join(map(said.__getitem__, pieces))
             for p in missing:
                 if len(p) > MEMO_CHARS:
-                    del memo[p]
+                    del packed[p], said[p]
 
     def rest(self) -> None:
         """At a task's end: forget the words, since the worker goes on with other stages (a few kept ones would pin all their memory)."""
-        self.memo = {}
+        self.packed, self.said = {}, {}
 
     def encode(self, text: str) -> list[int]:
         return next(self.encode_texts([text]))[0].tolist()

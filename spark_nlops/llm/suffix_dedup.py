@@ -46,7 +46,7 @@ HOT_PIECES = 4096
 #: Windows counted together where an anchor has more.
 BLOCK = 32
 #: Bytes scanned together, and bytes of one Burrows-Wheeler text.
-SCAN_BYTES, TEXT_BYTES = 1 << 18, 400_000
+SCAN_BYTES, TEXT_BYTES = 1 << 18, 250_000
 #: A piece's place is start * PLACE + windows.
 PLACE = 1024
 _RNG = np.random.default_rng(77)
@@ -154,9 +154,9 @@ def repeated_positions(text: np.ndarray, length: int) -> np.ndarray:
     first has a common prefix of l symbols; levels stop at ``length - 1``.
     """
     n = len(text)
-    order = _rotation_order(text, length + 1)
+    order = _rotation_order(text, length + 1).astype(np.int32)
     last = text[order - 1]  # the transform: the symbol before each suffix
-    back = np.empty(n, dtype=np.int64)
+    back = np.empty(n, dtype=np.int32)
     back[np.argsort(last, kind="stable")] = np.arange(n)  # row of the suffix one symbol longer
     firsts = np.zeros(n + 1, dtype=bool)
     firsts[np.concatenate(([0], np.cumsum(np.bincount(text))))] = True  # rows where the first symbol changes
@@ -164,7 +164,7 @@ def repeated_positions(text: np.ndarray, length: int) -> np.ndarray:
     known = np.zeros(n + 1, dtype=bool)
     known[[0, n]] = True
     low, high = np.array([0]), np.array([n])
-    owner = np.full(n, -1, dtype=np.int64)
+    owner = np.full(n, -1, dtype=np.int32)
     for level in range(length):
         size = high - low
         total = int(size.sum())
@@ -223,28 +223,29 @@ def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            texts = [t.encode() for t in batch["text"]]
-            rows, parts, offsets = [], [], []
-            for i, t in enumerate(texts):
-                if len(t) < length:
-                    continue
-                # long texts overlap by one byte less than a window, so each window is in one part
-                for a in range(0, max(1, len(t) - length + 1), SCAN_BYTES):
-                    rows.append(i)
-                    offsets.append(a)
-                    parts.append(t[a : a + SCAN_BYTES + length - 1])
-            rows, offsets = np.array(rows, dtype=np.int64), np.array(offsets, dtype=np.int64)
-            found = []
-            for a, b in slices([len(p) for p in parts], SCAN_BYTES):
-                if got := pieces_of(parts[a:b], length):
-                    own = got.pop("owner") + a
-                    got["start"] = got["start"] + offsets[own]
-                    found.append(got | {"row": rows[own]})
-            if found:
-                got = {k: np.concatenate([f[k] for f in found]) for k in found[0]}
-                row = got.pop("row")
-                got["place"] = got.pop("start") * PLACE + got.pop("windows")
-                yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "place", "anchor", "digest"]]
+            for x, y in slices(batch["text"].map(len).tolist(), 4_000_000):
+                texts = [t.encode() for t in batch["text"].iloc[x:y]]
+                rows, parts, offsets = [], [], []
+                for i, t in enumerate(texts):
+                    if len(t) < length:
+                        continue
+                    # long texts overlap by one byte less than a window, so each window is in one part
+                    for a in range(0, max(1, len(t) - length + 1), SCAN_BYTES):
+                        rows.append(x + i)
+                        offsets.append(a)
+                        parts.append(t[a : a + SCAN_BYTES + length - 1])
+                rows, offsets = np.array(rows, dtype=np.int64), np.array(offsets, dtype=np.int64)
+                found = []
+                for a, b in slices([len(p) for p in parts], SCAN_BYTES):
+                    if got := pieces_of(parts[a:b], length):
+                        own = got.pop("owner") + a
+                        got["start"] = got["start"] + offsets[own]
+                        found.append(got | {"row": rows[own]})
+                if found:
+                    got = {k: np.concatenate([f[k] for f in found]) for k in found[0]}
+                    row = got.pop("row")
+                    got["place"] = got.pop("start") * PLACE + got.pop("windows")
+                    yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "place", "anchor", "digest"]]
 
     kind = docs.schema["doc"].dataType.simpleString()
     return docs.mapInPandas(run, f"doc {kind}, mark long, place long, anchor long, digest long")
@@ -355,7 +356,7 @@ def _split_hot(pieces: DataFrame, length: int) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None = None) -> DataFrame:
-    """doc, mark, spans (array of low, high byte offsets, unmerged) of the rows with repeats; docs has doc, mark, text."""
+    """doc, mark, lows and highs (byte offsets of spans, unmerged) of the rows with repeats; docs has doc, mark, text."""
     if not 2 * GRAM <= length <= 2 * GRAM + 128:
         raise ValueError(f"length must be from {2 * GRAM} to {2 * GRAM + 128}")
     stage = stage or Stage(docs.sparkSession, "suffix")
@@ -388,18 +389,19 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
         "mark",
         F.zip_with("low", "high", lambda a, b: F.struct((start + a).alias("low"), (start + b + length - 1).alias("high"))).alias("spans"),
     )
-    return plain.unionByName(partly).groupBy("doc", "mark").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    spans = plain.unionByName(partly).groupBy("doc", "mark").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    return spans.select("doc", "mark", F.col("spans.low").alias("lows"), F.col("spans.high").alias("highs"))  # plain numbers for Python
 
 
-def merged(spans) -> list[tuple[int, int]]:
-    """Spans (rows with low and high) as maximal disjoint runs."""
-    out: list[list[int]] = []
-    for low, high in sorted((s["low"], s["high"]) for s in spans):
-        if out and low <= out[-1][1]:
-            out[-1][1] = max(out[-1][1], high)
-        else:
-            out.append([low, high])
-    return [(a, b) for a, b in out]
+def merged(lows, highs) -> list[tuple[int, int]]:
+    """Spans as maximal disjoint runs; None stands for no spans."""
+    if lows is None or not len(lows):
+        return []
+    lows, highs = np.asarray(lows, dtype=np.int64), np.asarray(highs, dtype=np.int64)
+    order = np.argsort(lows, kind="stable")
+    lows, highs = lows[order], np.maximum.accumulate(highs[order])
+    first = np.flatnonzero(np.concatenate(([True], lows[1:] > highs[:-1])))
+    return list(zip(lows[first].tolist(), highs[np.append(first[1:], len(lows)) - 1].tolist()))
 
 
 def whole_characters(data: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -436,9 +438,9 @@ def remove_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             out = []
-            for t, spans in zip(batch["text"], batch["spans"]):
+            for t, lows, highs in zip(batch["text"], batch["lows"], batch["highs"]):
                 data = t.encode()
-                spans = [] if spans is None else merged(spans)
+                spans = merged(lows, highs)
                 bare = _kept(data, spans)
                 row = (len(data), len(data) - len(bare), len(spans), hashlib.sha256(bare).hexdigest())
                 if not digest_only:
@@ -447,7 +449,7 @@ def remove_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
             names = ["n_bytes", "n_removed", "n_spans", "kept_sha256", *([] if digest_only else ["kept", "spans"])]
             yield pd.DataFrame({"doc": batch["doc"].array} | {c: [r[i] for r in out] for i, c in enumerate(names)})
 
-    both = rows.join(found, rows["doc"].eqNullSafe(found["doc"]) & (rows["mark"] == found["mark"]), "left").select(rows["doc"], "text", "spans")
+    both = rows.join(found, rows["doc"].eqNullSafe(found["doc"]) & (rows["mark"] == found["mark"]), "left").select(rows["doc"], "text", "lows", "highs")
     kind = docs.schema[key].dataType.simpleString()
     return both.mapInPandas(run, f"doc {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string{extra}").withColumnRenamed("doc", key)
 
@@ -455,22 +457,22 @@ def remove_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
 def without_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text", length: int = LENGTH) -> DataFrame:
     """All rows and columns, the text without its repeated bytes (whole characters only)."""
     found = repeated_spans(keyed(docs, key, text), length=length)
-    found = found.select(F.col("doc").alias("nlops_doc"), F.col("mark").alias("nlops_mark"), F.col("spans").alias("nlops_spans"))
+    found = found.select(F.col("doc").alias("nlops_doc"), F.col("mark").alias("nlops_mark"), F.col("lows").alias("nlops_lows"), F.col("highs").alias("nlops_highs"))
 
     @F.pandas_udf("string")
-    def cut(texts: pd.Series, spans: pd.Series) -> pd.Series:
+    def cut(texts: pd.Series, lows: pd.Series, highs: pd.Series) -> pd.Series:
         out = []
-        for t, s in zip(texts, spans):
-            if s is None:
+        for t, low, high in zip(texts, lows, highs):
+            if low is None:
                 out.append(t)
                 continue
             data = t.encode()
-            out.append(_kept(data, whole_characters(data, merged(s))).decode())
+            out.append(_kept(data, whole_characters(data, merged(low, high))).decode())
         return pd.Series(out, dtype=object)
 
     marked = docs.withColumn("nlops_own", F.xxhash64(text_or_empty(text)))
     both = marked.join(found, F.col(key).eqNullSafe(F.col("nlops_doc")) & (F.col("nlops_own") == F.col("nlops_mark")), "left")
-    return both.withColumn(text, F.when(F.col("nlops_spans").isNull(), F.col(text)).otherwise(cut(text_or_empty(text), F.col("nlops_spans")))).select(*docs.columns)
+    return both.withColumn(text, F.when(F.col("nlops_lows").isNull(), F.col(text)).otherwise(cut(text_or_empty(text), F.col("nlops_lows"), F.col("nlops_highs")))).select(*docs.columns)
 
 
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

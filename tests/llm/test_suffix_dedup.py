@@ -74,7 +74,7 @@ def test_edges(spark):
 def test_kept_text_has_whole_characters():
     data = "aé漢b".encode()
     assert S.whole_characters(data, [(2, 4)]) == [] and S.whole_characters(data, [(1, 5)]) == [(1, 3)]
-    assert S.merged([{"low": 5, "high": 9}, {"low": 0, "high": 5}, {"low": 20, "high": 21}]) == [(0, 9), (20, 21)]
+    assert S.merged([5, 0, 20, 1], [9, 5, 21, 2]) == [(0, 9), (20, 21)] and S.merged(None, None) == []
 
 
 @pytest.mark.parametrize("seed", range(6))
