@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -43,11 +44,16 @@ class Stage:
         """Let Spark's context cleaner delete the shuffle files of finished jobs before the next ones write theirs."""
         gc.collect()
         self.spark._jvm.System.gc()
+        time.sleep(1.0)  # the cleaner works beside us
+
+    def clear(self) -> None:
+        """Free all of them."""
+        self.drop("")
 
     def drop(self, name: str) -> None:
         """Free an intermediate that no later plan reads."""
         jvm = self.spark._jvm
-        path = jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}")
+        path = jvm.org.apache.hadoop.fs.Path(f"{self.base}/{name}".rstrip("/"))
         path.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 

@@ -148,9 +148,9 @@ def fingerprint_links(distinct: DataFrame, *, max_bits: int = MAX_BITS) -> DataF
     return buckets.mapInPandas(run, "a long, b long").filter("a <> b").distinct()
 
 
-def near_duplicates(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 3, max_bits: int = MAX_BITS) -> DataFrame:
+def near_duplicates(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 3, max_bits: int = MAX_BITS, stage: Stage | None = None) -> DataFrame:
     """key, fp and component (smallest key reachable over links) for every row. Keys are integers."""
-    stage = Stage(docs.sparkSession, "simhash")
+    stage = stage or Stage(docs.sparkSession, "simhash")
     marked = stage.keep(fingerprints(docs.withColumn(key, F.col(key).cast("long")), key=key, text=text, shingle=shingle), "fps")
     distinct = marked.filter(F.col(key).isNotNull()).groupBy("fp").agg(F.min(key).alias("rep"))
     links = stage.keep(fingerprint_links(distinct, max_bits=max_bits), "links")
@@ -248,7 +248,7 @@ def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> DataFrame:
     return slim.mapInPandas(discard, "a long, b long")
 
 
-def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8, stage: Stage | None = None) -> DataFrame:
     """key and component of every row: components of texts whose shingle sets have at least the given Jaccard similarity.
 
     Texts with the same set are folded.  Candidates share one of their least
@@ -259,7 +259,7 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
     other, so a link between two members that no leader is near to can be missed
     there unless they also meet in a smaller bucket.
     """
-    stage = Stage(docs.sparkSession, "similar")
+    stage = stage or Stage(docs.sparkSession, "similar")
     marked = stage.keep(_sets(docs, key, text, shingle), "sets")
     folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
     sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
@@ -292,8 +292,12 @@ def duplicate_groups(docs: DataFrame, *, key: str = "doc_id", text: str = "text"
     """key and component of the rows that are in a group of several keys: linked by fingerprints of three words at two bits, or by sets of five words at the similarity."""
     slim = docs.select(F.col(key).cast("long").alias("key"), F.col(text).alias("text"))
     stage = Stage(docs.sparkSession, "groups")
-    near = stage.keep(near_duplicates(slim, key="key").filter("component <> key").select("key", "component"), "near")
-    stage.release()
-    similar = stage.keep(similar_documents(slim, key="key", similarity=similarity).filter("component <> key").select("key", "component"), "similar")
+    inner = Stage(docs.sparkSession, "inner")  # its tables go as soon as the groups are written
+    near = stage.keep(near_duplicates(slim, key="key", stage=inner).filter("component <> key").select("key", "component"), "near")
+    inner.clear()
+    inner.release()
+    similar = stage.keep(similar_documents(slim, key="key", similarity=similarity, stage=inner).filter("component <> key").select("key", "component"), "similar")
+    inner.clear()
+    inner.release()
     links = near.unionByName(similar).select(F.col("key").alias("a"), F.col("component").alias("b")).distinct()
     return connected_components(links, stage).select(F.col("node").alias(key), "component")
