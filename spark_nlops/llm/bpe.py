@@ -38,7 +38,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, slices, text_or_empty
+from .common import read_table, slices, text_or_empty, trim_memory
 
 NONE = np.int32(2**31 - 1)
 #: Characters of text tokenised together; bounds a worker's memory.
@@ -316,6 +316,7 @@ def encode_documents(
                 out.insert(0, "key", batch["key"].array[a:b])
                 yield out
         codec.rest()
+        trim_memory()
 
     kind = docs.schema[key].dataType.simpleString()
     out = docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).mapInPandas(run, f"key {kind}, {schema}")

@@ -80,3 +80,16 @@ def slices(lengths, budget: int):
         total += n
     if start < len(lengths):
         yield start, len(lengths)
+
+
+def trim_memory() -> None:
+    """At a task's end: give freed memory back, since Python workers go on with other stages."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass

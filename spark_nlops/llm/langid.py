@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc_remainder, read_table, text_or_empty
+from .common import crc_remainder, read_table, text_or_empty, trim_memory
 
 ORDERS, BITS = 3, 15
 FEATURES = ORDERS << BITS
@@ -205,6 +205,7 @@ def predict(docs: DataFrame, model: LanguageModel, *, text: str = "text") -> Dat
         model = shipped.value
         for batch in texts:
             yield pd.DataFrame([model.predict(t) for t in batch], columns=["lang", "score"])
+        trim_memory()
 
     return docs.withColumn("nlops_language", language(text_or_empty(text)))
 

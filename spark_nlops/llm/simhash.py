@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Stage, read_table, slices, text_or_empty
+from .common import Stage, read_table, slices, text_or_empty, trim_memory
 from .graph import connected_components
 
 SEED, MAX_BITS = 42, 2
@@ -212,6 +212,7 @@ def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
                     grams = np.unique((values >> np.uint64(32)).astype("<u4")).tobytes()
                     rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), int(np.uint64(fp).view(np.int64)), len(grams) // 4, values[:SKETCH].view(np.int64), grams))
                 yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "fp", "n", "sketch", "grams"])})
+        trim_memory()
 
     rows = docs.select(F.col(key).cast("long").alias("doc"), text_or_empty(text).alias("text"))
     return rows.mapInPandas(run, "doc long, whole long, fp long, n int, sketch array<long>, grams binary")
@@ -280,6 +281,7 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
                 shared = int((both[1:] == both[:-1]).sum())
                 keep.append(shared >= similarity * (len(both) - shared))
             yield batch.loc[np.array(keep, dtype=bool), ["a", "b"]]
+        trim_memory()
 
     links = stage.keep(held.mapInPandas(verify, "a long, b long"), "links")
     parts = connected_components(links, stage)

@@ -38,7 +38,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Stage, read_table, slices, text_or_empty
+from .common import Stage, read_table, slices, text_or_empty, trim_memory
 
 LENGTH, GRAM = 200, 64
 #: Distinct pieces of an anchor that are still expanded together.
@@ -246,6 +246,7 @@ def _scan_pieces(docs: DataFrame, length: int) -> DataFrame:
                     row = got.pop("row")
                     got["place"] = got.pop("start") * PLACE + got.pop("windows")
                     yield pd.DataFrame({"doc": batch["doc"].array[row], "mark": batch["mark"].to_numpy()[row]} | got)[["doc", "mark", "place", "anchor", "digest"]]
+        trim_memory()
 
     kind = docs.schema["doc"].dataType.simpleString()
     return docs.mapInPandas(run, f"doc {kind}, mark long, place long, anchor long, digest long")
@@ -291,6 +292,7 @@ def _expand(pieces: DataFrame, length: int) -> DataFrame:
             sums = np.add.reduceat(rows["piece"].map(len).to_numpy(), borders[:-1])
             for a, b in slices(sums.tolist(), TEXT_BYTES):
                 yield solve(rows.iloc[borders[a] : borders[b]])
+        trim_memory()
 
     spread = pieces.repartition("anchor").sortWithinPartitions("anchor")
     return spread.mapInPandas(run, "anchor long, digest long, low array<int>, high array<int>")

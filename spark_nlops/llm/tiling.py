@@ -29,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, text_or_empty
+from .common import read_table, text_or_empty, trim_memory
 
 SEED, THRESHOLD = 5, 0.6
 BLOCK_BYTES = 32_000_000
@@ -188,6 +188,7 @@ def _comparer(spark: SparkSession, items: list[tuple[int, str]], seed: int, thre
         known = Benchmark(shipped.value, seed)
         for batch in texts:
             yield pd.Series([[{"coverage": -c, "item": k} for k, c in known.compare(t, threshold)] for t in batch], dtype=object)
+        trim_memory()
 
     return compare
 
