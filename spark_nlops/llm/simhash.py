@@ -173,8 +173,12 @@ def op3_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- near-duplicates by shingle similarity ---------------------------------------------
 #: Least shingles of a text by which candidates meet; two texts of similarity s share none with probability (1 - s)^SKETCH.
 SKETCH = 8
-#: Members of a bucket up to which all its pairs are compared; larger buckets compare each member with their leaders.
+#: Members of a bucket up to which all its pairs are listed; larger buckets first compare each member with their leaders, then what is still apart by prefixes.
 ALL_PAIRS = 32
+#: Members of a block when a large bucket is compared block against block.
+BLOCK = 1024
+#: Texts whose shingles are counted to tell common shingles from rare ones, and the number of common ones told to all tasks.
+COUNTED, COMMON = 4_000, 200_000
 
 
 def hamming_reach(similarity: float) -> int:
@@ -218,14 +222,15 @@ def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
     return rows.mapInPandas(run, "doc long, whole long, fp long, n int, sketch array<long>, grams binary")
 
 
-def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> DataFrame:
-    """Pairs (a, b) of representatives that meet in a sketch bucket and survive the pivot tables."""
+def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> tuple[DataFrame, DataFrame]:
+    """Pairs (a, b) of representatives that meet in a small sketch bucket, or as member and leader of a large one, and survive the pivot tables; and the members (value, rep) of large buckets."""
     member = F.struct("rep", "fp", "n")
     keys = stage.keep(sets.select(F.explode("sketch").alias("value"), "rep", "fp", "n"), "keys")
     counts = keys.groupBy("value").agg(F.count("*").alias("m")).filter("m > 1")
     met = stage.keep(keys.join(counts, "value"), "met")
     # a text's weight: how often its sketch is met elsewhere; the text that copies were made from has the largest
     weights = met.groupBy("rep").agg(F.sum(F.log2("m")).alias("weight"))
+    members = stage.keep(met.filter(F.col("m") > ALL_PAIRS).select("value", "rep"), "large")
     large = met.filter(F.col("m") > ALL_PAIRS).join(weights, "rep")
     leaders = large.groupBy("value").agg(
         F.max_by(member, F.struct("weight", "rep")).alias("l1"), F.min_by(member, F.struct("rep")).alias("l2"), F.max_by(member, F.struct("n", "rep")).alias("l3")
@@ -246,28 +251,11 @@ def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> DataFrame:
             yield batch.loc[near, ["a", "b"]]
 
     slim = pairs.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"), F.col("x.fp").alias("fx"), F.col("y.fp").alias("fy")).distinct()
-    return slim.mapInPandas(discard, "a long, b long")
+    return slim.mapInPandas(discard, "a long, b long"), members
 
 
-def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8, stage: Stage | None = None) -> DataFrame:
-    """key and component of every row: components of texts whose shingle sets have at least the given Jaccard similarity.
-
-    Texts with the same set are folded.  Candidates share one of their least
-    shingles; pivot tables over SimHash fingerprints discard candidates that differ
-    in more bits than such pairs do; the sets themselves verify the rest.  Buckets of
-    more than ``ALL_PAIRS`` different texts compare every member with three leaders
-    (the text that is met most often, the first, and the longest) and not with each
-    other, so a link between two members that no leader is near to can be missed
-    there unless they also meet in a smaller bucket.
-    """
-    stage = stage or Stage(docs.sparkSession, "similar")
-    marked = stage.keep(_sets(docs, key, text, shingle), "sets")
-    folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
-    sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
-    pairs = stage.keep(_candidates(sets.select("rep", "fp", "n", "sketch"), similarity, stage), "pairs")
-    stage.drop("keys")
-    stage.drop("met")
-    stage.release()
+def _verified(pairs: DataFrame, marked: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose sets have at least the similarity."""
     ends = pairs.select("a", "b", F.explode(F.array("a", "b")).alias("rep"))
     held = ends.join(marked.select(F.col("doc").alias("rep"), "grams"), "rep").groupBy("a", "b").agg(F.min("grams").alias("g1"), F.max("grams").alias("g2"))
 
@@ -283,8 +271,145 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
             yield batch.loc[np.array(keep, dtype=bool), ["a", "b"]]
         trim_memory()
 
-    links = stage.keep(held.mapInPandas(verify, "a long, b long"), "links")
-    parts = connected_components(links, stage)
+    return held.mapInPandas(verify, "a long, b long")
+
+
+def _common_shingles(texts: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The commonest shingles of a bounded sample in order, and their counts. They only decide which order is cheap: prefixes are complete in any order."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for a, b in slices(batch["grams"].map(len).tolist(), 8_000_000):
+                gram, count = np.unique(np.frombuffer(b"".join(batch["grams"].iloc[a:b]), dtype="<u4"), return_counts=True)
+                yield pd.DataFrame({"gram": gram.view(np.int32), "n": count})
+
+    drawn = texts.filter(F.pmod(F.xxhash64(F.lit(5), "rep"), F.lit(1_000_000)) < F.lit(min(1.0, COUNTED / max(n, 1)) * 1_000_000))
+    counts = drawn.select("grams").mapInPandas(run, "gram int, n long").groupBy("gram").agg(F.sum("n").alias("n")).filter("n > 1")
+    best = counts.orderBy(F.desc("n"), "gram").limit(COMMON).toPandas()
+    gram, count = best["gram"].to_numpy(dtype=np.int32).view(np.uint32), best["n"].to_numpy(dtype=np.int64)
+    order = np.argsort(gram)
+    return gram[order], count[order]
+
+
+def _prefixes(texts: DataFrame, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
+    """token, at, rep, component and n for the rarest shingles of each text: sets of the similarity share one of these at least, whatever the order."""
+    shipped = texts.sparkSession.sparkContext.broadcast(common)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        known, counts = shipped.value
+        for batch in batches:
+            tokens = []
+            for grams in batch["grams"]:
+                g = np.frombuffer(grams, dtype="<u4")
+                seen = np.zeros(len(g), dtype=np.int64)
+                if len(known):
+                    place = np.minimum(np.searchsorted(known, g), len(known) - 1)
+                    seen = np.where(known[place] == g, counts[place], 0)
+                length = len(g) - int(np.ceil(similarity * len(g) - 1e-9)) + 1 if len(g) else 0
+                tokens.append(g[np.lexsort((g, seen))[:length]].view(np.int32))
+            yield pd.DataFrame({"rep": batch["rep"].array, "component": batch["component"].array, "n": batch["n"].array, "tokens": tokens})
+
+    rows = texts.select("rep", "component", "n", "grams").mapInPandas(run, "rep long, component long, n int, tokens array<int>")
+    return rows.select(F.posexplode("tokens").alias("at", "token"), "rep", "component", "n")
+
+
+def _across(keys: DataFrame, similarity: float, stage: Stage) -> DataFrame:
+    """Pairs (a, b) of different components that share a prefix token and whose lengths and places in the order leave room for the similarity."""
+    counts = keys.groupBy("token").agg(F.count("*").alias("m"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi")
+    met = stage.keep(keys.join(counts.select("token", "m"), "token"), "across_met")
+    share = similarity / (1 + similarity)
+    member = F.struct("rep", "component", "n", "at")
+    few = met.filter(F.col("m") <= ALL_PAIRS).groupBy("token").agg(F.sort_array(F.collect_list(member)).alias("items"))
+    few = few.select(F.posexplode("items").alias("place", "x"), "items").select("x", F.explode(F.slice("items", F.col("place") + 2, F.size("items"))).alias("y"))
+    few = few.filter(
+        (F.col("x.component") != F.col("y.component"))
+        & (F.least("x.n", "y.n") >= F.lit(similarity) * F.greatest("x.n", "y.n") - 1e-6)
+        # the first shared token has no shared ones before it, so what follows it bounds the overlap
+        & (F.least(F.col("x.n") - F.col("x.at"), F.col("y.n") - F.col("y.at")) >= F.lit(share) * (F.col("x.n") + F.col("y.n")) - 1e-6)
+    ).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
+    blocks = F.ceil(F.col("m") / BLOCK).cast("int")
+    dealt = met.filter(F.col("m") > ALL_PAIRS).withColumn("own", F.pmod(F.xxhash64("rep"), blocks).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    cells = (
+        dealt.groupBy("token", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+        .agg(F.collect_list(F.struct("rep", "component", "n", "at", "own")).alias("items"))
+        .select("i", "j", *[F.col(f"items.{c}").alias(c) for c in ("rep", "component", "n", "at", "own")])
+    )
+
+    def compare(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for row in batch.itertuples(index=False):
+                rep, component, n, at, own = (np.asarray(v, dtype=np.int64) for v in (row.rep, row.component, row.n, row.at, row.own))
+                left, right = np.flatnonzero(own == row.i), np.flatnonzero(own == row.j)
+                for k in range(0, len(left), 256):
+                    x, y = left[k : k + 256, None], right[None, :]
+                    near = component[x] != component[y]
+                    near &= np.minimum(n[x], n[y]) >= similarity * np.maximum(n[x], n[y]) - 1e-6
+                    near &= np.minimum(n[x] - at[x], n[y] - at[y]) >= share * (n[x] + n[y]) - 1e-6
+                    if row.i == row.j:
+                        near &= rep[x] < rep[y]
+                    a, b = np.nonzero(near)
+                    if len(a):
+                        a, b = rep[left[k + a]], rep[right[b]]
+                        yield pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    return few.unionByName(cells.mapInPandas(compare, "a long, b long")).distinct()
+
+
+def _links_across(marked: DataFrame, large: DataFrame, parts: DataFrame, similarity: float, stage: Stage) -> DataFrame | None:
+    """Verified links (a, b) between members of large buckets that the links so far leave in different components; None if there is nothing to compare."""
+    names = parts.select(F.col("node").alias("rep"), F.col("component").alias("known"))
+    named = large.join(names, "rep", "left").select("value", "rep", F.coalesce("known", "rep").alias("component"))
+    apart = named.groupBy("value").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("value")
+    members = stage.keep(named.join(apart, "value", "left_semi").select("rep", "component").distinct(), "members")
+    n = members.count()
+    if not n:
+        return None
+    texts = members.join(marked.select(F.col("doc").alias("rep"), "n", "grams"), "rep")
+    texts = stage.keep(texts, "texts")
+    keys = stage.keep(_prefixes(texts, similarity, _common_shingles(texts, n)), "tokens")
+    pairs = stage.keep(_across(keys, similarity, stage), "across")
+    for name in ("texts", "tokens", "across_met"):
+        stage.drop(name)
+    found, size = [], pairs.count()
+    if size > 8 * n:  # a random part joins most of what belongs together; the rest is compared where it is still apart
+        draw = F.pmod(F.xxhash64(F.lit(7), "a", "b"), F.lit(1_000_000)) < F.lit(int(8_000_000 * n / size) + 1)
+        found.append(stage.keep(_verified(pairs.filter(draw), marked, similarity), "across_first"))
+        joined = stage.keep(connected_components(found[0].unionByName(members.select(F.col("rep").alias("a"), F.col("component").alias("b"))), stage), "joined")
+        for end in ("a", "b"):
+            pairs = pairs.join(joined.select(F.col("node").alias(end), F.col("component").alias(f"c{end}")), end, "left").withColumn(f"c{end}", F.coalesce(f"c{end}", end))
+        pairs = pairs.filter(~draw & (F.col("ca") != F.col("cb"))).select("a", "b")
+    found.append(stage.keep(_verified(pairs, marked, similarity), "across_links"))
+    return found[0] if len(found) == 1 else found[0].unionByName(found[1])
+
+
+def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8, stage: Stage | None = None) -> DataFrame:
+    """key and component of every row: components of texts whose shingle sets have at least the given Jaccard similarity.
+
+    Texts with the same set are folded.  Candidates share one of their least
+    shingles; pivot tables over SimHash fingerprints discard candidates that differ
+    in more bits than such pairs do; the sets themselves verify the rest.  Buckets of
+    more than ``ALL_PAIRS`` different texts first compare every member with three
+    leaders (the text that is met most often, the first, and the longest).  Members
+    that these links leave in different components are then compared by prefixes:
+    with rare shingles first, sets of the similarity share a token of their prefixes,
+    large tokens are compared block against block, and the sets verify what is left.
+    Pairs within a component are not compared, since they can't change the result.
+    """
+    stage = stage or Stage(docs.sparkSession, "similar")
+    marked = stage.keep(_sets(docs, key, text, shingle), "sets")
+    folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
+    sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
+    pairs, large = _candidates(sets.select("rep", "fp", "n", "sketch"), similarity, stage)
+    pairs = stage.keep(pairs, "pairs")
+    stage.drop("keys")
+    stage.drop("met")
+    stage.release()
+    links = stage.keep(_verified(pairs, marked, similarity), "links")
+    parts = stage.keep(connected_components(links, stage), "parts")
+    more = _links_across(marked, large, parts, similarity, stage)
+    if more is not None:
+        parts = connected_components(links.unionByName(more), stage)
     named = folded.join(parts.select(F.col("node").alias("rep"), "component"), "rep", "left").select("whole", F.coalesce("component", "rep").alias("component"))
     out = marked.select("doc", "whole").join(named, "whole", "left")
     return out.select(F.col("doc").alias(key), F.when(F.col("doc").isNotNull(), F.col("component")).alias("component"))

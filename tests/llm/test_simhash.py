@@ -125,3 +125,39 @@ def test_similar_documents_in_large_groups(spark, monkeypatch):
     got = {r.doc_id: r.component for r in simhash.similar_documents(df).collect()}
     assert {i: c for i, c in got.items() if i is not None} == slow_similar(texts) and got[None] is None
     assert simhash.similar_documents(df.limit(0)).count() == 0
+
+
+def shared_passage(n):
+    """Pairs of near copies in texts of which 79 % is one passage; texts of different pairs are less similar than 0.8."""
+    rng = random.Random(1)
+    words = lambda n, p: [f"{p}{rng.randrange(10**7)}" for _ in range(n)]
+    passage, texts = words(237, "s"), {}
+    for k in range(n):
+        own = words(63, "o")
+        texts[2 * k] = " ".join(passage + own)
+        own[rng.randrange(63)] = f"z{k}"
+        texts[2 * k + 1] = " ".join(passage + own)
+    return texts
+
+
+def test_similar_documents_that_meet_in_large_buckets_only(spark, monkeypatch):
+    texts = shared_passage(100)
+    want = slow_similar(texts)
+    assert len(set(want.values())) == 100
+    df = spark.createDataFrame([*texts.items()], "doc_id long, text string")
+    monkeypatch.setattr(simhash, "BLOCK", 16)  # more than one block
+    assert {r.doc_id: r.component for r in simhash.similar_documents(df).collect()} == want
+
+
+def test_prefix_pairs_that_have_to_be_drawn(spark, monkeypatch):
+    """A chain of texts without a common source: many candidates, of which a random part is verified first."""
+    rng = random.Random(4)
+    words = [f"w{i}" for i in range(400)]
+    texts = {}
+    for i in range(120):
+        words[(3 * i) % 400 : (3 * i) % 400 + 3] = [f"x{i}_{k}" for k in range(3)]
+        texts[i] = " ".join(words)
+    texts |= {1000 + i: " ".join(f"v{rng.randrange(10**6)}" for _ in range(100)) for i in range(5)}
+    monkeypatch.setattr(simhash, "ALL_PAIRS", 2)
+    df = spark.createDataFrame([*texts.items()], "doc_id long, text string")
+    assert {r.doc_id: r.component for r in simhash.similar_documents(df).collect()} == slow_similar(texts)
