@@ -177,23 +177,18 @@ SKETCH = 8
 ALL_PAIRS = 32
 #: Members of a block when a large bucket is compared block against block.
 BLOCK = 1024
+#: 64-bit words of a set's parity bitmap.
+PARITY = 8
 #: Texts whose shingles are counted to tell common shingles from rare ones, and the number of common ones told to all tasks.
 COUNTED, COMMON = 4_000, 200_000
 
 
-def hamming_reach(similarity: float) -> int:
-    """Differing bits that pairs of a Jaccard similarity stay below, four standard deviations out."""
-    cosine = 2 * similarity / (1 + similarity)
-    p = float(np.arccos(min(1.0, cosine)) / np.pi)
-    return int(np.ceil(64 * p + 4 * np.sqrt(64 * p * (1 - p))))
-
-
-def shingle_set(text: str, shingle: int) -> tuple[np.ndarray, int]:
-    """The distinct shingle hashes in order, and the fingerprint of all shingles."""
+def shingle_set(text: str, shingle: int) -> np.ndarray:
+    """The distinct shingle hashes in order."""
     words = text.encode().lower().split()
     n = len(words)
     if not n:
-        return np.zeros(0, dtype=np.uint64), 0
+        return np.zeros(0, dtype=np.uint64)
     joined = b" ".join(words)
     if n <= shingle:
         values = np.array([xxh64_intdigest(joined, SEED)], dtype="<u8")
@@ -201,31 +196,37 @@ def shingle_set(text: str, shingle: int) -> tuple[np.ndarray, int]:
         ends = np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=n) + 1) - 1
         starts = np.concatenate(([0], ends[:-1] + 1))[: n - shingle + 1]
         values = np.array([xxh64_intdigest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[shingle - 1 :].tolist())], dtype="<u8")
-    return np.unique(values), majority(values)
+    return np.unique(values)
+
+
+def parity(grams: np.ndarray) -> np.ndarray:
+    """Bitmap that every member of a set of 32-bit hashes flips a bit of: two bitmaps differ in no more bits than their sets in members."""
+    bits = np.bincount(grams & np.uint32(64 * PARITY - 1), minlength=64 * PARITY) & 1
+    return np.packbits(bits.astype(np.uint8), bitorder="little").view("<i8")
 
 
 def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
-    """doc, whole (hash of the set), fp, n, sketch and grams (sorted 32-bit shingle hashes) of each text."""
+    """doc, whole (hash of the set), n, sketch, parity and grams (sorted 32-bit shingle hashes) of each text."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             for a, b in slices(batch["text"].map(len).tolist(), 4_000_000):
                 rows = []
                 for t in batch["text"].iloc[a:b]:
-                    values, fp = shingle_set(t, shingle)
-                    grams = np.unique((values >> np.uint64(32)).astype("<u4")).tobytes()
-                    rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), int(np.uint64(fp).view(np.int64)), len(grams) // 4, values[:SKETCH].view(np.int64), grams))
-                yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "fp", "n", "sketch", "grams"])})
+                    values = shingle_set(t, shingle)
+                    grams = np.unique((values >> np.uint64(32)).astype("<u4"))
+                    rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), len(grams), values[:SKETCH].view(np.int64), parity(grams), grams.tobytes()))
+                yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "n", "sketch", "parity", "grams"])})
         trim_memory()
 
     rows = docs.select(F.col(key).cast("long").alias("doc"), text_or_empty(text).alias("text"))
-    return rows.mapInPandas(run, "doc long, whole long, fp long, n int, sketch array<long>, grams binary")
+    return rows.mapInPandas(run, "doc long, whole long, n int, sketch array<long>, parity array<long>, grams binary")
 
 
 def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> tuple[DataFrame, DataFrame]:
-    """Pairs (a, b) of representatives that meet in a small sketch bucket, or as member and leader of a large one, and survive the pivot tables; and the members (value, rep) of large buckets."""
-    member = F.struct("rep", "fp", "n")
-    keys = stage.keep(sets.select(F.explode("sketch").alias("value"), "rep", "fp", "n"), "keys")
+    """Pairs (a, b) of representatives that meet in a small sketch bucket, or as member and leader of a large one, and whose parity bitmaps leave room for the similarity; and the members (value, rep) of large buckets."""
+    member = F.struct("rep", "n", "parity")
+    keys = stage.keep(sets.select(F.explode("sketch").alias("value"), "rep", "n", "parity"), "keys")
     counts = keys.groupBy("value").agg(F.count("*").alias("m")).filter("m > 1")
     met = stage.keep(keys.join(counts, "value"), "met")
     # a text's weight: how often its sketch is met elsewhere; the text that copies were made from has the largest
@@ -241,17 +242,10 @@ def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> tuple[DataF
     pairs = led.unionByName(few).filter("x.rep <> y.rep").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).filter(
         (F.least("x.n", "y.n") >= F.lit(similarity) * F.greatest("x.n", "y.n"))
     )
-    reach = hamming_reach(similarity)
-
-    def discard(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            x, y = batch["fx"].to_numpy(dtype=np.int64).view(np.uint64), batch["fy"].to_numpy(dtype=np.int64).view(np.uint64)
-            apart = np.abs(np.bitwise_count(x[:, None] ^ PIVOTS).astype(np.int16) - np.bitwise_count(y[:, None] ^ PIVOTS).astype(np.int16)).max(axis=1)
-            near = (apart <= reach) & (np.bitwise_count(x ^ y) <= reach)
-            yield batch.loc[near, ["a", "b"]]
-
-    slim = pairs.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"), F.col("x.fp").alias("fx"), F.col("y.fp").alias("fy")).distinct()
-    return slim.mapInPandas(discard, "a long, b long"), members
+    # members that are in one set only: at most (1 - s) / (1 + s) of both lengths, and every bit that differs needs one
+    differ = sum((F.bit_count(F.col("x.parity")[i].bitwiseXOR(F.col("y.parity")[i])) for i in range(1, PARITY)), F.bit_count(F.col("x.parity")[0].bitwiseXOR(F.col("y.parity")[0])))
+    near = pairs.filter(differ <= F.lit((1 - similarity) / (1 + similarity)) * (F.col("x.n") + F.col("y.n")) + 1e-6)
+    return near.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), members
 
 
 def _verified(pairs: DataFrame, marked: DataFrame, similarity: float) -> DataFrame:
@@ -387,8 +381,8 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
     """key and component of every row: components of texts whose shingle sets have at least the given Jaccard similarity.
 
     Texts with the same set are folded.  Candidates share one of their least
-    shingles; pivot tables over SimHash fingerprints discard candidates that differ
-    in more bits than such pairs do; the sets themselves verify the rest.  Buckets of
+    shingles; bitmaps of the sets' parities discard candidates that provably differ
+    in more members than such pairs do; the sets themselves verify the rest.  Buckets of
     more than ``ALL_PAIRS`` different texts first compare every member with three
     leaders (the text that is met most often, the first, and the longest).  Members
     that these links leave in different components are then compared by prefixes:
@@ -400,7 +394,7 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
     marked = stage.keep(_sets(docs, key, text, shingle), "sets")
     folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
     sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
-    pairs, large = _candidates(sets.select("rep", "fp", "n", "sketch"), similarity, stage)
+    pairs, large = _candidates(sets.select("rep", "n", "sketch", "parity"), similarity, stage)
     pairs = stage.keep(pairs, "pairs")
     stage.drop("keys")
     stage.drop("met")

@@ -161,3 +161,24 @@ def test_prefix_pairs_that_have_to_be_drawn(spark, monkeypatch):
     monkeypatch.setattr(simhash, "ALL_PAIRS", 2)
     df = spark.createDataFrame([*texts.items()], "doc_id long, text string")
     assert {r.doc_id: r.component for r in simhash.similar_documents(df).collect()} == slow_similar(texts)
+
+
+def test_similar_documents_that_differ_in_repeats(spark):
+    rng = random.Random(2)
+    texts = {}
+    for k, times in enumerate((10, 20, 40) * 3):
+        words, line = ([f"{p}{rng.randrange(10**7)}" for _ in range(n)] for p, n in (("a", 200), ("l", 10)))
+        texts[2 * k], texts[2 * k + 1] = " ".join(words + line), " ".join(words + line * times)
+    want = slow_similar(texts)
+    assert len(set(want.values())) == 9
+    df = spark.createDataFrame([*texts.items()], "doc_id long, text string")
+    assert {r.doc_id: r.component for r in simhash.similar_documents(df).collect()} == want
+
+
+def test_parities_bound_the_difference():
+    rng = np.random.default_rng(3)
+    for n in (1, 40, 3000):
+        x, y = (np.unique(rng.integers(0, 2**32, n, dtype=np.uint32)) for _ in range(2))
+        y = np.unique(np.concatenate((x[: n // 2], y)))
+        bits = np.bitwise_count((simhash.parity(x) ^ simhash.parity(y)).view(np.uint64)).sum()
+        assert bits <= len(np.setxor1d(x, y))
