@@ -2,8 +2,8 @@
 
 Noisy-channel restoration: a disguised word is a lattice of characters.  A digit
 or sign may stand for the letters it resembles, a letter of a run may be a
-repetition, a sign between letters may be nothing, and spaces between single
-letters may be nothing or a word's end.  The Viterbi path under a character
+repetition, a sign between letters may be nothing, and white space between short
+pieces (one or two characters, or characters with signs between) may be nothing or a word's end.  The Viterbi path under a character
 trigram model, whose counts come from *all* documents, is the restored word.
 Words that can't be disguised pass as they are.
 
@@ -45,9 +45,12 @@ CODES = 64  # 0 is a word's border, 1 to 26 are a to z, then hashed other letter
 WORD_BITS = 20
 #: Restored words remembered by a worker.
 MEMO_ENTRIES = 300_000
-SPACED = re.compile(r"(?<!\S)(?:\S[ \t]{1,2}){2,}\S(?!\S)")
 CLEAN = re.compile(r"[^\W\d_]+").fullmatch
-TRIPLE = re.compile(r"(.)\1\1|(.)\2.*(.)\3")
+DOUBLE = re.compile(r"(.)\1")
+#: A piece of a word in pieces: one or two characters, or single characters with signs between them.
+FRAGMENT = re.compile(r"\S{1,2}|\S(?:[-._*~'`,:;/\\|^+=·•]+\w)+").fullmatch
+#: Longest run of fragments that is remembered.
+MEMO_LENGTH = 40
 EDGES = "\"'.,:;()[]{}«»„“”‘’?¿-–—_*~`/\\"
 
 
@@ -107,7 +110,7 @@ class Restorer:
     @staticmethod
     def disguised(word: str) -> bool:
         if CLEAN(word):
-            return TRIPLE.search(word) is not None
+            return DOUBLE.search(word) is not None
         return any(map(str.isalpha, word)) or any(c in "@$" for c in word)
 
     def lattice(self, text: str) -> Iterator[list[tuple[str, float]]]:
@@ -167,8 +170,33 @@ class Restorer:
     def words(self, text: str) -> list[str]:
         """The restored words of a text, in order, in lower case and without punctuation around them."""
         text = text.lower()
-        spaced = [w for m in SPACED.finditer(text) for w in self.decode(re.sub(r"\s+", " ", m.group()).strip(EDGES)).split()]
-        return list(map(self.word, text.split())) + spaced
+        raw = text.split()
+        return list(map(self.word, raw)) + [w for run in fragment_runs(raw) for w in self.run(run)]
+
+    def run(self, raw: str) -> list[str]:
+        """The words that a run of fragments, joined by single spaces, is restored to."""
+        found = self.memo.get(raw)
+        if found is None:
+            found = self.decode(raw.strip(EDGES))
+            if len(raw) <= MEMO_LENGTH:
+                if len(self.memo) >= MEMO_ENTRIES:
+                    self.memo.clear()
+                self.memo[raw] = found
+        return found.split()
+
+
+def fragment_runs(words: list[str]) -> Iterator[str]:
+    """Maximal runs of two or more fragments with three or more characters, whatever white space was between them."""
+    start = None
+    for at, word in enumerate(words):
+        if len(word) <= 2 or (not CLEAN(word) and FRAGMENT(word.strip(EDGES))):
+            start = at if start is None else start
+        elif start is not None:
+            if at - start > 1 and sum(map(len, words[start:at])) > 2:
+                yield " ".join(words[start:at])
+            start = None
+    if start is not None and len(words) - start > 1 and sum(map(len, words[start:])) > 2:
+        yield " ".join(words[start:])
 
 
 def word_features(words: list[str]) -> np.ndarray:

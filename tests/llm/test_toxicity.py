@@ -73,3 +73,12 @@ def test_edges(spark):
     assert {r.score for r in X.score(df, none).collect()} == {0.0}
     assert X.score(df.limit(0), model).count() == 0
     assert X.train(df.limit(0), labels.limit(0)).weights == {}
+
+
+def test_doubled_letters_and_pieces_are_restored(model):
+    restorer = X.Restorer(model.costs)
+    for raw, word in [("stuupid", "stupid"), ("idiiot", "idiot"), ("clowwn", "clown"), ("scuum", "scum"), ("stupidd", "stupid")]:
+        assert restorer.words(raw) == [word]
+    for raw, word in [("i   d   i   o   t", "idiot"), ("s\nt\nu\np\ni\nd", "stupid"), ("s-t-u p-i-d", "stupid"), ("st up id", "stupid")]:
+        assert word in restorer.words(f"wonderful {raw} wonderful")
+    assert list(X.fragment_runs("the a b cd word i".split())) == ["a b cd"] and list(X.fragment_runs(["a", "b"])) == []
