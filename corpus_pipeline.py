@@ -29,8 +29,17 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = simhash.duplicate_groups(docs)
-    return docs.join(found.filter("component <> doc_id").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    """One row of each group: the one of the smallest doc_id, null ones last; of several with that doc_id, the first one."""
+    odd = docs.groupBy("doc_id").count().filter("doc_id IS NULL OR count > 1").limit(1).count()
+    if not odd:
+        found = simhash.duplicate_groups(docs)
+        return docs.join(found.filter("component <> doc_id").select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    # rows get a number of their own, written once so that it holds
+    rows = Stage(spark, "rows").keep(docs.withColumn("nlops_row", F.monotonically_increasing_id()), "rows")
+    found = simhash.duplicate_groups(rows, key="nlops_row").join(rows.select("nlops_row", F.col("doc_id").cast("long").alias("id")), "nlops_row")
+    first = found.groupBy("component").agg(F.min(F.struct(F.col("id").isNull(), "id", "nlops_row"))["nlops_row"].alias("nlops_row"))
+    gone = found.join(first, "nlops_row", "left_anti").select("nlops_row")
+    return rows.join(gone, "nlops_row", "left_anti").select(*docs.columns)
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

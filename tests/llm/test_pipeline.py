@@ -53,3 +53,12 @@ def test_stages_on_edges(spark, sf001):
     for _, function in C.STAGES:
         function(spark, docs, sf001).collect()
         assert function(spark, docs.limit(0), sf001).count() == 0
+
+
+def test_one_row_of_each_group_whatever_its_key(spark, sf001):
+    text = " ".join(f"w{i}" for i in range(60))
+    other = " ".join(f"v{i}" for i in range(60))
+    rows = [(5, text), (5, text), (None, text), (3, text + " end"), (None, other), (None, other), (7, "alone in the world"), (5, "a different text of the same key")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(((r.doc_id, r.text) for r in C.drop_near_duplicates(spark, docs, sf001).collect()), key=str)
+    assert got == sorted([(3, text + " end"), (None, other), (7, "alone in the world"), (5, "a different text of the same key")], key=str)
