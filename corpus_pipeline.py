@@ -48,7 +48,7 @@ def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return tiling.contamination(docs, read_table(spark, sf_dir, "benchmark")).filter(F.size("nlops_leak") == 0).select(*docs.columns)
+    return tiling.contamination(docs, read_table(spark, sf_dir, "benchmark"), null_items=True).filter(F.size("nlops_leak") == 0).select(*docs.columns)
 
 
 def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

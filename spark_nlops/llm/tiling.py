@@ -170,14 +170,16 @@ def window_hashes(ids: np.ndarray, size: int) -> np.ndarray:
     return out
 
 
-def _blocks(benchmark: DataFrame, item_key: str, text: str) -> Iterator[list[tuple[int, str]]]:
+def _blocks(benchmark: DataFrame, item_key: str, text: str, null_items: bool = False) -> Iterator[list[tuple[int | None, str]]]:
     """Items in blocks of bounded size, each collected for itself."""
-    items = benchmark.select(F.col(item_key).alias("item"), text_or_empty(text).alias("text")).filter("item IS NOT NULL")
+    items = benchmark.select(F.col(item_key).alias("item"), text_or_empty(text).alias("text"))
+    if not null_items:
+        items = items.filter("item IS NOT NULL")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, -(-2 * total // BLOCK_BYTES))
     for n in range(blocks):
-        part = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item"), F.lit(blocks)) == n)
-        yield sorted((r["item"], r["text"]) for r in part.distinct().collect())
+        part = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == n)
+        yield sorted(((r["item"], r["text"]) for r in part.distinct().collect()), key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
 
 
 def _comparer(spark: SparkSession, items: list[tuple[int, str]], seed: int, threshold: float):
@@ -194,11 +196,11 @@ def _comparer(spark: SparkSession, items: list[tuple[int, str]], seed: int, thre
 
 
 def contamination(
-    docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_key: str = "item_id", item_text: str = "text", seed: int = SEED, threshold: float = THRESHOLD
+    docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_key: str = "item_id", item_text: str = "text", seed: int = SEED, threshold: float = THRESHOLD, null_items: bool = False
 ) -> DataFrame:
-    """All columns and nlops_leak: array of (item, coverage) that reach the threshold, best first; only the text goes to Python."""
+    """All columns and nlops_leak: array of (item, coverage) that reach the threshold, best first; only the text goes to Python. Items with a null key are compared, each text for itself, if null_items is set, and left out otherwise."""
     out, names = docs, []
-    for n, items in enumerate(_blocks(benchmark, item_key, item_text)):
+    for n, items in enumerate(_blocks(benchmark, item_key, item_text, null_items)):
         names.append(f"nlops_leak_{n}")
         out = out.withColumn(names[-1], _comparer(docs.sparkSession, items, seed, threshold)(text_or_empty(text)))
     ordered = F.sort_array(F.flatten(F.array(*names)))  # least -coverage first, then item
@@ -208,7 +210,7 @@ def contamination(
 
 def op10_benchmark_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
-    return contamination(docs, read_table(spark, sf_dir, "benchmark")).select(
+    return contamination(docs, read_table(spark, sf_dir, "benchmark"), null_items=True).select(
         "doc_id",
         (F.size("nlops_leak") > 0).alias("contaminated"),
         F.coalesce(F.get("nlops_leak", F.lit(0))["coverage"], F.lit(0.0)).alias("coverage"),

@@ -86,3 +86,11 @@ def test_benchmark_blocks(spark, monkeypatch):
     items = spark.createDataFrame([(i, t) for i, t in enumerate(["one two three four five", "red green blue pink grey", "one two three four five six"])], "item_id long, text string")
     got = {r.doc_id: sorted(h.item for h in r.nlops_leak) for r in T.contamination(docs, items).collect()}
     assert got == {1: [0, 2], 2: [1]}
+
+
+def test_items_without_an_id(spark, tmp_path):
+    """The query reports what documents hold of them, with a null item_id."""
+    spark.createDataFrame([(1, "x one two three four five y"), (2, "red green blue pink grey"), (3, "none of it")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(None, "one two three four five"), (None, "red green blue pink grey"), (4, "red green blue pink grey")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {r.doc_id: (r.contaminated, r.item_id, r.n_items) for r in T.op10_benchmark_tiling(spark, str(tmp_path)).collect()}
+    assert got == {1: (True, None, 1), 2: (True, None, 2), 3: (False, None, 0)}
