@@ -130,3 +130,9 @@ def test_models(spark):
         RuleModel().label(df, Template("{t}"))
     with pytest.raises(ValueError):
         GuaranteeSpec(recall=1.5)
+
+
+def test_draws_of_a_heavy_row_are_not_capped(spark):
+    df = spark.createDataFrame([(1, 1.0)] + [(i, 0.0) for i in range(2, 500)], "doc_id long, s double")
+    got = {r.doc_id: r for r in sampling.draw_with_replacement(df, "s", "doc_id", SampleSpec(min_rows=300)).collect()}
+    assert got[1].rate > 100 and abs(got[1].draws - got[1].rate) < 6 * got[1].rate ** 0.5
