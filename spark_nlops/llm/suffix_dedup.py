@@ -15,13 +15,15 @@ anywhere else in the table.  The work is split so that no task sees the corpus:
    transform is built and intervals are extended backward breadth-first: level l
    sets the borders whose common prefix is l, and after level ``length - 1`` the
    borders never set are those with a common prefix of ``length`` or more.
-4. An anchor with more than ``HOT_PIECES`` distinct pieces (a passage that very
-   many documents share, in different surroundings) is split into blocks of
-   windows, and where need be into single windows, each keyed by a 128-bit hash
-   of its own bytes and counted with partial aggregation, so that no anchor meets
-   in one task.
+4. *Crowds.*  An anchor with more than ``CROWD`` distinct pieces (a passage that
+   very many documents share, in different surroundings) is cut into blocks of
+   neighbouring windows.  All windows of a block hold its core, and equal windows
+   lie in blocks of equal cores, so blocks are grouped by core, folded, and
+   expanded like pieces; groups that are still crowded are cut into narrower
+   blocks, down to single windows.  So no anchor meets in one task.
 
-Pieces and windows are compared by 128 bits of hash.
+Pieces of one anchor are called equal by a 64-bit digest of all their bytes beside
+the 64-bit anchor; everything else is compared byte by byte in the intervals.
 
 Defined results: null texts count as empty; texts shorter than ``length`` keep
 all bytes; repeated rows are copies of each other; null keys are judged like any
@@ -41,10 +43,9 @@ from pyspark.sql import functions as F
 from .common import Stage, read_table, slices, text_or_empty, trim_memory
 
 LENGTH, GRAM = 200, 64
-#: Distinct pieces of an anchor that are still expanded together.
-HOT_PIECES = 4096
-#: Windows counted together where an anchor has more.
-BLOCK = 32
+#: Distinct pieces that are still expanded together; where an anchor has more, windows of a block, wide blocks first.
+CROWD = 512
+WIDTHS = (32, 4, 1)
 #: Bytes scanned together, and bytes of one Burrows-Wheeler text.
 SCAN_BYTES, TEXT_BYTES = 1 << 18, 250_000
 #: A piece's place is start * PLACE + windows.
@@ -119,14 +120,6 @@ def pieces_of(texts: list[bytes], length: int = LENGTH) -> dict[str, np.ndarray]
     }
 
 
-def window_keys(piece: bytes, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray]:
-    """Two 64-bit hashes of each window of a piece."""
-    _, h128 = _hashes(np.frombuffer(piece, dtype=np.uint8))
-    n = len(piece) - length + 1
-    head, tail = h128[:n], h128[length - 128 : length - 128 + n]
-    return _mixed(head, tail).view(np.int64), _mixed(tail, head, tail).view(np.int64)
-
-
 # --- Burrows-Wheeler interval expansion ------------------------------------------------
 def _rotation_order(text: np.ndarray, depth: int) -> np.ndarray:
     """Positions sorted by the next ``depth`` symbols (or more) of the cyclic text, then by position."""
@@ -261,15 +254,30 @@ def _cut_pieces(wanted: DataFrame, docs: DataFrame, length: int) -> DataFrame:
     return joined.select(pieces.alias("pieces")).select(F.explode("pieces").alias("p")).select("p.*")
 
 
-def _expand(pieces: DataFrame, length: int) -> DataFrame:
-    """anchor, digest and the runs of repeated windows (low, high arrays) of each piece that has any."""
+def _runs_frame(rows: pd.DataFrame, length: int) -> pd.DataFrame:
+    """group, digest and the runs of repeated windows of the pieces that have any; groups are whole."""
+    rows = rows.drop_duplicates(["group", "digest"])  # of rows that are there twice
+    masks = repeated_windows(rows["piece"].tolist(), rows["copies"].to_numpy(), length)
+    keep = np.flatnonzero([m.any() for m in masks])
+    spans = [_runs(masks[i]) for i in keep]
+    # object columns, also where nothing repeats
+    low, high = (pd.Series([s[end] for s in spans], dtype=object) for end in (0, 1))
+    return pd.DataFrame({"group": rows["group"].to_numpy()[keep], "digest": rows["digest"].to_numpy()[keep], "low": low, "high": high})
+
 
-    def solve(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.drop_duplicates(["anchor", "digest"])  # of rows that are there twice
-        masks = repeated_windows(rows["piece"].tolist(), rows["copies"].to_numpy(), length)
-        keep = [i for i, m in enumerate(masks) if m.any()]
-        spans = [_runs(masks[i]) for i in keep]
-        return pd.DataFrame({"anchor": rows["anchor"].to_numpy()[keep], "digest": rows["digest"].to_numpy()[keep], "low": [s[0] for s in spans], "high": [s[1] for s in spans]})
+def _expand(pieces: DataFrame, length: int) -> DataFrame:
+    """group, digest and the runs of repeated windows (low, high arrays) of each piece that has any."""
+
+    def solved(rows: pd.DataFrame, last: bool) -> Iterator[pd.DataFrame | int]:
+        """Frames of whole groups, in texts of bounded size; then the row from which on groups may go on."""
+        groups = rows["group"].to_numpy()
+        borders = np.append(0, np.flatnonzero(groups[1:] != groups[:-1]) + 1)
+        if last:
+            borders = np.append(borders, len(rows))
+        sums = np.add.reduceat(rows["piece"].map(len).to_numpy(), borders[:-1]) if len(borders) > 1 else np.zeros(0, int)
+        for a, b in slices(sums.tolist(), TEXT_BYTES):
+            yield _runs_frame(rows.iloc[borders[a] : borders[b]], length)
+        yield int(borders[-1])
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         waiting, size = [], 0
@@ -279,82 +287,81 @@ def _expand(pieces: DataFrame, length: int) -> DataFrame:
             if size < TEXT_BYTES:
                 continue
             rows = pd.concat(waiting, ignore_index=True)
-            anchors = rows["anchor"].to_numpy()
-            borders = np.append(0, np.flatnonzero(anchors[1:] != anchors[:-1]) + 1)  # starts of anchors' groups; the last may go on
-            sums = np.add.reduceat(rows["piece"].map(len).to_numpy(), borders)[:-1]
-            for a, b in slices(sums.tolist(), TEXT_BYTES):
-                yield solve(rows.iloc[borders[a] : borders[b]])
-            rest = rows.iloc[borders[-1] :]
-            waiting, size = [rest], int(rest["piece"].map(len).sum())
+            *frames, rest = solved(rows, False)
+            yield from frames
+            waiting = [rows.iloc[rest:]]
+            size = int(waiting[0]["piece"].map(len).sum())
         if waiting and len(rows := pd.concat(waiting, ignore_index=True)):
-            anchors = rows["anchor"].to_numpy()
-            borders = np.append(np.append(0, np.flatnonzero(anchors[1:] != anchors[:-1]) + 1), len(rows))
-            sums = np.add.reduceat(rows["piece"].map(len).to_numpy(), borders[:-1])
-            for a, b in slices(sums.tolist(), TEXT_BYTES):
-                yield solve(rows.iloc[borders[a] : borders[b]])
+            *frames, _ = solved(rows, True)
+            yield from frames
         trim_memory()
 
-    spread = pieces.repartition("anchor").sortWithinPartitions("anchor")
-    return spread.mapInPandas(run, "anchor long, digest long, low array<int>, high array<int>")
+    spread = pieces.select("group", "digest", "copies", "piece").repartition("group").sortWithinPartitions("group")
+    return spread.mapInPandas(run, "group long, digest long, low array<int>, high array<int>")
 
 
-def block_keys(piece: bytes, anchor: int, length: int = LENGTH) -> pd.DataFrame:
-    """Blocks of windows of a piece, cut at fixed distances from the anchor: first and last window, hashes of core and whole.
+def block_keys(piece: bytes, anchor: int, width: int, length: int = LENGTH) -> dict[str, np.ndarray]:
+    """Blocks of ``width`` windows of a piece, cut at fixed distances from the anchor: first window, windows, hash of the core and digest.
 
     All windows of a block, whole or cut off by the piece's end, hold the block's core; so equal windows have equal cores.
     """
     h64, h128 = _hashes(np.frombuffer(piece, dtype=np.uint8))
     n = len(piece) - length + 1
     lead = int(np.flatnonzero(h64.view(np.int64) == anchor)[0])  # windows take the leftmost place of the least hash
-    block = (lead - np.arange(n)) // BLOCK
+    block = (lead - np.arange(n)) // width
     low = np.flatnonzero(np.concatenate(([True], block[1:] != block[:-1])))
     high = np.append(low[1:], n) - 1
     number = block[low]
-    core, size = lead - number * BLOCK, length - BLOCK + 1
-    ends = high + length - 128
-    return pd.DataFrame(
-        {
-            "low": low,
-            "high": high,
-            "core1": _mixed(h128[core], h128[core + size - 128], number).view(np.int64),
-            "core2": _mixed(number, h128[core + size - 128], h128[core]).view(np.int64),
-            "whole": _mixed(h128[low], h128[ends], lead - low, lead - high).view(np.int64),
-        }
-    )
-
+    core, rest = lead - number * width, length - width + 1 - GRAM  # the core's start, and what follows its first gram
+    whole = high - low + length
+    return {
+        "low": low,
+        "windows": high - low + 1,
+        "group": _mixed(*[h64[core + rest * i // 3] for i in range(4)], number).view(np.int64),
+        "digest": _mixed(h128[low], h128[low + (whole - 128) // 2], h128[low + whole - 128], lead - low, lead - high).view(np.int64),
+    }
 
-def _split_hot(pieces: DataFrame, length: int) -> DataFrame:
-    """The same as ``_expand`` for anchors with very many pieces.
 
-    Blocks of windows are counted by their cores.  A core that occurs once holds no
-    repeated window; where all blocks of a core are alike, all their windows
-    repeat; only windows of the other blocks are counted one by one.
-    """
+def _blocks(crowd: DataFrame, width: int, length: int) -> DataFrame:
+    """The blocks of crowded pieces: owner (group and digest of the piece), low, windows, group, digest, anchor, copies."""
 
-    def blocks(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             for a, b in slices(batch["piece"].map(len).tolist(), SCAN_BYTES):
-                part = batch.iloc[a:b]
-                found = [block_keys(p, x, length).assign(anchor=x, digest=d, copies=c) for p, x, d, c in part[["piece", "anchor", "digest", "copies"]].itertuples(index=False)]
+                found = []
+                for group, digest, copies, anchor, piece in batch.iloc[a:b][["group", "digest", "copies", "anchor", "piece"]].itertuples(index=False):
+                    found.append(pd.DataFrame({"owner": group, "owner_digest": digest} | block_keys(piece, anchor, width, length) | {"anchor": anchor, "copies": copies}))
                 yield pd.concat(found, ignore_index=True)
+        trim_memory()
 
-    def windows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for piece, x, d, c, wanted in batch[["piece", "anchor", "digest", "copies", "wanted"]].itertuples(index=False):
-                k1, k2 = window_keys(piece, length)
-                at = np.concatenate([np.arange(w["low"], w["high"] + 1) for w in wanted])
-                yield pd.DataFrame({"anchor": x, "digest": d, "at": at, "k1": k1[at], "k2": k2[at], "copies": c})
-
-    rows = pieces.mapInPandas(blocks, "low int, high int, core1 long, core2 long, whole long, anchor long, digest long, copies long")
-    cores = rows.groupBy("core1", "core2").agg(F.sum("copies").alias("n"), F.min("whole").alias("w1"), F.max("whole").alias("w2")).filter("n > 1")
-    open_blocks = rows.join(cores.select("core1", "core2", (F.col("w1") == F.col("w2")).alias("alike")), ["core1", "core2"])
-    alike = open_blocks.filter("alike").select("anchor", "digest", "low", (F.col("high") + 1).alias("high"))
-    wanted = open_blocks.filter("NOT alike").groupBy("anchor", "digest").agg(F.collect_set(F.struct("low", "high")).alias("wanted"))
-    single = pieces.join(wanted, ["anchor", "digest"]).mapInPandas(windows, "anchor long, digest long, at int, k1 long, k2 long, copies long")
-    often = single.groupBy("k1", "k2").agg(F.sum("copies").alias("n")).filter("n > 1")
-    again = single.join(often, ["k1", "k2"]).select("anchor", "digest", F.col("at").alias("low"), (F.col("at") + 1).alias("high"))
-    spans = alike.unionByName(again).groupBy("anchor", "digest").agg(F.collect_set(F.struct("low", "high")).alias("s"))
-    return spans.select("anchor", "digest", F.col("s.low").alias("low"), F.col("s.high").alias("high"))
+    return crowd.mapInPandas(run, "owner long, owner_digest long, low int, windows int, group long, digest long, anchor long, copies long")
+
+
+def _solve(pieces: DataFrame, length: int, stage: Stage, widths: tuple[int, ...] = WIDTHS) -> DataFrame:
+    """group, digest and runs of repeated windows (low, high arrays) of pieces: a stage table of group, digest (different within a group), copies, anchor, piece. A piece may have several rows."""
+    crowds = pieces.groupBy("group").agg(F.count("*").alias("k")).filter(F.col("k") > CROWD).select("group")
+    if not widths or not (crowds := stage.keep(crowds, f"crowds{len(widths)}")).limit(1).count():
+        return _expand(pieces, length)
+    few = _expand(pieces.join(crowds, "group", "left_anti"), length)
+    crowd = pieces.join(crowds, "group", "left_semi")
+    blocks = stage.keep(_blocks(crowd, widths[0], length), f"blocks{len(widths)}")
+    kinds = blocks.groupBy("group", "digest").agg(
+        F.sum("copies").alias("copies"), F.min("windows").alias("windows"), F.min("anchor").alias("anchor"), F.min(F.struct("owner", "owner_digest", "low")).alias("at")
+    )
+    # a core that occurs once holds no repeated window, and all windows of several blocks that are one kind repeat
+    sizes = kinds.groupBy("group").agg(F.count("*").alias("k"), F.sum("copies").alias("c")).filter("c > 1").select("group", "k")
+    dealt = stage.keep(kinds.join(sizes, "group"), f"kinds{len(widths)}")
+    alike = dealt.filter("k = 1").select("group", "digest", F.array(F.lit(0)).alias("low"), F.array("windows").alias("high"))
+    mixed = dealt.filter("k > 1").select("group", "digest", "copies", "windows", F.col("at.owner").alias("owner"), F.col("at.owner_digest").alias("owner_digest"), F.col("at.low").alias("low"))
+    whole = crowd.select(F.col("group").alias("owner"), F.col("digest").alias("owner_digest"), "anchor", "piece")
+    part = F.substring("piece", F.col("low") + 1, F.col("windows") + (length - 1))
+    cut = stage.keep(mixed.join(whole, ["owner", "owner_digest"]).select("group", "digest", "copies", "anchor", part.alias("piece")), f"cut{len(widths)}")
+    found = alike.unionByName(_solve(cut, length, stage, widths[1:]))
+    back = blocks.select("group", "digest", "owner", "owner_digest", F.col("low").alias("from")).join(found, ["group", "digest"])
+    moved = back.select(
+        F.col("owner").alias("group"), F.col("owner_digest").alias("digest"), *[F.transform(c, lambda x: x + F.col("from")).alias(c) for c in ("low", "high")]
+    )
+    return few.unionByName(moved)
 
 
 def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None = None) -> DataFrame:
@@ -363,14 +370,12 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
         raise ValueError(f"length must be from {2 * GRAM} to {2 * GRAM + 128}")
     stage = stage or Stage(docs.sparkSession, "suffix")
     pieces = stage.keep(_scan_pieces(docs, length), "pieces")
-    # all digests of an anchor are alike where their sum is a multiple of each; sums that overflow count as mixed
-    short = F.shiftright("digest", 24)
-    seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.try_sum(short).alias("sum")).filter("n > 1")
+    seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.min("digest").alias("d1"), F.max("digest").alias("d2")).filter("n > 1")
+    seen = seen.select("anchor", (F.col("d1") == F.col("d2")).alias("alike"))
     # written first, so that both sides of the join are plain exchanges, of which adaptive execution can split a hot anchor
     seen = stage.keep(seen, "seen")
     stage.release()
-    alike = F.coalesce(F.col("sum") == F.try_multiply("n", short), F.lit(False)).alias("alike")
-    shared = stage.keep(pieces.join(seen, "anchor").select(*pieces.columns, alike), "shared")
+    shared = stage.keep(pieces.join(seen, "anchor").select(*pieces.columns, "alike"), "shared")
     stage.drop("pieces")
     stage.drop("seen")
     stage.release()
@@ -379,14 +384,11 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
     wanted = kinds.select("anchor", "digest", "copies", "at.*")
     cut = stage.keep(_cut_pieces(wanted, docs, length), "cut")
     stage.release()
-    crowds = cut.groupBy("anchor").agg(F.count("*").alias("n")).filter(F.col("n") > HOT_PIECES).select("anchor")
-    solved = stage.keep(
-        _expand(cut.join(crowds, "anchor", "left_anti"), length).unionByName(_split_hot(cut.join(crowds, "anchor", "left_semi"), length)), "solved"
-    )
+    solved = stage.keep(_solve(cut.withColumn("group", F.col("anchor")), length, stage), "solved")
     stage.drop("cut")
     start, windows = F.expr(f"cast(place div {PLACE} as int)"), F.expr(f"cast(place % {PLACE} as int)")
     plain = shared.filter("alike").select("doc", "mark", F.array(F.struct(start.alias("low"), (start + windows + length - 1).alias("high"))).alias("spans"))
-    partly = mixed.join(solved, ["anchor", "digest"]).select(
+    partly = mixed.join(solved.withColumnRenamed("group", "anchor"), ["anchor", "digest"]).select(
         "doc",
         "mark",
         F.zip_with("low", "high", lambda a, b: F.struct((start + a).alias("low"), (start + b + length - 1).alias("high"))).alias("spans"),

@@ -39,10 +39,10 @@ def made_up(seed):
     return texts
 
 
-@pytest.mark.parametrize("hot", [4096, 2])
+@pytest.mark.parametrize("hot", [S.CROWD, 2])
 @pytest.mark.parametrize("scan", [1 << 18, 1000])
 def test_made_up_texts(spark, monkeypatch, hot, scan):
-    monkeypatch.setattr(S, "HOT_PIECES", hot)
+    monkeypatch.setattr(S, "CROWD", hot)
     monkeypatch.setattr(S, "SCAN_BYTES", scan)
     texts = made_up(hot + scan)
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
@@ -60,6 +60,34 @@ def test_whole_table(spark, sf001):
     assert got == {r.doc_id: w for r, w in zip(rows, want)}
 
 
+def removed(spark, texts, **more):
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    return [(r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in sorted(S.remove_repeats(df, digest_only=True, **more).collect())]
+
+
+def test_shared_passages_below_the_length(spark):
+    rng = random.Random(9)
+    line = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    shared = line(150)
+    texts = [line(300) + shared + line(300) for _ in range(4)]
+    want = slow([t.encode() for t in texts])
+    assert removed(spark, texts) == want and not any(w[1] for w in want)
+    part = S._runs_frame(S.pd.DataFrame({"group": [1, 1], "digest": [2, 3], "copies": [1, 1], "piece": [t[:250].encode() for t in texts[:2]]}), 200)
+    assert not len(part) and part["low"].dtype == object  # lists, even where there are none
+
+
+def test_crowds_of_one_anchor(spark, monkeypatch):
+    """A passage in very many surroundings: cut to blocks, then to narrower ones, then to single windows."""
+    monkeypatch.setattr(S, "CROWD", 3)
+    rng = random.Random(12)
+    line = lambda n: "".join(rng.choice("abcd") for _ in range(n))
+    for length, size in ((200, 190), (200, 197), (200, 199), (200, 230), (131, 128)):
+        shared = line(size)
+        tails = [line(5) for _ in range(4)]
+        texts = [line(rng.randrange(60, 300)) + shared + rng.choice(tails) + line(rng.randrange(60, 300)) for _ in range(40)]
+        assert removed(spark, texts, length=length) == slow([t.encode() for t in texts], length)
+
+
 def test_edges(spark):
     long = "".join(chr(97 + i * i % 23) for i in range(5000))
     rows = [(1, None, 0), (2, "", 0), (None, long, 0), (None, "é" * 99 + "x", 1), (7, "tiny", 1), (7, "tiny", 1), (8, long[:1000], 2)]
