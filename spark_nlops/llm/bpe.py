@@ -34,6 +34,8 @@ from heapq import heappop, heappush
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -44,7 +46,7 @@ NONE = np.int32(2**31 - 1)
 #: Characters of text tokenised together; bounds a worker's memory.
 BATCH_CHARS = 2_000_000
 #: Pre-tokens remembered within a task, and the longest one remembered (characters).
-MEMO_ENTRIES, MEMO_CHARS = 200_000, 64
+MEMO_ENTRIES, MEMO_CHARS = 150_000, 64
 
 
 class RankQueue:
@@ -114,7 +116,6 @@ class Codec:
         self.pair_keys = keys[order]
         self.pair_ranks = np.fromiter(pairs.values(), dtype=np.int32, count=len(pairs))[order]
         self.packed: dict[str, bytes] = {}  # ids of a pre-token as 32-bit integers
-        self.said: dict[str, str] = {}  # and in decimal form
 
     # --- pair lookups -------------------------------------------------------------
     def _pair_rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -243,30 +244,32 @@ class Codec:
         return out
 
     # --- texts ----------------------------------------------------------------------
-    def encode_texts(self, texts: list[str]) -> Iterator[tuple[np.ndarray, str]]:
-        """For each text its ids and their decimal form."""
+    def encode_texts(self, texts: list[str]) -> Iterator[np.ndarray]:
+        """The ids of each text."""
         for a, b in slices([len(t) for t in texts], BATCH_CHARS):
             split = [self.pattern.findall(t) for t in texts[a:b]]
-            packed, said, distinct = self.packed, self.said, set().union(*split)
+            packed, distinct = self.packed, set().union(*split)
             if len(packed) > MEMO_ENTRIES:  # what this batch needs again stays
                 packed = self.packed = {p: packed[p] for p in distinct if p in packed}
-                said = self.said = {p: said[p] for p in packed}
             missing = [p for p in distinct if p not in packed]
-            names = self.names
             for p, ids in zip(missing, self.encode_many([p.encode() for p in missing])):
-                packed[p], said[p] = array("i", ids).tobytes(), " ".join([names[i] for i in ids])
+                packed[p] = array("i", ids).tobytes()
             for pieces in split:
-                yield np.frombuffer(b"".join(map(packed.__getitem__, pieces)), dtype=np.int32), " ".join(map(said.__getitem__, pieces))
+                yield np.frombuffer(b"".join(map(packed.__getitem__, pieces)), dtype=np.int32)
             for p in missing:
                 if len(p) > MEMO_CHARS:
-                    del packed[p], said[p]
+                    del packed[p]
 
     def rest(self) -> None:
         """At a task's end: forget the words, since the worker goes on with other stages (a few kept ones would pin all their memory)."""
-        self.packed, self.said = {}, {}
+        self.packed = {}
 
     def encode(self, text: str) -> list[int]:
-        return next(self.encode_texts([text]))[0].tolist()
+        return next(self.encode_texts([text])).tolist()
+
+    def said(self, ids: list[int]) -> str:
+        """Decimal ids joined by one space."""
+        return " ".join(map(self.names.__getitem__, ids))
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
@@ -301,26 +304,27 @@ def encode_documents(
     path, default_pattern = default_vocabulary()
     shipped = docs.sparkSession.sparkContext.broadcast(vocabulary_bytes(rank_path or path))  # one file of fixed size
     pattern = pattern or default_pattern
-    schema = "n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
+    kind = docs.schema[key].dataType.simpleString()
+    schema = f"key {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
+    names = ["n_tokens", "ids_sha256", "decoded_sha256", *(["ids"] if keep_ids else [])]
+    types = [pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32())]
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = codec_for(shipped.value, pattern)
         sha = hashlib.sha256
         for batch in batches:
-            texts = batch["text"].tolist()
-            for a, b in slices([len(t) for t in texts], BATCH_CHARS):  # small results, one after the other
-                rows = []
-                for ids, said in codec.encode_texts(texts[a:b]):
-                    rows.append((len(ids), sha(said.encode()).hexdigest(), sha(codec.decode(ids.tolist())).hexdigest(), *([ids] if keep_ids else [])))
-                out = pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256", *(["ids"] if keep_ids else [])])
-                out.insert(0, "key", batch["key"].array[a:b])
-                yield out
+            for a, b in slices(pc.utf8_length(batch["text"]).to_pylist(), BATCH_CHARS):  # only a slice at a time becomes Python strings
+                columns: list[list] = [[] for _ in names]
+                for ids in codec.encode_texts(batch["text"].slice(a, b - a).to_pylist()):
+                    plain = ids.tolist()
+                    for column, value in zip(columns, (len(plain), sha(codec.said(plain).encode()).hexdigest(), sha(codec.decode(plain)).hexdigest(), ids)):
+                        column.append(value)
+                made = [pa.array(c, type=t) for c, t in zip(columns, types)]
+                yield pa.RecordBatch.from_arrays([batch["key"].slice(a, b - a), *made], ["key", *names])
         codec.rest()
         trim_memory()
 
-    kind = docs.schema[key].dataType.simpleString()
-    out = docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).mapInPandas(run, f"key {kind}, {schema}")
-    return out.withColumnRenamed("key", key)
+    return docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text")).mapInArrow(run, schema).withColumnRenamed("key", key)
 
 
 def decode_documents(encoded: DataFrame, *, key: str = "doc_id", ids: str = "ids", rank_path: str | None = None, pattern: str | None = None) -> DataFrame:

@@ -49,7 +49,7 @@ def write_token_files(docs: DataFrame, *, key: str = "doc_id", text: str = "text
         for batch in batches:
             listings += 1  # listings are numbered downward from -1, beside the blocks
             yield pd.DataFrame({"file": [file], "block": [-listings], "data": [None], "ids": [batch["key"].tolist()]})
-            for ids, _ in codec.encode_texts(batch["text"].tolist()):
+            for ids in codec.encode_texts(batch["text"].tolist()):
                 waiting.append(np.append(ids, eod).astype(DTYPE))
                 held += len(ids) + 1
                 if held >= 16 * block_tokens:
