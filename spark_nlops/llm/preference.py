@@ -13,8 +13,9 @@ Defined results: null roles count as ``unknown`` and null texts as empty; rows
 without a conversation can't belong to a pair and are left out; a null turn comes
 first; several different rows of one turn are one turn of several messages, by
 role and text, and repeated rows count once; a pair with one conversation has an
-empty prompt and one empty side; equal conversations are all prompt; an empty
-table gives an empty table; other columns are not read.
+empty prompt and one empty side; equal conversations are all prompt; very long
+texts are rendered whole; an empty table gives an empty table; other columns are
+not read.
 """
 
 from __future__ import annotations
@@ -52,7 +53,7 @@ def format_preferences(sides: DataFrame) -> DataFrame:
     message = F.struct(F.coalesce("role", F.lit("unknown")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     turns = (
         sides.filter("pair IS NOT NULL")
-        .groupBy("pair", F.coalesce("turn", F.lit(-1)).alias("turn"))
+        .groupBy("pair", "turn")
         .agg(
             F.sort_array(F.collect_set(F.when(F.col("chosen"), message))).alias("c"),
             F.sort_array(F.collect_set(F.when(~F.col("chosen"), message))).alias("r"),
@@ -85,7 +86,7 @@ def format_preferences(sides: DataFrame) -> DataFrame:
 def neighbours_as_pairs(conversations: DataFrame) -> DataFrame:
     """Conversations 2k (chosen) and 2k + 1 (rejected) as pair k."""
     return conversations.filter("conv_id IS NOT NULL").select(
-        F.floor(F.col("conv_id") / 2).alias("pair"), (F.pmod("conv_id", F.lit(2)) == 0).alias("chosen"), "turn", "role", "text"
+        F.shiftright(F.col("conv_id").cast("long"), 1).alias("pair"), (F.pmod("conv_id", F.lit(2)) == 0).alias("chosen"), "turn", "role", "text"
     )
 
 

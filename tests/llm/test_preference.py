@@ -26,3 +26,12 @@ def test_edges(spark):
     assert len(got[3].chosen) > 300_000 and got[3].rejected.startswith("<|assistant|>")
     empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
     assert P.format_preferences(P.neighbours_as_pairs(empty)).count() == 0
+
+
+def test_large_ids_and_turns_below_zero(spark):
+    rows = [(2**60 + i, 0, "user", f"t{i}", "") for i in range(4)] + [(-2, 0, "user", "a", ""), (-1, 0, "user", "b", "")]
+    rows += [(10, None, "user", "first", ""), (10, -1, "user", "second", ""), (11, None, "user", "first", ""), (11, -1, "user", "other", "")]
+    got = pair(spark, rows)
+    assert set(got) == {2**59, 2**59 + 1, -1, 5}
+    assert got[2**59 + 1].chosen == "<|user|>\nt2<|end|>\n" and got[-1].rejected == "<|user|>\nb<|end|>\n"
+    assert got[5].n_prompt_turns == 1 and got[5].prompt == "<|user|>\nfirst<|end|>\n"
