@@ -123,4 +123,4 @@ def fingerprint_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "
 
 
 def op7_wav_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint_documents(read_table(spark, sf_dir, "documents").select("doc_id", "text"), digest_only=True)
+    return fingerprint_documents(read_table(spark, sf_dir, "documents").select("doc_id", "text"))

@@ -41,6 +41,9 @@ def test_round_trip_of_whole_table(spark, sf001):
         padded = data.ljust(max(64, -(-len(data) // 64) * 64), b"\0")
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (len(data), len(padded), hashlib.sha256(padded).hexdigest())
         assert r.tail_crc32 == zlib.crc32(padded[-64:])
+        assert W.read_wav(bytes(r.media)) == padded and r.media_bytes == len(r.media)
+        times, codes = W.pair_codes(W.spectral_peaks(padded)[0])
+        assert r.pair_times == times.tolist() and r.pair_codes == codes.tolist()
 
 
 def test_edges(spark):
