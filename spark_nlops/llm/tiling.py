@@ -9,13 +9,15 @@ coverage; since tiles may lie anywhere, reordered passages are caught as well.
 
 The benchmark is shipped to the executors in blocks of at most ``BLOCK_BYTES`` of
 text; a larger benchmark takes several passes and no item is left out.  Documents
-are never shuffled in a single pass.
+are never shuffled.
 
 Defined results: null and empty documents and items have no words and coverage
 0; items of fewer words than a seed are compared by their whole word sequence;
 ties in coverage go to the smallest item id; repeated rows are judged each; null
-keys are carried along; without items nothing is contaminated; an empty table
-gives an empty table; other columns are not read.
+keys are carried along; very long or repetitive texts take memory in proportion to
+their length; without items nothing is contaminated; an empty table gives an empty
+table; other columns, whatever their names, are carried along and not read, but
+the result's own name must be free.
 """
 
 from __future__ import annotations
@@ -29,56 +31,80 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, text_or_empty, trim_memory
+from .common import Stage, read_table, text_or_empty, trim_memory
 
 SEED, THRESHOLD = 5, 0.6
 BLOCK_BYTES = 32_000_000
 _BASE = np.uint64(0x9E3779B97F4A7C15)
+_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 words_of = re.compile(r"\w+").findall
 
 
 def run_hashes(ids: np.ndarray, size: int) -> np.ndarray:
-    """Rolling hashes of every run of ``size`` words, from one prefix sum."""
+    """Rolling (Karp-Rabin) hashes of every run of ``size`` words: h(x) is the sum of x[k] * base^(size - 1 - k), rolled by prefix sums."""
     if len(ids) < size:
         return np.zeros(0, dtype=np.uint64)
-    powers = np.cumprod(np.full(len(ids), _BASE, dtype=np.uint64))
+    n = len(ids)
     mixed = ids.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
     mixed ^= mixed >> np.uint64(32)
-    sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(mixed * powers)))
-    # bring every run to the same power: multiply instead of divide
-    return (sums[size:] - sums[:-size]) * powers[::-1][: len(ids) - size + 1]
+    powers = np.cumprod(np.concatenate((np.ones(1, np.uint64), np.full(n, _INVERSE, dtype=np.uint64))))  # of 1 / base, an odd number modulo 2^64
+    sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(mixed * powers[:n])))
+    rises = np.cumprod(np.concatenate((np.ones(1, np.uint64), np.full(n, _BASE, dtype=np.uint64))))
+    return (sums[size:] - sums[:-size]) * rises[size - 1 : n]
+
+
+def _common(doc: np.ndarray, item: np.ndarray, free_doc: np.ndarray, free_item: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Unmarked runs of ``size`` words that both have: their places in the document and hashes there; the item's unmarked runs, sorted by hash, and their hashes."""
+    places = np.flatnonzero(_open_runs(free_item, size))
+    hashes = run_hashes(item, size)[places]
+    order = np.argsort(hashes, kind="stable")
+    places, hashes = places[order], hashes[order]
+    at = np.flatnonzero(_open_runs(free_doc, size))
+    h = run_hashes(doc, size)[at]
+    if not len(places) or not len(at):
+        return at[:0], h[:0], places, hashes
+    first = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
+    hit = np.flatnonzero(hashes[first] == h)
+    return at[hit], h[hit], places, hashes
 
 
 def tile(doc: np.ndarray, item: np.ndarray, least: int) -> list[tuple[int, int, int]]:
-    """(document position, item position, length) of the tiles, longest first."""
+    """(document position, item position, length) of the tiles, longest first.
+
+    The longest length at which an unmarked run is common is found by bisection,
+    with rolling hashes at each length; runs of that length are compared word by
+    word and marked from the left, each with its first free place in the item.
+    Memory is linear in both texts, however often they repeat themselves.
+    """
     free_doc, free_item = np.ones(len(doc), bool), np.ones(len(item), bool)
-    both = run_hashes(np.concatenate((doc, item)), least)
-    h_doc, h_item = both[: max(0, len(doc) - least + 1)], both[len(doc) : len(doc) + max(0, len(item) - least + 1)]
-    order = np.argsort(h_item, kind="stable")
-    left, right = np.searchsorted(h_item[order], h_doc, "left"), np.searchsorted(h_item[order], h_doc, "right")
-    n = right - left
-    i = np.repeat(np.arange(len(h_doc)), n)
-    j = order[np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(left, n)] if n.sum() else np.zeros(0, int)
-    same = np.ones(len(i), bool)
-    for k in range(least):  # verify the hashes
-        same &= doc[i + k] == item[j + k]
-    i, j = i[same], j[same]
-    order = np.lexsort((i, i - j))
-    i, j = i[order], j[order]
     tiles: list[tuple[int, int, int]] = []
-    while len(i):
-        # runs on one diagonal join to longer matches
-        cut = np.flatnonzero(np.concatenate(([True], (np.diff(i) != 1) | (np.diff(j) != 1))))
-        sizes = np.diff(np.append(cut, len(i))) + least - 1
-        longest = sizes.max()
-        for c in cut[sizes == longest].tolist():
-            a, b = int(i[c]), int(j[c])
-            if free_doc[a : a + longest].all() and free_item[b : b + longest].all():
-                tiles.append((a, b, int(longest)))
-                free_doc[a : a + longest] = False
-                free_item[b : b + longest] = False
-        kept = _open_runs(free_doc, least)[i] & _open_runs(free_item, least)[j]
-        i, j = i[kept], j[kept]
+    most = min(len(doc), len(item))
+    while most >= least:
+        low, high = least - 1, most  # a run of low words is common, runs of more than high are not
+        while low < high:
+            middle = (low + high + 1) // 2
+            low, high = (middle, high) if len(_common(doc, item, free_doc, free_item, middle)[0]) else (low, middle - 1)
+        if low < least:
+            break
+        at, h, places, hashes = _common(doc, item, free_doc, free_item, low)
+        left = np.searchsorted(hashes, h, "left")
+        right = np.searchsorted(hashes, h, "right")
+        tried: dict[int, int] = {}  # of each hash, the runs of the item that are taken already
+        end = 0
+        for a, x, y in zip(at.tolist(), left.tolist(), right.tolist()):
+            if a < end:
+                continue
+            k = tried.get(x, x)
+            while k < y and not (free_item[places[k] : places[k] + low].all() and np.array_equal(doc[a : a + low], item[places[k] : places[k] + low])):
+                k += 1
+            tried[x] = k
+            if k < y:
+                b = int(places[k])
+                tiles.append((a, b, low))
+                free_doc[a : a + low] = False
+                free_item[b : b + low] = False
+                end = a + low
+        most = low - 1
     return tiles
 
 
@@ -136,10 +162,10 @@ class Benchmark:
         hit = right > left
         if not hit.any():
             return []
-        n = (right - left)[hit]
-        rows = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(left[hit], n)
-        pairs = np.unique(owner[rows] * np.int64(1 << 40) + place[rows])
-        mine, spots = pairs >> 40, pairs & ((1 << 40) - 1)
+        left, which = np.unique(left[hit], return_index=True)  # each seed of the block once, however often the document has it
+        n = right[hit][which] - left
+        rows = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(left, n)
+        mine, spots = owner[rows], place[rows]
         near = np.zeros(len(ids), bool)  # only words within shared runs can be tiled
         for k in range(size):
             near[at[hit] + k] = True
@@ -170,19 +196,7 @@ def window_hashes(ids: np.ndarray, size: int) -> np.ndarray:
     return out
 
 
-def _blocks(benchmark: DataFrame, item_key: str, text: str, null_items: bool = False) -> Iterator[list[tuple[int | None, str]]]:
-    """Items in blocks of bounded size, each collected for itself."""
-    items = benchmark.select(F.col(item_key).alias("item"), text_or_empty(text).alias("text"))
-    if not null_items:
-        items = items.filter("item IS NOT NULL")
-    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, -(-2 * total // BLOCK_BYTES))
-    for n in range(blocks):
-        part = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == n)
-        yield sorted(((r["item"], r["text"]) for r in part.distinct().collect()), key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
-
-
-def _comparer(spark: SparkSession, items: list[tuple[int, str]], seed: int, threshold: float):
+def _comparer(spark: SparkSession, items: list[tuple[int | None, str]], seed: int, threshold: float):
     shipped = spark.sparkContext.broadcast(items)
 
     @F.pandas_udf("array<struct<coverage:double,item:long>>")
@@ -192,20 +206,48 @@ def _comparer(spark: SparkSession, items: list[tuple[int, str]], seed: int, thre
             yield pd.Series([[{"coverage": -c, "item": k} for k, c in known.compare(t, threshold)] for t in batch], dtype=object)
         trim_memory()
 
-    return compare
+    return compare, shipped
 
 
 def contamination(
-    docs: DataFrame, benchmark: DataFrame, *, text: str = "text", item_key: str = "item_id", item_text: str = "text", seed: int = SEED, threshold: float = THRESHOLD, null_items: bool = False
+    docs: DataFrame,
+    benchmark: DataFrame,
+    *,
+    text: str = "text",
+    item_key: str = "item_id",
+    item_text: str = "text",
+    seed: int = SEED,
+    threshold: float = THRESHOLD,
+    null_items: bool = False,
+    out: str = "nlops_leak",
 ) -> DataFrame:
-    """All columns and nlops_leak: array of (item, coverage) that reach the threshold, best first; only the text goes to Python. Items with a null key are compared, each text for itself, if null_items is set, and left out otherwise."""
-    out, names = docs, []
-    for n, items in enumerate(_blocks(benchmark, item_key, item_text, null_items)):
-        names.append(f"nlops_leak_{n}")
-        out = out.withColumn(names[-1], _comparer(docs.sparkSession, items, seed, threshold)(text_or_empty(text)))
-    ordered = F.sort_array(F.flatten(F.array(*names)))  # least -coverage first, then item
+    """All columns and ``out`` (not yet a column): array of (item, coverage) that reach the threshold, best first; only the text goes to Python.
+
+    Items with a null key are compared, each text for itself, if null_items is set,
+    and left out otherwise.  With several blocks of items each pass is written, so
+    that one block at a time is held.
+    """
+    if out.lower() in map(str.lower, docs.columns):
+        raise ValueError(f"the table has a column {out}")
+    items = benchmark.select(F.col(item_key).alias("item"), text_or_empty(item_text).alias("text"))
+    items = items if null_items else items.filter("item IS NOT NULL")
+    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(1, -(-2 * total // BLOCK_BYTES))
+    stage = Stage(docs.sparkSession, "tiling") if blocks > 1 else None
+    rows = docs.select(F.struct("*").alias("row"), text_or_empty(text).alias("text"), F.array().cast("array<struct<coverage:double,item:long>>").alias("leak"))
+    for n in range(blocks):
+        part = items if blocks == 1 else items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == n)
+        block = sorted(((r["item"], r["text"]) for r in part.distinct().collect()), key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
+        compare, shipped = _comparer(docs.sparkSession, block, seed, threshold)
+        rows = rows.select("row", "text", F.concat("leak", compare("text")).alias("leak"))
+        if stage:
+            rows = stage.keep(rows, f"block{n}")
+            shipped.destroy()
+            if n:
+                stage.drop(f"block{n - 1}")
+    ordered = F.sort_array("leak")  # least -coverage first, then item
     best = F.transform(ordered, lambda h: F.struct((-h["coverage"]).alias("coverage"), h["item"].alias("item")))
-    return out.withColumn("nlops_leak", best).drop(*names)
+    return rows.select("row.*", best.alias(out))
 
 
 def op10_benchmark_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,6 +1,8 @@
 import random
 
 import numpy as np
+import pytest
+from pyspark.sql import functions as F
 
 from spark_nlops.llm import tiling as T
 
@@ -42,6 +44,24 @@ def test_tiles_against_plain_search():
         assert abs(got - slow_cover(doc, item, 3)) <= 3
 
 
+def test_repetitive_texts_take_little_memory():
+    item = " ".join(["ha"] * 2000)
+    known = T.Benchmark([(1, item), (2, "ha " * 7 + "ho")], 5)
+    assert known.compare("ha " * 100_000, 0.6) == [(1, 1.0), (2, 7 / 8)]
+    tiles = T.tile(np.array([1, 1, 1, 1, 1, 2, 1, 1, 1]), np.array([1, 1, 1, 1]), 3)
+    assert tiles == [(0, 0, 4)]
+
+
+def test_rolling_hashes_are_free_of_place():
+    rng = np.random.default_rng(4)
+    x = rng.integers(0, 5, 400)
+    for size in (1, 2, 7):
+        h = T.run_hashes(x, size)
+        windows = [tuple(x[i : i + size]) for i in range(len(x) - size + 1)]
+        assert len(h) == len(windows) and len(set(h.tolist())) == len(set(windows)) == len(set(zip(h.tolist(), windows)))
+        assert (T.run_hashes(np.concatenate(([9, 8, 7], x)), size)[3:] == h).all()
+
+
 def test_reordered_passage_is_found():
     words = [f"w{i}" for i in range(40)]
     item = " ".join(words)
@@ -78,6 +98,10 @@ def test_edges(spark):
     assert by == {1: [], 2: [], None: [9], 3: [8], 4: []}
     assert T.contamination(docs, items.limit(0)).filter("size(nlops_leak) > 0").count() == 0
     assert T.contamination(docs.limit(0), items).count() == 0
+    clash = docs.withColumnsRenamed({"item_id": "row"}).withColumn("leak", F.lit("x"))
+    assert T.contamination(clash, items).columns == ["doc_id", "text", "row", "leak", "nlops_leak"]
+    with pytest.raises(ValueError):
+        T.contamination(docs.withColumn("NLOPS_LEAK", F.lit(1)), items)
 
 
 def test_benchmark_blocks(spark, monkeypatch):
