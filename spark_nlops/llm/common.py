@@ -3,29 +3,25 @@
 from __future__ import annotations
 
 import gc
-import tempfile
 import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..staging import shared_folder
+
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one only where none is configured (tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    context = spark.sparkContext
-    current = context._jsc.sc().getCheckpointDir()
-    if current.isDefined():
-        return current.get().rstrip("/")
-    context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="nlops-shared-"))
-    return context._jsc.sc().getCheckpointDir().get().rstrip("/")
+def free_name(df: DataFrame, name: str) -> str:
+    """The name, with underscores behind it until the table has no such column."""
+    taken = set(map(str.lower, df.columns))
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 class Stage:
@@ -33,7 +29,7 @@ class Stage:
 
     def __init__(self, spark: SparkSession, label: str) -> None:
         self.spark = spark
-        self.base = f"{shared_dir(spark)}/nlops-{label}-{uuid.uuid4().hex[:12]}"
+        self.base = f"{shared_folder(spark)}/nlops-{label}-{uuid.uuid4().hex[:12]}"
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.base}/{name}"

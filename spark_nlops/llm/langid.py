@@ -13,8 +13,10 @@ one small table, whatever its length.
 Defined results: null and empty texts and texts without a letter are ``und``
 with score 0, as is everything if there is nothing to learn from; ties go to the
 alphabetically first language; null keys are neither learned from nor held out;
-rows without a language are predicted but not learned from; an empty table gives
-an empty table; other columns are not read.
+rows without a language are predicted but not learned from; very long texts are
+read whole, in parts; repeated rows count each; an empty table gives an empty
+table; other columns, whatever their names, are carried along and not read, but the
+result's own name must be free.
 """
 
 from __future__ import annotations
@@ -196,8 +198,10 @@ def train(
     return model
 
 
-def predict(docs: DataFrame, model: LanguageModel, *, text: str = "text") -> DataFrame:
-    """All columns and a struct column nlops_language(lang, score); only the text goes to Python."""
+def predict(docs: DataFrame, model: LanguageModel, *, text: str = "text", out: str = "nlops_language") -> DataFrame:
+    """All columns and a struct column ``out`` (lang, score), which must not be a column yet; only the text goes to Python."""
+    if out.lower() in map(str.lower, docs.columns):
+        raise ValueError(f"the table has a column {out}")
     shipped = docs.sparkSession.sparkContext.broadcast(model)  # FEATURES x (1 + languages) floats
 
     @F.pandas_udf("lang string, score double")
@@ -207,7 +211,7 @@ def predict(docs: DataFrame, model: LanguageModel, *, text: str = "text") -> Dat
             yield pd.DataFrame([model.predict(t) for t in batch], columns=["lang", "score"])
         trim_memory()
 
-    return docs.withColumn("nlops_language", language(text_or_empty(text)))
+    return docs.withColumn(out, language(text_or_empty(text)))
 
 
 def learnable(docs: DataFrame, *, key: str = "doc_id", modulus: int = 4, remainder: int = 2) -> DataFrame:

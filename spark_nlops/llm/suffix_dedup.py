@@ -40,7 +40,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Stage, read_table, slices, text_or_empty, trim_memory
+from .common import Stage, free_name, read_table, slices, text_or_empty, trim_memory
 
 LENGTH, GRAM = 200, 64
 #: Distinct pieces that are still expanded together; where an anchor has more, windows of a block, wide blocks first.
@@ -461,7 +461,8 @@ def remove_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
 def without_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text", length: int = LENGTH) -> DataFrame:
     """All rows and columns, the text without its repeated bytes (whole characters only)."""
     found = repeated_spans(keyed(docs, key, text), length=length)
-    found = found.select(F.col("doc").alias("nlops_doc"), F.col("mark").alias("nlops_mark"), F.col("lows").alias("nlops_lows"), F.col("highs").alias("nlops_highs"))
+    own, doc, mark, lows, highs = (free_name(docs, f"nlops_{x}") for x in ("own", "doc", "mark", "lows", "highs"))
+    found = found.select(F.col("doc").alias(doc), F.col("mark").alias(mark), F.col("lows").alias(lows), F.col("highs").alias(highs))
 
     @F.pandas_udf("string")
     def cut(texts: pd.Series, lows: pd.Series, highs: pd.Series) -> pd.Series:
@@ -474,9 +475,9 @@ def without_repeats(docs: DataFrame, *, key: str = "doc_id", text: str = "text",
             out.append(_kept(data, whole_characters(data, merged(low, high))).decode())
         return pd.Series(out, dtype=object)
 
-    marked = docs.withColumn("nlops_own", F.xxhash64(text_or_empty(text)))
-    both = marked.join(found, F.col(key).eqNullSafe(F.col("nlops_doc")) & (F.col("nlops_own") == F.col("nlops_mark")), "left")
-    return both.withColumn(text, F.when(F.col("nlops_lows").isNull(), F.col(text)).otherwise(cut(text_or_empty(text), F.col("nlops_lows"), F.col("nlops_highs")))).select(*docs.columns)
+    marked = docs.withColumn(own, F.xxhash64(text_or_empty(text)))
+    both = marked.join(found, F.col(key).eqNullSafe(F.col(doc)) & (F.col(own) == F.col(mark)), "left")
+    return both.withColumn(text, F.when(F.col(lows).isNull(), F.col(text)).otherwise(cut(text_or_empty(text), F.col(lows), F.col(highs)))).select(*docs.columns)
 
 
 def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,3 +1,5 @@
+from pyspark.sql import functions as F
+
 import corpus_pipeline as C
 from spark_nlops.llm import bpe, langid, tiling
 
@@ -55,6 +57,17 @@ def test_stages_on_edges(spark, sf001):
         assert function(spark, docs.limit(0), sf001).count() == 0
 
 
+def test_stages_keep_columns_of_their_own_names(spark, sf001):
+    """Extra columns with the names that the stages use within."""
+    names = ["nlops_language", "nlops_row", "nlops_own", "nlops_lows", "nlops_leak", "row", "leak", "key", "doc", "mark", "component", "rep"]
+    docs = spark.read.parquet(f"{sf001}/documents.parquet").limit(60).withColumns({c: F.lit(c) for c in names})
+    docs = docs.union(docs.limit(1))  # a repeated key takes the other way through the second stage
+    for _, function in C.STAGES[:-1]:
+        out = function(spark, docs, sf001)
+        assert out.columns == docs.columns
+        assert all(r[c] == c for r in out.collect() for c in names)
+
+
 def test_one_row_of_each_group_whatever_its_key(spark, sf001):
     text = " ".join(f"w{i}" for i in range(60))
     other = " ".join(f"v{i}" for i in range(60))
