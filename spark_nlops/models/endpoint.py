@@ -8,19 +8,19 @@ growing pause.
 
 from __future__ import annotations
 
+import http.client
 import json
 import time
-import urllib.error
 import urllib.request
 from collections.abc import Iterator
 from concurrent.futures import ThreadPoolExecutor
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..template import Template
-from .base import ModelBackend, pair_name
+from .base import ModelBackend, comparison_prompt, label_named, label_prompt, list_prompt, pair_name, rendered, rendered_row, reordered
 
 
 class EndpointModel(ModelBackend):
@@ -45,15 +45,20 @@ class EndpointModel(ModelBackend):
                 if len(answers) != len(prompts):
                     raise ValueError("the endpoint gave another number of answers")
                 return answers
-            except (urllib.error.URLError, TimeoutError, ValueError, KeyError):
+            except (OSError, http.client.HTTPException, ValueError, KeyError):  # refused, reset, timed out, or a broken answer
                 if attempt == self.retries:
                     raise
                 time.sleep(min(8.0, 0.05 * 2**attempt))
         raise AssertionError
 
+    def _prompt(self, df: DataFrame, template: Template) -> Column:
+        return template.prompt(df, pair_name) if any(s.side for s in template.slots) else template.prompt(df)
+
     def _call(self, df: DataFrame, template: Template, out: str) -> DataFrame:
-        pair = any(s.side for s in template.slots)
-        prompt = F.concat(F.lit(self.preamble()), template.prompt(df, pair_name) if pair else template.prompt(df))
+        return self._send(df, self._prompt(df, template), out)
+
+    def _send(self, df: DataFrame, prompt: Column, out: str) -> DataFrame:
+        prompt = F.concat(F.lit(self.preamble()), prompt)
         ask, size, inflight = self._ask, self.batch_size, max(1, self.max_inflight // self.tasks)
 
         def run(prompts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
@@ -82,6 +87,30 @@ class EndpointModel(ModelBackend):
         got = self._call(df, template, "_answer")
         return got.withColumn(out, F.when(F.col("_answer.logp_true").isNotNull(), F.exp(F.least(F.col("_answer.logp_true"), F.lit(0.0))))).drop("_answer")
 
+    def _said(self, df: DataFrame, prompt: Column) -> DataFrame:
+        """The last line of each answer, as _said."""
+        return self._send(df, prompt, "_answer").withColumn("_said", F.element_at(F.split("_answer.text", "\n"), -1)).drop("_answer")
+
+    def better(self, df, template, a, b, out="better"):
+        sides = (rendered(template, lambda c, s=side: F.col(f"{s}.{c}")) for side in (a, b))
+        got = self._said(df, F.concat(*[F.lit(p) if isinstance(p, str) else p for p in comparison_prompt(*sides)]))
+        return got.withColumn(out, F.upper(F.trim("_said")).startswith("A")).drop("_said")
+
+    def decide(self, template, a, b):
+        prompt = self.preamble() + "".join(comparison_prompt(rendered_row(template, a), rendered_row(template, b)))
+        return self._ask([prompt])[0]["text"].split("\n")[-1].strip().upper().startswith("A")
+
+    def classify(self, df, template, labels, out="group_label"):
+        got = self._said(df, label_prompt(self._prompt(df, template), labels))
+        return got.withColumn(out, label_named(F.col("_said"), labels)).drop("_said")
+
+    def order(self, df, template, items, out="ordered"):
+        return self._said(df, list_prompt(template, items)).withColumn(out, reordered(items, "_said")).drop("_said")
+
+    def reduce(self, df, template, parts, out="part"):
+        got = self._send(df, F.concat(F.lit(template.text + "\n"), F.array_join(parts, "\n---\n")), "_answer")
+        return got.withColumn(out, F.col("_answer.text")).drop("_answer")
+
     def answer(self, df, template, out="answer"):
         """Label and reason side by side."""
         got = self._call(df, template, "_answer")

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..stats.hashing import uniform
 from ..template import Template
-from .base import ModelBackend, null_safe, pair_name
+from .base import ModelBackend, comparison_prompt, label_named, label_prompt, list_prompt, null_safe, pair_name, rendered, rendered_row, reordered
 
 
 class RuleModel(ModelBackend):
@@ -53,6 +53,11 @@ class RuleModel(ModelBackend):
         scored = F.array(*[F.struct((-F.coalesce(F.expr(rules[k]).cast("double"), F.lit(0.0))).alias("s"), F.lit(k).alias("k")) for k in sorted(labels)])
         return null_safe(df, template, F.array_min(scored)["k"], out)
 
+    def order(self, df, template, items, out="ordered"):
+        if self.compare is None:
+            self._no("order lists")
+        return df.withColumn(out, F.expr(f"array_sort(`{items}`, (a, b) -> CASE WHEN a = b THEN 0 WHEN {self.compare} THEN -1 ELSE 1 END)"))
+
     def reduce(self, df, template, parts, out="part"):
         if self.reducer is None:
             self._no("reduce texts")
@@ -107,6 +112,11 @@ class VerbalizedConfidence(ModelBackend):
         return got.withColumn(out, F.least(F.lit(1.0), F.coalesce(number, F.lit(0.0)))).drop("_said")
 
 
+def _is_first(said) -> bool:
+    """An answer to a comparison: true or A for the first row."""
+    return bool(said) if isinstance(said, (bool, int)) else str(said).strip().upper().startswith("A")
+
+
 class CallableModel(ModelBackend):
     """A Python function from a list of prompts to a list of answers, run in Arrow batches."""
 
@@ -141,5 +151,21 @@ class CallableModel(ModelBackend):
     def text(self, df, template, out="text"):
         return self._call(df, self._prompt(df, template), "string", out, lambda x: None if x is None else str(x))
 
+    def better(self, df, template, a, b, out="better"):
+        sides = (rendered(template, lambda c, s=side: F.col(f"{s}.{c}")) for side in (a, b))
+        prompt = F.concat(*[F.lit(p) if isinstance(p, str) else p for p in comparison_prompt(*sides)])
+        return self._call(df, prompt, "boolean", out, _is_first)
+
+    def decide(self, template, a, b):
+        return _is_first(self.answer(["".join(comparison_prompt(rendered_row(template, a), rendered_row(template, b)))])[0])
+
+    def classify(self, df, template, labels, out="group_label"):
+        got = self._call(df, label_prompt(self._prompt(df, template), labels), "string", "_said", lambda x: None if x is None else str(x))
+        return got.withColumn(out, label_named(F.col("_said"), labels)).drop("_said")
+
+    def order(self, df, template, items, out="ordered"):
+        got = self._call(df, list_prompt(template, items), "string", "_said", lambda x: " ".join(map(str, x)) if isinstance(x, (list, tuple)) else str(x))
+        return got.withColumn(out, reordered(items, "_said")).drop("_said")
+
     def reduce(self, df, template, parts, out="part"):
         return self._call(df, F.concat(F.lit(template.text + "\n"), F.array_join(parts, "\n---\n")), "string", out, str)

@@ -80,15 +80,19 @@ def nl_classify(
     if plan == "proxy_only":
         return NLResult(placed.select(*columns, F.col("_near").alias("group_label")), {"embedding": placed.count()}, {"plan": plan})
     drawn, n = sampling.uniform_sample(placed, key, sample or SampleSpec())
-    rows = oracle.classify(drawn, template, labels, "_truth").select(key, "_sim", "_near", "_truth").toPandas().sort_values(key)
+    answers = staged(oracle.classify(drawn, template, labels, "_truth").select(key, "_sim", "_near", "_truth"), "labels")
+    rows = answers.toPandas().sort_values(key)
     correct = (rows["_near"] == rows["_truth"]).to_numpy(float)
     cut = cuts.precision_cut(cuts.Sample(rows["_sim"].to_numpy(float), correct, np.ones(len(rows))), accuracy, delta, bound)
     sure = F.col("_sim") >= F.lit(cut) if np.isfinite(cut) else F.lit(False)
     routed = placed.withColumn("_sure", F.coalesce(sure, F.lit(False)))
-    asked = oracle.classify(routed.filter("NOT _sure"), template, labels, "group_label")
-    out = routed.filter("_sure").select(*columns, F.col("_near").alias("group_label")).unionByName(asked.select(*columns, "group_label"))
-    band = routed.filter("NOT _sure").count()
-    return NLResult(out, {"embedding": n, "oracle_sample": len(rows), "oracle_band": band, "accept": n - band}, {"plan": "cascade", "cut": cut})
+    known = answers.filter("_truth IS NOT NULL").select(F.col(key).alias("_k"), F.col("_truth").alias("group_label"))
+    open_rows = routed.filter("NOT _sure")
+    told = open_rows.join(known, F.col(key) == F.col("_k"))  # answers of the sample are not asked for again
+    asked = oracle.classify(open_rows.join(known.select("_k"), F.col(key) == F.col("_k"), "left_anti"), template, labels, "group_label")
+    out = routed.filter("_sure").select(*columns, F.col("_near").alias("group_label")).unionByName(asked.select(*columns, "group_label")).unionByName(told.select(*columns, "group_label"))
+    band = open_rows.count()
+    return NLResult(out, {"embedding": n, "oracle_sample": len(rows), "oracle_band": band, "accept": n - band}, {"plan": "cascade", "cut": cut, "reused": told.count()})
 
 
 def nl_cluster(df: DataFrame, template: str | Template, groups: int, *, key: str, projector: ModelBackend, embedder: Embedder, reducer: ModelBackend, oracle: ModelBackend, labels: list[str] | None = None, accuracy: float | None = None, delta: float = 0.2, sample: SampleSpec | None = None, seed: int = 0) -> NLResult:
@@ -98,7 +102,8 @@ def nl_cluster(df: DataFrame, template: str | Template, groups: int, *, key: str
         return nl_classify(df, template, labels, oracle, key=key, text=text, embedder=embedder, accuracy=accuracy, delta=delta, sample=sample)
     clustered, found, notes = discover_groups(df, template, groups, key=key, projector=projector, embedder=embedder, reducer=reducer, seed=seed)
     labels = sorted({x for x in found if x})
-    out = nl_classify(clustered, template, labels, oracle, key=key, text="candidate", embedder=embedder, accuracy=accuracy, delta=delta, sample=sample)
+    # the candidates' vectors of the discovery serve again
+    out = nl_classify(clustered, template, labels, oracle, key=key, vec="vec", embedder=embedder, accuracy=accuracy, delta=delta, sample=sample)
     out.calls |= notes.calls
     out.plan["labels"] = labels
     return out

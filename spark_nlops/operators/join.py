@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,7 +18,7 @@ from ..staging import staged
 from ..stats import cuts
 from ..template import Template
 from ..vectors.embed import Embedder
-from ..vectors.similarity import right_blocks, score_histogram, similar_pairs
+from ..vectors.similarity import block_product, score_histogram, similar_pairs
 from .filter import route
 
 
@@ -78,42 +81,27 @@ def pair_sample(left: DataFrame, right: DataFrame, vecs: list[str], histograms:
         q = np.cumsum(h) / max(h.sum(), 1)
         w = q**spec.weight_power
         tables.append(w / max((w * h).sum(), 1e-300))
-    parts = []
     size, mix, seed = float(spec.size(n)), spec.uniform_mix, spec.seed
+    salt = np.uint64(int(hashlib.md5(str(seed).encode()).hexdigest()[:15], 16))
+
+    def run(part: pd.DataFrame, keys: np.ndarray, matrix: np.ndarray) -> Iterator[pd.DataFrame]:
+        sims = [np.clip(np.round(np.stack([np.asarray(v, float) for v in part[f"v{i}"]]) @ matrix.T, 9), -1, 1) for i in range(len(tables))]
+        share = np.full(sims[0].shape, mix / n)
+        for s, t in zip(sims, tables):
+            share += (1 - mix) / len(tables) * t[np.minimum(((s + 1) / 2 * bins).astype(int), bins - 1)]
+        pi = np.minimum(1.0, size * share)
+        # a cheap seeded draw keeps few pairs; it is a hash of the pair, not a generator
+        lk = part["lk"].to_numpy(dtype=np.int64)
+        h = (lk[:, None].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) ^ (keys[None, :].astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)) ^ salt
+        for _ in range(2):
+            h ^= h >> np.uint64(31)
+            h *= np.uint64(0xD6E8FEB86659FD93)
+        i, j = np.nonzero((h >> np.uint64(11)) / float(2**53) < pi)
+        yield pd.DataFrame({"lk": lk[i], "rk": keys[j], "pi": pi[i, j]} | {f"s{x}": s[i, j] for x, s in enumerate(sims)})
+
     slim = left.select(F.col(left_key).cast("long").alias("lk"), *[F.col(v).alias(f"v{i}") for i, v in enumerate(vecs)])
-    for keys, matrix in right_blocks(right, right_key, "vec"):
-        shipped = left.sparkSession.sparkContext.broadcast((keys, matrix, tables))
-
-        def run(batches, shipped=shipped):
-            import hashlib
-
-            import pandas as pd
-
-            keys, matrix, tables = shipped.value
-            for batch in batches:
-                for a in range(0, len(batch), 256):
-                    part = batch.iloc[a : a + 256]
-                    if not len(keys):
-                        continue
-                    sims = [np.clip(np.round(np.stack([np.asarray(v, float) for v in part[f"v{i}"]]) @ matrix.T, 9), -1, 1) for i in range(len(tables))]
-                    share = np.full(sims[0].shape, mix / n)
-                    for s, t in zip(sims, tables):
-                        share += (1 - mix) / len(tables) * t[np.minimum(((s + 1) / 2 * bins).astype(int), bins - 1)]
-                    pi = np.minimum(1.0, size * share)
-                    # a cheap seeded draw keeps few pairs; it is a hash of the pair, not a generator
-                    lk = part["lk"].to_numpy(dtype=np.int64)
-                    h = (lk[:, None].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) ^ (keys[None, :].astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)) ^ np.uint64(int(hashlib.md5(str(seed).encode()).hexdigest()[:15], 16))
-                    for _ in range(2):
-                        h ^= h >> np.uint64(31)
-                        h *= np.uint64(0xD6E8FEB86659FD93)
-                    i, j = np.nonzero((h >> np.uint64(11)) / float(2**53) < pi)
-                    yield pd.DataFrame({"lk": lk[i], "rk": keys[j], "pi": pi[i, j]} | {f"s{x}": s[i, j] for x, s in enumerate(sims)})
-
-        parts.append(slim.mapInPandas(run, "lk long, rk long, pi double, " + ", ".join(f"s{i} double" for i in range(len(vecs)))))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    schema = "lk long, rk long, pi double, " + ", ".join(f"s{i} double" for i in range(len(vecs)))
+    return block_product(slim, right.select(F.col(right_key).cast("long").alias("k"), F.col("vec").alias("v")), run, schema, len(vecs))
 
 
 def choose_join_plan(reports: list[JoinPlanReport]) -> JoinPlanReport:
@@ -179,7 +167,8 @@ def nl_join(
     histograms = [score_histogram(left_v, right_v, left_key, v, right_key, "vec", bins) for v in vecs]
     drawn = pair_sample(left_v, right_v, vecs, histograms, left_key, right_key, spec, n1 * n2)
     drawn = pair_rows(left, right, template, left_key, right_key, staged(drawn, "pairs"))
-    rows = oracle.label(drawn, template, "_label").filter("_label IS NOT NULL").select("lk", "rk", "pi", "_label", *[f"s{i}" for i in range(len(vecs))]).toPandas().sort_values(["lk", "rk"])
+    answers = staged(oracle.label(drawn, template, "_label").filter("_label IS NOT NULL").select("lk", "rk", "pi", "_label", *[f"s{i}" for i in range(len(vecs))]), "labels")
+    rows = answers.toPandas().sort_values(["lk", "rk"])
     share = delta / 2 if strict and len(names) > 1 else delta
     reports = []
     for i, name in enumerate(names):
@@ -198,10 +187,13 @@ def nl_join(
     least = chosen.lo if np.isfinite(chosen.lo) else -1.0
     pairs = similar_pairs(left_v, right_v, left_key, vecs[names.index(chosen.name)], right_key, "vec", least=least)
     routed = staged(pairs.withColumn("_route", route(F.col("sim"), chosen.lo, chosen.hi)), "routed")
-    middle = pair_rows(left, right, template, left_key, right_key, routed.filter("_route = 'ask'").select("lk", "rk"))
-    matched = oracle.label(middle, template, "_label").filter("_label").select("lk", "rk").unionByName(routed.filter("_route = 'accept'").select("lk", "rk"))
+    band = routed.filter("_route = 'ask'").select("lk", "rk")
+    told = band.join(answers.select("lk", "rk", "_label"), ["lk", "rk"])  # labels of the sample are not asked for again
+    middle = pair_rows(left, right, template, left_key, right_key, band.join(answers.select("lk", "rk"), ["lk", "rk"], "left_anti"))
+    asked = staged(oracle.label(middle, template, "_label").filter("_label").select("lk", "rk"), "matched")
+    matched = asked.unionByName(told.filter("_label").select("lk", "rk")).unionByName(routed.filter("_route = 'accept'").select("lk", "rk"))
     counts = {r["_route"]: r["n"] for r in routed.groupBy("_route").agg(F.count("*").alias("n")).collect()}
     calls = {"oracle_sample": len(rows), "oracle_band": counts.get("ask", 0), "oracle_projection": chosen.projections, "accept": counts.get("accept", 0), "embedding": n1 * len(vecs) + n2}
-    return NLResult(finish(left, right, matched, left_key, right_key, how), calls, {"plan": chosen.name, "lo": chosen.lo, "hi": chosen.hi, "reports": reports})
+    return NLResult(finish(left, right, matched, left_key, right_key, how), calls, {"plan": chosen.name, "lo": chosen.lo, "hi": chosen.hi, "reports": reports, "reused": told.count()})
 
 

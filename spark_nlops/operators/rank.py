@@ -31,8 +31,8 @@ def _meet(left: DataFrame, right: DataFrame, groups: list[str]) -> DataFrame:
     return left.join(named, same).drop(*[f"_of_{g}" for g in groups])
 
 
-def _wins_order(rows: DataFrame, template: Template, comparer: ModelBackend, groups: list[str], key: str) -> DataFrame:
-    """Rows (groups, row) with rank by the number of wins over all others of the group, key on ties."""
+def _wins_order(rows: DataFrame, template: Template, comparer: ModelBackend, groups: list[str], key: str, k: int | None = None) -> DataFrame:
+    """Rows (groups, row) with rank by the number of wins over all others of the group, key on ties; the k best."""
     a = rows.select(*groups, F.col("row").alias("a"))
     b = rows.select(*groups, F.col("row").alias("b"))
     pairs = _meet(a, b, groups).filter(F.col(f"a.{key}") < F.col(f"b.{key}"))
@@ -41,8 +41,11 @@ def _wins_order(rows: DataFrame, template: Template, comparer: ModelBackend, gro
     # every row once with no win, so that rows that lost all are counted too
     none = rows.select(*groups, "row", F.lit(0).alias("win"))
     full = won.select(*groups, "row", F.lit(1).alias("win")).unionByName(none).groupBy(*groups, F.col(f"row.{key}").alias("_k")).agg(F.first("row").alias("row"), F.sum("win").alias("wins"))
-    order = Window.partitionBy(*groups).orderBy(F.desc("wins"), F.col(f"row.{key}"))
-    return full.withColumn("rank", F.row_number().over(order))
+    order = [F.desc("wins"), F.col(f"row.{key}")]
+    if k is not None and not groups:  # only what is in the result meets in one task
+        full = full.orderBy(*order).limit(k)
+    ranked = full.withColumn("rank", F.row_number().over(Window.partitionBy(*groups).orderBy(*order)))
+    return ranked if k is None else ranked.filter(F.col("rank") <= k)
 
 
 def quick_select(df: DataFrame, template: Template, comparer: ModelBackend, k: int, key: str, groups: list[str], pivot: str, similarity: str | None, slack: int, seed: int, final: bool = True) -> NLResult:
@@ -161,8 +164,8 @@ def _ddl(df: DataFrame) -> str:
     return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields)
 
 
-def _listwise(df: DataFrame, order: list, k: int, groups: list[str], key: str, window: int, seed: int) -> NLResult:
-    """Windows of rows are ordered by one prompt each; the k best of each window meet in the next round."""
+def _listwise(df: DataFrame, template: Template, model: ModelBackend | None, order: list, k: int, groups: list[str], key: str, window: int, seed: int) -> NLResult:
+    """Windows of rows are ordered by one prompt each (or by a given column); the k best of each window meet in the next round."""
     calls, rounds, state = 0, 0, df
     if k >= window:
         raise ValueError("k must be below the window")
@@ -171,7 +174,12 @@ def _listwise(df: DataFrame, order: list, k: int, groups: list[str], key: str, w
         last = n <= window
         buckets = max(1, -(-n // window))
         placed = state.withColumn("_b", F.lit(0) if last else F.pmod(F.xxhash64(F.lit(seed + rounds), F.col(key)), F.lit(buckets)))
-        ranked = placed.withColumn("rank", F.row_number().over(Window.partitionBy(*groups, "_b").orderBy(*order, key))).filter(F.col("rank") <= k)
+        if order:
+            ranked = placed.withColumn("rank", F.row_number().over(Window.partitionBy(*groups, "_b").orderBy(*order, key))).filter(F.col("rank") <= k)
+        else:
+            lists = placed.groupBy(*groups, "_b").agg(F.sort_array(F.collect_list(F.struct(key, *[c for c in df.columns if c != key]))).alias("_items"))
+            told = model.order(lists, template, "_items", "_ordered").select("_b", F.posexplode(F.slice("_ordered", 1, k)).alias("_at", "_row"))
+            ranked = staged(told.select(*[F.col(f"_row.{c}").alias(c) for c in df.columns], "_b", (F.col("_at") + 1).cast("int").alias("rank")), "ordered")
         calls += placed.select(*groups, "_b").distinct().count()
         rounds += 1
         if last:
@@ -202,8 +210,9 @@ def nl_rank(
     ``similarity`` names a column that orders rows by closeness to the ranking text;
     with ``pivot="similarity"`` the row in place k + slack of that order is the first
     pivot, which changes the number of comparisons but not the result.  ``score`` names
-    the model's score column for the pointwise, listwise and re-ranking algorithms;
-    ``compare`` is the comparison as a Python function for heaps.
+    a score column for the pointwise, listwise and re-ranking algorithms; without it the
+    model is asked (its score for each row, or its order of each window).  Heaps compare
+    one pair at a time: by ``compare``, a Python function, or by the model's ``decide``.
     """
     template = Template(template) if isinstance(template, str) else template
     groups = by or []
@@ -215,9 +224,16 @@ def nl_rank(
     if algorithm == "quadratic":
         rows = df.select(*groups, F.struct(*df.columns).alias("row"))
         calls = df.groupBy(*groups).count().agg(F.sum(F.expr("count * (count - 1) div 2"))).first()[0] or 0
-        return NLResult(_wins_order(rows, template, comparer, groups, key).filter(F.col("rank") <= k).select("row.*", "rank"), {"oracle_pairs": calls}, {"algorithm": algorithm})
+        return NLResult(_wins_order(rows, template, comparer, groups, key, k).select("row.*", "rank"), {"oracle_pairs": calls}, {"algorithm": algorithm})
     if algorithm == "heap":
+        if compare is None:
+            compare = lambda a, b: comparer.decide(template, a, b)
         return _heap(df, compare, k, key, groups)
+    if algorithm == "pointwise" and score is None:
+        columns = df.columns
+        told = staged(comparer.score(df, template, "_score"), "scores")  # each row is asked about once
+        best = nl_rank(told, template, k, key=key, by=by, algorithm="pointwise", score="_score")
+        return NLResult(best.df.select(*columns, "rank"), best.calls, best.plan)
     order = {"pointwise": [F.desc(score)] if score else [], "search": [F.desc(similarity)] if similarity else []}
     if algorithm in ("pointwise", "search"):
         place = Window.partitionBy(*groups).orderBy(*order[algorithm], key)
@@ -226,8 +242,8 @@ def nl_rank(
             return NLResult(best.withColumn("rank", F.row_number().over(place)), {"oracle_scores" if algorithm == "pointwise" else "embedding": df.count()}, {"algorithm": algorithm})
         return NLResult(df.withColumn("rank", F.row_number().over(place)).filter(F.col("rank") <= k), {"oracle_scores" if algorithm == "pointwise" else "embedding": df.count()}, {"algorithm": algorithm})
     if algorithm == "listwise":
-        return _listwise(df, [F.desc(score)], k, groups, key, window, seed)
+        return _listwise(df, template, comparer, [F.desc(score)] if score else [], k, groups, key, window, seed)
     if algorithm == "rerank":
         first = nl_rank(df, template, retrieve, key=key, by=by, algorithm="search", similarity=similarity).df.drop("rank")
-        return nl_rank(staged(first, "retrieved"), template, k, key=key, by=by, algorithm="pointwise", score=score)
+        return nl_rank(staged(first, "retrieved"), template, k, comparer, key=key, by=by, algorithm="pointwise", score=score)
     raise ValueError(f"algorithm is one of {ALGORITHMS}")

@@ -13,7 +13,7 @@ from ..result import NLResult
 from ..staging import staged
 from ..template import Template
 
-#: Partial texts of a group that are numbered in one task.
+#: Partial texts of a group that are numbered in one task; more go on within their buckets, then in ranges of neighbours.
 TOGETHER = 100_000
 Partitioner = Callable[[DataFrame], tuple[Column, Column]]
 
@@ -82,7 +82,7 @@ def nl_reduce(
     state = rows.select(*groups, bucket.alias("_bucket"), order.alias("_order"), F.col(key).alias("_key"), F.col(text).alias("part"), F.lit(1).cast("bigint").alias("n_sources"), *([F.array(F.col(key)).alias("sources")] if provenance else []))
     state = fit(state, "part", token_budget, overflow).withColumns({"_order": F.struct("_order", "_key", "_piece"), "n_sources": F.when(F.col("_piece") == 0, F.col("n_sources")).otherwise(0)}).drop("_key", "_piece")
     carried = ["n_sources", *(["sources"] if provenance else [])]
-    calls, level, loose = 0, 0, False
+    calls, level, loose, merged, before = 0, 0, False, False, 0
     while True:
         state = state.withColumn("_tokens", F.greatest(token_estimate(F.col("part")), F.lit(1)))
         # once packs no longer shrink under the budget, only the fan-in limits them
@@ -97,10 +97,18 @@ def nl_reduce(
         widest = state.groupBy(*groups).count().agg(F.max("count")).first()[0] or 0
         if widest <= 1:
             break
-        loose = loose or level > 1 and n >= before
+        stuck = level > 1 and n >= before
+        if stuck and loose and merged:
+            raise RuntimeError("a level of the reduction made no progress")
+        loose = loose or stuck
         before = n
-        if widest > TOGETHER:  # go on within buckets; each holds its parts in order
+        if widest > TOGETHER and not merged and not (level > 1 and stuck):  # go on within buckets; each holds its parts in order
             state = state.select(*groups, F.col("bin.bucket").alias("_bucket"), F.struct("bin.cut", "bin.piece").alias("_order"), "part", *carried)
+        elif widest > TOGETHER:  # buckets no longer shrink: neighbours in their order meet in ranges of bounded size
+            merged = True
+            ranges = max(1, n // max(2 * fanin, TOGETHER // 2))
+            spread = state.repartitionByRange(ranges, *groups, "bin").withColumn("_bucket", F.spark_partition_id())
+            state = staged(spread.select(*groups, "_bucket", F.col("bin").alias("_order"), "part", *carried), "ranges")
         else:
             number = F.row_number().over(Window.partitionBy(*groups).orderBy("bin")) - 1
             state = state.withColumn("_number", number).select(*groups, F.lit(0).alias("_bucket"), F.col("_number").alias("_order"), "part", *carried)

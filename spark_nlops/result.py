@@ -53,4 +53,5 @@ class NLResult:
 
     @property
     def oracle_calls(self) -> int:
-        return sum(n for route, n in self.calls.items() if route.startswith("oracle"))
+        """Calls made: what the routes need, without answers of the sample that are used again."""
+        return sum(n for route, n in self.calls.items() if route.startswith("oracle")) - self.plan.get("reused", 0)

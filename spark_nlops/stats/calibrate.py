@@ -39,8 +39,8 @@ def quantile_scale(df: DataFrame, score: str, out: str = "scaled", *, mode: str
         return df.withColumn(out, F.when(x.isNotNull(), _steps_up_to(x, points, 0, len(points)) / F.lit(float(len(points)))))
     if mode != "exact":
         raise ValueError("mode is exact or sketch")
-    counts = df.filter(F.col(score).isNotNull()).groupBy(F.col(score).alias("s")).agg(F.count("*").alias("n"))
-    placed = staged(counts.repartitionByRange("s").withColumn("part", F.spark_partition_id()), "ranks")
+    counts = df.filter(F.col(score).isNotNull()).groupBy(F.col(score).alias("_value")).agg(F.count("*").alias("n"))
+    placed = staged(counts.repartitionByRange("_value").withColumn("part", F.spark_partition_id()), "ranks")
     totals = {r["part"]: r["n"] for r in placed.groupBy("part").agg(F.sum("n").alias("n")).collect()}  # one number for each partition
     if not totals:
         return df.withColumn(out, F.lit(None).cast("double"))
@@ -48,6 +48,6 @@ def quantile_scale(df: DataFrame, score: str, out: str = "scaled", *, mode: str
     for part in sorted(totals):
         offsets += [F.lit(part), F.lit(running)]
         running += totals[part]
-    within = F.sum("n").over(Window.partitionBy("part").orderBy("s").rowsBetween(Window.unboundedPreceding, 0))
-    ranks = placed.select("s", ((within + F.element_at(F.create_map(*offsets), F.col("part"))) / F.lit(float(running))).alias(out))
-    return df.join(ranks, df[score] == ranks["s"], "left").drop("s")
+    within = F.sum("n").over(Window.partitionBy("part").orderBy("_value").rowsBetween(Window.unboundedPreceding, 0))
+    ranks = placed.select("_value", ((within + F.element_at(F.create_map(*offsets), F.col("part"))) / F.lit(float(running))).alias(out))
+    return df.join(ranks, df[score] == ranks["_value"], "left").drop("_value")

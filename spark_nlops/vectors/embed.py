@@ -3,7 +3,12 @@
 from __future__ import annotations
 
 import hashlib
+import http.client
+import json
+import time
+import urllib.request
 from collections.abc import Iterator
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pandas as pd
@@ -67,35 +72,52 @@ SELECT key, dim, c / sqrt(sum(c * c) OVER (PARTITION BY key)) AS w FROM (
 
 
 class PrecomputedVectors(Embedder):
-    """Vectors from a table by key."""
+    """Vectors from a table by key; ``of`` is the key's name in the tables that are embedded, if another one."""
 
-    def __init__(self, vectors: DataFrame, key: str, vec: str) -> None:
-        self.vectors, self.key, self.embedder_id = vectors.select(F.col(key).alias("_k"), F.col(vec).cast(VECTOR).alias("_v")), key, "precomputed"
+    embedder_id = "precomputed"
+
+    def __init__(self, vectors: DataFrame, key: str, vec: str, of: str | None = None) -> None:
+        self.vectors, self.key = vectors.select(F.col(key).alias("_k"), F.col(vec).cast(VECTOR).alias("_v")), of or key
 
     def embed(self, df, text, out="vec"):
         return df.join(self.vectors, df[self.key] == F.col("_k"), "left").withColumn(out, F.col("_v")).drop("_k", "_v")
 
 
 class EndpointEmbedder(Embedder):
-    """Vectors from an HTTP endpoint: ``{"model", "texts"}`` to ``{"vectors"}``."""
+    """Vectors from an HTTP endpoint: ``{"model", "texts"}`` to ``{"vectors"}``.
+
+    Each task has at most ``max_inflight / tasks`` requests under way; failed ones are
+    repeated with a growing pause.
+    """
 
-    def __init__(self, url: str, model: str, batch_size: int = 64, timeout: float = 60.0) -> None:
+    def __init__(self, url: str, model: str, *, batch_size: int = 64, max_inflight: int = 64, tasks: int = 8, retries: int = 4, timeout: float = 60.0) -> None:
         self.url, self.embedder_id, self.batch_size, self.timeout = url, model, batch_size, timeout
+        self.inflight, self.retries = max(1, max_inflight // tasks), retries
+
+    def _ask(self, texts: list[str]) -> list[list[float]]:
+        body = json.dumps({"model": self.embedder_id, "texts": texts}).encode()
+        for attempt in range(self.retries + 1):
+            try:
+                with urllib.request.urlopen(urllib.request.Request(self.url, body, {"Content-Type": "application/json"}), timeout=self.timeout) as reply:
+                    vectors = json.load(reply)["vectors"]
+                if len(vectors) != len(texts):
+                    raise ValueError("the endpoint gave another number of vectors")
+                return vectors
+            except (OSError, http.client.HTTPException, ValueError, KeyError):
+                if attempt == self.retries:
+                    raise
+                time.sleep(min(8.0, 0.05 * 2**attempt))
+        raise AssertionError
 
     def embed(self, df, text, out="vec"):
-        import json
-        import urllib.request
-
-        url, model, size, timeout = self.url, self.embedder_id, self.batch_size, self.timeout
+        ask, size, inflight = self._ask, self.batch_size, self.inflight
 
         @F.pandas_udf(VECTOR)
         def vectors(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-            for batch in texts:
-                got: list = []
-                for a in range(0, len(batch), size):
-                    body = json.dumps({"model": model, "texts": batch.iloc[a : a + size].fillna("").tolist()}).encode()
-                    with urllib.request.urlopen(urllib.request.Request(url, body, {"Content-Type": "application/json"}), timeout=timeout) as reply:
-                        got += json.load(reply)["vectors"]
-                yield pd.Series(got, dtype=object)
+            with ThreadPoolExecutor(inflight) as pool:
+                for batch in texts:
+                    given = batch.fillna("").tolist()
+                    parts = [given[a : a + size] for a in range(0, len(given), size)]
+                    yield pd.Series([v for part in pool.map(ask, parts) for v in part], dtype=object)
 
         return df.withColumn(out, vectors.asNondeterministic()(text))

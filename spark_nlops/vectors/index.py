@@ -5,27 +5,38 @@ from __future__ import annotations
 import json
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..staging import staged
 from .embed import Embedder
 
 
 def hyperplane_bucket(vec: Column, dim: int, planes: int, seed: int = 5) -> Column:
-    """Sign pattern of the vector against seeded random hyperplanes, as an integer below 2^planes."""
-    rng = np.random.default_rng(seed)
-    out = F.lit(0)
-    for i in range(planes):
-        normal = F.array(*[F.lit(float(x)) for x in rng.standard_normal(dim).round(6)])
-        side = F.aggregate(F.zip_with(vec, normal, lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
-        out = out + F.when(side >= 0, F.lit(1 << i)).otherwise(F.lit(0))
-    return out.cast("int")
+    """Sign pattern of the vector against seeded random hyperplanes, as an integer below 2^planes; null vectors give null."""
+    normals = np.random.default_rng(seed).standard_normal((planes, dim)).round(6)
+    powers = 1 << np.arange(planes)
+
+    @F.pandas_udf("int")
+    def bucket(vectors: pd.Series) -> pd.Series:
+        out = [None] * len(vectors)
+        given = [i for i, v in enumerate(vectors) if v is not None]
+        for a in range(0, len(given), 4096):
+            rows = given[a : a + 4096]
+            x = np.stack([np.asarray(vectors.iloc[i], dtype=float) for i in rows])
+            for i, code in zip(rows, ((x @ normals.T >= 0) @ powers).tolist()):
+                out[i] = code
+        return pd.Series(out, dtype="Int32")
+
+    return bucket(vec)
 
 
 def build_text_index(df: DataFrame, key: str, text: str, embedder: Embedder, path: str, *, planes: int = 4) -> None:
     """Embed a column once and store key and vector, partitioned by bucket; every row is indexed."""
     vectors = embedder.embed(df.select(F.col(key).cast("long").alias("key"), F.coalesce(text, F.lit("")).alias("text")), "text", "vec")
-    dim = embedder.dim
+    vectors = staged(vectors, "index")  # embedded once
+    dim = vectors.agg(F.max(F.size("vec"))).first()[0] or embedder.dim  # of the data: not every embedder knows it beforehand
     bucketed = vectors.select("key", "vec", hyperplane_bucket(F.col("vec"), dim, planes).alias("bucket"))
     bucketed.repartition("bucket").write.mode("overwrite").partitionBy("bucket").parquet(f"{path}/vectors")
     stamp = df.agg(F.count("*").alias("rows"), F.sum(F.xxhash64(key, text).cast("decimal(38,0)")).cast("string").alias("hash")).first()

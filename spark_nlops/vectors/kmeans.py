@@ -3,17 +3,31 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..stats.hashing import uniform
-from .similarity import l2
 
 
 def nearest_center(vec: Column, centers: list[list[float]]) -> Column:
-    """Struct (d, c) of the nearest centre, the lower number on ties."""
-    scored = [F.struct(F.round(l2(vec, F.array(*[F.lit(float(x)) for x in c])), 9).alias("d"), F.lit(i).alias("c")) for i, c in enumerate(centers)]
-    return F.array_min(F.array(*scored))
+    """Struct (d, c) of the nearest centre, the lower number on ties; null vectors give null. The centres are a small broadcast table."""
+    m = np.asarray(centers, dtype=float)
+
+    @F.pandas_udf("d double, c int")
+    def near(vectors: pd.Series) -> pd.DataFrame:
+        d, c = [None] * len(vectors), [None] * len(vectors)
+        given = [i for i, v in enumerate(vectors) if v is not None]
+        for a in range(0, len(given), 4096):
+            rows = given[a : a + 4096]
+            x = np.stack([np.asarray(vectors.iloc[i], dtype=float) for i in rows])
+            far = np.stack([np.round(np.sqrt(((x - center) ** 2).sum(axis=1)), 9) for center in m], axis=1)
+            best = far.argmin(axis=1)
+            for i, j, value in zip(rows, best.tolist(), far[np.arange(len(rows)), best].tolist()):
+                d[i], c[i] = value, j
+        return pd.DataFrame({"d": pd.Series(d, dtype=float), "c": pd.Series(c, dtype="Int32")})
+
+    return near(vec)
 
 
 def first_centers(df: DataFrame, key: str, vec: str, c: int, seed: int) -> list[list[float]]:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..staging import staged
 
-#: Bytes of right vectors that are shipped to the executors at a time.
+#: Bytes of vectors in a block: a right side up to this size is shipped whole.
 BLOCK_BYTES = 64_000_000
 
 
@@ -36,51 +36,70 @@ def _matrix(vectors: pd.Series, dim: int) -> np.ndarray:
     return np.stack([np.asarray(v, dtype=float) for v in vectors]) if len(vectors) else np.zeros((0, dim))
 
 
-def right_blocks(right: DataFrame, key: str, vec: str) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """The right side in blocks of bounded size, one collected after the other; keys are integers."""
-    rows = staged(right.select(F.col(key).cast("long").alias("k"), F.col(vec).alias("v")).filter("v IS NOT NULL"), "right")
-    n, dim = rows.agg(F.count("*"), F.max(F.size("v"))).first()
-    blocks = max(1, -(-n * (dim or 0) * 8 // BLOCK_BYTES))
-    for b in range(blocks):
-        part = (rows if blocks == 1 else rows.filter(F.pmod(F.xxhash64("k"), F.lit(blocks)) == b)).toPandas().sort_values("k", kind="stable")
-        yield part["k"].to_numpy(dtype=np.int64), _matrix(part["v"], dim or 0)
+def block_product(left: DataFrame, right: DataFrame, run: Callable[[pd.DataFrame, np.ndarray, np.ndarray], Iterator[pd.DataFrame]], schema: str, dims: int = 1, combine: Callable[[list[pd.DataFrame]], pd.DataFrame] = lambda frames: pd.concat(frames, ignore_index=True)) -> DataFrame:
+    """``run`` over all pairs of a part of the left side and a block of the right one (keys, matrix), whatever their sizes.
+
+    ``left`` has lk and vector columns, ``right`` k and v; keys are integers.  A right
+    side of at most ``BLOCK_BYTES`` is shipped whole, and left rows stay where they
+    are.  Beyond that both sides are dealt to blocks of that size on the executors,
+    and block pairs meet by their numbers: the driver sees two counts, and the plan
+    doesn't grow with the data.
+    """
+    right = staged(right.filter("v IS NOT NULL"), "right")
+    n, dim = right.agg(F.count("*"), F.max(F.size("v"))).first()
+    dim = dim or 0
+    blocks = max(1, -(-n * dim * 8 // BLOCK_BYTES))
+    if blocks == 1:
+        rows = right.toPandas().sort_values("k", kind="stable")
+        shipped = left.sparkSession.sparkContext.broadcast((rows["k"].to_numpy(dtype=np.int64), _matrix(rows["v"], dim)))
+
+        def whole(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            keys, matrix = shipped.value
+            for batch in batches:
+                found = [x for a in range(0, len(batch) if len(keys) else 0, 512) for x in run(batch.iloc[a : a + 512], keys, matrix)]
+                if found:
+                    yield combine(found)
+
+        return left.mapInPandas(whole, schema)
+    left = staged(left, "left")
+    lefts = max(1, -(-left.count() * dims * dim * 8 // BLOCK_BYTES))
+    a = left.withColumns({"i": F.pmod(F.xxhash64("lk"), F.lit(lefts)).cast("int"), "j": F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))})
+    b = right.withColumns({"j": F.pmod(F.xxhash64("k"), F.lit(blocks)).cast("int"), "i": F.explode(F.sequence(F.lit(0), F.lit(lefts - 1)))})
+
+    def cell(l: pd.DataFrame, r: pd.DataFrame) -> pd.DataFrame:
+        r = r.sort_values("k", kind="stable")
+        keys, matrix = r["k"].to_numpy(dtype=np.int64), _matrix(r["v"], dim)
+        found = [x for at in range(0, len(l) if len(keys) else 0, 512) for x in run(l.iloc[at : at + 512], keys, matrix)]
+        return combine(found) if found else pd.DataFrame(columns=[c.split()[0] for c in schema.split(", ")])
+
+    return a.groupBy("i", "j").cogroup(b.groupBy("i", "j")).applyInPandas(cell, schema)
+
+
+def _sides(left: DataFrame, right: DataFrame, left_key: str, left_vec: str, right_key: str, right_vec: str) -> tuple[DataFrame, DataFrame]:
+    return (
+        left.select(F.col(left_key).cast("long").alias("lk"), F.col(left_vec).alias("v")).filter("v IS NOT NULL"),
+        right.select(F.col(right_key).cast("long").alias("k"), F.col(right_vec).alias("v")),
+    )
 
 
 def similar_pairs(left: DataFrame, right: DataFrame, left_key: str, left_vec: str, right_key: str, right_vec: str, *, least: float | None = None, k: int | None = None) -> DataFrame:
     """(left_key, right_key, sim) as lk, rk, sim: pairs of at least ``least``, or each left row's k best (smaller right key on ties).
 
-    Left rows stay where they are; the right side is shipped block by block, and of
-    each block only what can still be in the result leaves the Arrow batch.
+    Of each block only what can still be in the result leaves the Arrow batch.
     """
     if (least is None) == (k is None):
         raise ValueError("give either least or k")
-    parts = []
-    slim = left.select(F.col(left_key).cast("long").alias("lk"), F.col(left_vec).alias("v")).filter("v IS NOT NULL")
-    for keys, matrix in right_blocks(right, right_key, right_vec):
-        if len(parts) == 1:
-            slim = staged(slim, "left")  # read once for each further block
-        shipped = left.sparkSession.sparkContext.broadcast((keys, matrix))
-
-        def run(batches: Iterator[pd.DataFrame], shipped=shipped) -> Iterator[pd.DataFrame]:
-            keys, matrix = shipped.value
-            for batch in batches:
-                for a in range(0, len(batch), 512):
-                    part = batch.iloc[a : a + 512]
-                    if not len(keys):
-                        continue
-                    sims = np.round(_matrix(part["v"], matrix.shape[1]) @ matrix.T, 9)
-                    if k is not None:
-                        order = np.argsort(-sims, axis=1, kind="stable")[:, :k]
-                        i = np.repeat(np.arange(len(part)), order.shape[1])
-                        j = order.reshape(-1)
-                    else:
-                        i, j = np.nonzero(sims >= least)
-                    yield pd.DataFrame({"lk": part["lk"].to_numpy()[i], "rk": keys[j], "sim": sims[i, j]})
-
-        parts.append(slim.mapInPandas(run, "lk long, rk long, sim double"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
+
+    def run(part: pd.DataFrame, keys: np.ndarray, matrix: np.ndarray) -> Iterator[pd.DataFrame]:
+        sims = np.round(_matrix(part["v"], matrix.shape[1]) @ matrix.T, 9)
+        if k is not None:
+            order = np.argsort(-sims, axis=1, kind="stable")[:, :k]
+            i, j = np.repeat(np.arange(len(part)), order.shape[1]), order.reshape(-1)
+        else:
+            i, j = np.nonzero(sims >= least)
+        yield pd.DataFrame({"lk": part["lk"].to_numpy()[i], "rk": keys[j], "sim": sims[i, j]})
+
+    out = block_product(*_sides(left, right, left_key, left_vec, right_key, right_vec), run, "lk long, rk long, sim double")
     if k is not None:
         best = Window.partitionBy("lk").orderBy(F.desc("sim"), "rk")
         out = out.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
@@ -89,23 +108,16 @@ def similar_pairs(left: DataFrame, right: DataFrame, left_key: str, left_vec: st
 
 def score_histogram(left: DataFrame, right: DataFrame, left_key: str, left_vec: str, right_key: str, right_vec: str, bins: int = 10_000) -> np.ndarray:
     """Counts of all pairs' similarities in equal bins of [-1, 1]; pairs are never rows."""
-    slim = left.select(F.col(left_key).cast("long").alias("lk"), F.col(left_vec).alias("v")).filter("v IS NOT NULL")
-    total = np.zeros(bins, dtype=np.int64)
-    for keys, matrix in right_blocks(right, right_key, right_vec):
-        shipped = left.sparkSession.sparkContext.broadcast(matrix)
 
-        def run(batches: Iterator[pd.DataFrame], shipped=shipped) -> Iterator[pd.DataFrame]:
-            counts = np.zeros(bins, dtype=np.int64)
-            for batch in batches:
-                for a in range(0, len(batch), 512):
-                    if len(shipped.value):
-                        sims = np.clip(np.round(_matrix(batch["v"].iloc[a : a + 512], shipped.value.shape[1]) @ shipped.value.T, 9), -1, 1)
-                        counts += np.bincount(np.minimum(((sims + 1) / 2 * bins).astype(int).reshape(-1), bins - 1), minlength=bins)
-            at = np.flatnonzero(counts)
-            yield pd.DataFrame({"bin": at, "n": counts[at]})
-
-        for r in slim.mapInPandas(run, "bin int, n long").groupBy("bin").agg(F.sum("n").alias("n")).collect():  # at most ``bins`` rows
-            total[r["bin"]] += r["n"]
+    def run(part: pd.DataFrame, keys: np.ndarray, matrix: np.ndarray) -> Iterator[pd.DataFrame]:
+        sims = np.clip(np.round(_matrix(part["v"], matrix.shape[1]) @ matrix.T, 9), -1, 1)
+        at, n = np.unique(np.minimum(((sims + 1) / 2 * bins).astype(int).reshape(-1), bins - 1), return_counts=True)
+        yield pd.DataFrame({"bin": at, "n": n})
+
+    total = np.zeros(bins, dtype=np.int64)
+    found = block_product(*_sides(left, right, left_key, left_vec, right_key, right_vec), run, "bin int, n long", combine=lambda frames: pd.concat(frames).groupby("bin", as_index=False)["n"].sum())
+    for r in found.groupBy("bin").agg(F.sum("n").alias("n")).collect():  # at most ``bins`` rows
+        total[r["bin"]] += r["n"]
     return total
 
 
