@@ -10,6 +10,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..models.base import ModelBackend
 from ..result import NLResult
@@ -36,6 +37,11 @@ def _probability(vec: str, w: np.ndarray) -> Column:
     return 1 / (1 + F.exp(-z))
 
 
+def _keys(rows: DataFrame, key: str, found: list) -> DataFrame:
+    """At most as many keys as the budget, as a table."""
+    return rows.sparkSession.createDataFrame([(x,) for x in found], T.StructType([T.StructField(key, rows.schema[key].dataType)]))
+
+
 def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend, *, key: str, vec: str, budget: int, batch: int = 50, seed: int = 0) -> NLResult:
     """df has a vector column; at most ``budget`` rows, collected batch by batch, are ever on the driver."""
     template = Template(template) if isinstance(template, str) else template
@@ -54,7 +60,7 @@ def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend,
         left = budget - len(known)
         if left <= 0 or todo.limit(1).count() == 0:
             break
-        open_rows = rows.filter(~F.col(key).isin(list(known)))
+        open_rows = rows.join(F.broadcast(_keys(rows, key, list(known))), key, "left_anti")
         if open_rows.limit(1).count() == 0:
             break
         size = min(batch, left)
@@ -67,7 +73,9 @@ def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend,
             todo = likely.unionByName(unsure).dropDuplicates([key])
     positive = [k for k, v in known.items() if v]
     predicted = F.lit(False) if w is None else (_probability(vec, w) >= 0.5)
-    out = rows.filter(F.col(key).isin(positive) | (predicted & ~F.col(key).isin(list(known)))) if known else rows.limit(0)
+    told = rows.join(F.broadcast(_keys(rows, key, positive)), key, "left_semi")
+    guessed = rows.join(F.broadcast(_keys(rows, key, list(known))), key, "left_anti").filter(predicted)
+    out = told.unionByName(guessed) if known else rows.limit(0)
     return NLResult(out.select(*df.columns), {"oracle": len(known), "embedding": rows.count()}, {"plan": "budget"})
 
 

@@ -77,6 +77,18 @@ class LookupModel(ModelBackend):
         return joined.withColumn(out, F.col("_value")).drop("_key", "_value")
 
 
+class LookupText(ModelBackend):
+    """Text from a table by the row's key, and a SQL expression's where the key isn't listed."""
+
+    def __init__(self, texts: DataFrame, key: str, value: str, otherwise: str = "cast(null as string)", model_id: str = "lookup-text") -> None:
+        self.texts = texts.select(F.col(key).alias("_key"), F.col(value).cast("string").alias("_value")).dropDuplicates(["_key"])
+        self.key, self.otherwise, self.model_id = key, otherwise, model_id
+
+    def text(self, df, template, out="text"):
+        joined = df.join(self.texts, df[self.key] == F.col("_key"), "left")
+        return joined.withColumn(out, F.coalesce("_value", F.expr(self.otherwise))).drop("_key", "_value")
+
+
 class NoisyModel(ModelBackend):
     """Another model whose boolean answers are flipped with a given rate, by a seeded hash of the key or the compared pair."""
 

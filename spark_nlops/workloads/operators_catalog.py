@@ -13,7 +13,7 @@ from ..baselines import budget_filter as budget
 from ..baselines import factcheck, rewriter, rowwise
 from ..baselines.compiled import guess_retrieve_rerank
 from ..functions import text as tx
-from ..models.rules import LookupModel, RuleModel
+from ..models.rules import LookupModel, LookupText, RuleModel
 from ..operators.cluster import grouping_objective, nl_classify, nl_cluster
 from ..operators.filter import nl_filter, route
 from ..operators.join import nl_join
@@ -106,15 +106,40 @@ def _html_sql(column: str) -> str:
     return f"trim(regexp_replace({out}, '\\s+', ' ', 'g'))"
 
 
-@query("join_page_document", f"SELECT page_id, doc_id FROM (SELECT page_id, {_html_sql('html')} AS body FROM pages) JOIN (SELECT doc_id, substr(trim(regexp_replace(text, '\\s+', ' ', 'g')), 1, 60) AS head FROM documents WHERE length(text) > 100) ON contains(body, head)")
+PAGES_SQL = f"SELECT page_id, doc_id FROM (SELECT page_id, {_html_sql('html')} AS body FROM pages) JOIN (SELECT doc_id, trim(regexp_replace(text, '\\s+', ' ', 'g')) AS whole FROM documents) ON contains(body, whole)"
+
+
+def page_bodies(s, d) -> DataFrame:
+    return staged(read_table(s, d, "pages").select("page_id", tx.html_to_text(F.col("html")).alias("body")), "pages")
+
+
+@query("join_page_document", PAGES_SQL)
 def _(s, d):
-    pages = read_table(s, d, "pages").select("page_id", tx.html_to_text(F.col("html")).alias("body"))
-    heads = docs(s, d, "doc_id", "text").filter("length(text) > 100").select("doc_id", F.substring(tx.squeeze(F.col("text")), 1, 60).alias("head"))
-    rule = RuleModel(predicate="contains(left_body, right_head)")
-    out = nl_join(staged(pages, "pages"), heads, "{body:left} was made from the document that begins {head:right}", rule, left_key="page_id", right_key="doc_id")
+    """Every page with every document whose whole text it holds, white space aside."""
+    wholes = docs(s, d, "doc_id", "text").select("doc_id", tx.squeeze(F.col("text")).alias("whole"))
+    rule = RuleModel(predicate="contains(left_body, right_whole)")
+    out = nl_join(page_bodies(s, d), wholes, "{body:left} was made from {whole:right}", rule, left_key="page_id", right_key="doc_id")
     return out.df.select("page_id", F.col("right_doc_id").alias("doc_id"))
 
 
+#: Characters at a text's head by which candidates meet in the rewritten rule.
+HEAD = 60
+
+
+@query("join_page_document_rewritten", PAGES_SQL)
+def _(s, d):
+    """The same pairs without a nested loop: heads of texts meet equal windows of pages by hash, whole texts verify; only texts shorter than a head meet all pages."""
+    bodies = page_bodies(s, d)
+    wholes = docs(s, d, "doc_id", "text").select("doc_id", tx.squeeze(F.col("text")).alias("whole")).filter("whole IS NOT NULL")
+    kinds = staged(wholes.withColumn("head", F.substring("whole", 1, HEAD)), "heads")
+    windows = bodies.select("page_id", F.explode(F.expr(f"CASE WHEN length(body) >= {HEAD} THEN array_distinct(transform(sequence(1, length(body) - {HEAD - 1}), i -> substring(body, i, {HEAD}))) END")).alias("head"))
+    heads = kinds.filter(F.length("whole") >= HEAD).select("head").distinct()
+    met = windows.join(heads, "head").join(kinds.filter(F.length("whole") >= HEAD), "head").select("page_id", "doc_id")
+    found = met.join(bodies, "page_id").join(kinds.select("doc_id", "whole"), "doc_id").filter("contains(body, whole)")
+    short = bodies.crossJoin(kinds.filter(F.length("whole") < HEAD).select("doc_id", "whole")).filter("contains(body, whole)")
+    return found.select("page_id", "doc_id").unionByName(short.select("page_id", "doc_id"))
+
+
 @query("self_join_copies", "SELECT doc_id, first_id FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY text) AS first_id FROM documents) WHERE doc_id > first_id")
 def _(s, d):
     """Copies of a text, each tied to the first one: one aggregation and one join by hash, no pairs within groups."""
@@ -339,11 +364,11 @@ def _(s, d):
     return junk_scaled(s, d).select("doc_id", F.round("q", 9).alias("q"))
 
 
-@query("proxy_scores_sketch", "SELECT doc_id, true AS near FROM documents")
+@query("proxy_scores_sketch", CHAIN_SQL + "SELECT doc_id, round(q, 9) AS q, true AS near FROM scaled")
 def _(s, d):
-    """The sketch's quantile is within 2 % of the exact one."""
+    """The exact quantile, and whether the sketch's is within 2 % of it."""
     exact = junk_scaled(s, d)
-    return calibrate.quantile_scale(exact, "score", "approx", mode="sketch").select("doc_id", (F.abs(F.col("approx") - F.col("q")) <= 0.02).alias("near"))
+    return calibrate.quantile_scale(exact, "score", "approx", mode="sketch").select("doc_id", F.round("q", 9).alias("q"), (F.abs(F.col("approx") - F.col("q")) <= 0.02).alias("near"))
 
 
 @query("weighted_sample_poisson", CHAIN_SQL + "SELECT doc_id, round(pi, 9) AS pi FROM drawn")
@@ -426,8 +451,16 @@ PAIR_SPEC = SampleSpec(min_rows=4000, weight_power=16.0, seed=3)
 PROJECTOR = RuleModel(project="text", model_id="identity")
 
 
-def contains_cascade(s, d, plan="auto", embedder=TRIGRAMS, spec=PAIR_SPEC, **more):
-    return _contains(s, d, "inner", plan=plan, embedder=embedder, projector=PROJECTOR, recall=TARGET, precision=TARGET, delta=DELTA, sample=spec, **more)
+def passage_projector(s, d, missing: float = 0.05) -> LookupText:
+    """Stands for a model that names the passage in a document: the first twenty words of one it holds; nothing for a share of these, by a seeded hash, and the document's own first words where there is none."""
+    held = w.contained_pairs(docs(s, d, "doc_id", "text"), read_table(s, d, "benchmark")).groupBy("doc_id").agg(F.min("item_id").alias("item_id"))
+    said = F.array_join(F.slice(F.split("text", r"\\s+"), 1, 20), " ")
+    known = held.filter(sampling.uniform(F.col("doc_id"), 21) >= missing).join(read_table(s, d, "benchmark"), "item_id").select("doc_id", said.alias("said"))
+    return LookupText(staged(known, "passages"), "doc_id", "said", "array_join(slice(split(text, '\\\\s+'), 1, 20), ' ')")
+
+
+def contains_cascade(s, d, plan="auto", embedder=TRIGRAMS, spec=PAIR_SPEC, projector=PROJECTOR, **more):
+    return _contains(s, d, "inner", plan=plan, embedder=embedder, projector=projector, recall=TARGET, precision=TARGET, delta=DELTA, sample=spec, **more)
 
 
 @query("join_cascade_meets_targets", MET_SQL)
@@ -436,7 +469,7 @@ def _(s, d):
     return met(s, out, w.contained_pairs(docs(s, d), read_table(s, d, "benchmark")), ["doc_id", "item_id"])
 
 
-@query("join_plan_costs", "SELECT true AS chosen_is_cheapest, true AS below_nested_loop")
+@query("join_plan_costs", "SELECT (SELECT count(*) FROM documents) * (SELECT count(*) FROM benchmark) AS pairs, (SELECT count(*) FROM documents) AS projections, true AS chosen_is_cheapest, true AS below_nested_loop")
 def _(s, d):
     """Both plans planned on one sample; the chosen one has the fewest calls and is cheaper than asking every pair."""
     got = contains_cascade(s, d)
@@ -444,7 +477,8 @@ def _(s, d):
     chosen = min(r.oracle_calls for r in reports)
     pairs = docs(s, d).count() * read_table(s, d, "benchmark").count()
     own = next((r.oracle_calls for r in reports if r.name == got.plan["plan"]), pairs)
-    return s.createDataFrame([(own == chosen or got.plan["plan"] == "reference", got.oracle_calls <= pairs + reports[0].sample)], "chosen_is_cheapest boolean, below_nested_loop boolean")
+    projections = next(r.projections for r in reports if r.name == "projected")
+    return s.createDataFrame([(pairs, projections, own == chosen or got.plan["plan"] == "reference", got.oracle_calls <= pairs + reports[0].sample)], "pairs long, projections long, chosen_is_cheapest boolean, below_nested_loop boolean")
 
 
 @query("classify_cascade_meets_target", "SELECT 'accuracy' AS metric, true AS met")
