@@ -40,7 +40,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read_table, slices, text_or_empty, trim_memory
+from .common import read_table, slices, small_batches, text_or_empty, trim_memory
 
 NONE = np.int32(2**31 - 1)
 #: Characters of text tokenised together; bounds a worker's memory.
@@ -301,6 +301,7 @@ def encode_documents(
     docs: DataFrame, *, key: str = "doc_id", text: str = "text", rank_path: str | None = None, pattern: str | None = None, keep_ids: bool = True
 ) -> DataFrame:
     """key, n_tokens, ids (if kept), ids_sha256 and decoded_sha256 of each whole text."""
+    small_batches(docs.sparkSession)
     path, default_pattern = default_vocabulary()
     shipped = docs.sparkSession.sparkContext.broadcast(vocabulary_bytes(rank_path or path))  # one file of fixed size
     pattern = pattern or default_pattern

@@ -16,6 +16,23 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Rows of whole texts that travel between Spark and a Python worker together.
+TEXT_ROWS = 1024
+
+
+def small_batches(spark: SparkSession) -> None:
+    """From now on the session's Arrow batches have at most ``TEXT_ROWS`` rows.
+
+    Texts are wide rows, and a batch is held several times (as rows, in Spark's Arrow
+    buffers, in the worker): the default of 10 000 rows makes that hundreds of MB for
+    each executor.  A runtime setting, which changes no result; smaller ones stay.
+    """
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(name, "10000"))
+    if now <= 0 or now > TEXT_ROWS:
+        spark.conf.set(name, str(TEXT_ROWS))
+
+
 def free_name(df: DataFrame, name: str) -> str:
     """The name, with underscores behind it until the table has no such column."""
     taken = set(map(str.lower, df.columns))

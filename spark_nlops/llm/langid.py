@@ -29,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc_remainder, read_table, text_or_empty, trim_memory
+from .common import crc_remainder, read_table, small_batches, text_or_empty, trim_memory
 
 ORDERS, BITS = 3, 15
 FEATURES = ORDERS << BITS
@@ -166,6 +166,7 @@ def train(
     docs: DataFrame, *, key: str = "doc_id", text: str = "text", lang: str = "lang", train_rows: int = 4000, epochs: int = 3, alpha: float = 0.3, beta: float = 1.0, l1: float = 0.002, l2: float = 0.001
 ) -> LanguageModel:
     """Learn from all given rows that have a key, a language and a letter; the weights from a sample of about train_rows."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col(key).alias("key"), text_or_empty(text).alias("text"), F.col(lang).cast("string").alias("lang")).filter(
         "key IS NOT NULL AND lang IS NOT NULL AND lang <> '' AND text RLIKE '\\\\p{L}'"
     )
@@ -202,6 +203,7 @@ def predict(docs: DataFrame, model: LanguageModel, *, text: str = "text", out: s
     """All columns and a struct column ``out`` (lang, score), which must not be a column yet; only the text goes to Python."""
     if out.lower() in map(str.lower, docs.columns):
         raise ValueError(f"the table has a column {out}")
+    small_batches(docs.sparkSession)
     shipped = docs.sparkSession.sparkContext.broadcast(model)  # FEATURES x (1 + languages) floats
 
     @F.pandas_udf("lang string, score double")

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import Stage, read_table, slices, text_or_empty, trim_memory
+from .common import Stage, read_table, slices, small_batches, text_or_empty, trim_memory
 from .graph import connected_components
 
 SEED, MAX_BITS = 42, 2
@@ -63,6 +63,7 @@ def majority(values: np.ndarray) -> int:
 
 def fingerprints(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
     """key and fingerprint (long, two's complement) of each whole text."""
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -207,6 +208,7 @@ def parity(grams: np.ndarray) -> np.ndarray:
 
 def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
     """doc, whole (hash of the set), n, sketch, parity and grams (sorted 32-bit shingle hashes) of each text."""
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:

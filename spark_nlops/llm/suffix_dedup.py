@@ -40,7 +40,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Stage, free_name, read_table, slices, text_or_empty, trim_memory
+from .common import Stage, free_name, read_table, slices, small_batches, text_or_empty, trim_memory
 
 LENGTH, GRAM = 200, 64
 #: Distinct pieces that are still expanded together; where an anchor has more, windows of a block, wide blocks first.
@@ -368,6 +368,7 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, stage: Stage | None
     """doc, mark, lows and highs (byte offsets of spans, unmerged) of the rows with repeats; docs has doc, mark, text."""
     if not 2 * GRAM <= length <= 2 * GRAM + 128:
         raise ValueError(f"length must be from {2 * GRAM} to {2 * GRAM + 128}")
+    small_batches(docs.sparkSession)
     stage = stage or Stage(docs.sparkSession, "suffix")
     pieces = stage.keep(_scan_pieces(docs, length), "pieces")
     seen = pieces.groupBy("anchor").agg(F.count("*").alias("n"), F.min("digest").alias("d1"), F.max("digest").alias("d2")).filter("n > 1")

@@ -31,7 +31,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Stage, read_table, text_or_empty, trim_memory
+from .common import Stage, read_table, small_batches, text_or_empty, trim_memory
 
 SEED, THRESHOLD = 5, 0.6
 BLOCK_BYTES = 32_000_000
@@ -229,6 +229,7 @@ def contamination(
     """
     if out.lower() in map(str.lower, docs.columns):
         raise ValueError(f"the table has a column {out}")
+    small_batches(docs.sparkSession)
     items = benchmark.select(F.col(item_key).alias("item"), text_or_empty(item_text).alias("text"))
     items = items if null_items else items.filter("item IS NOT NULL")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
