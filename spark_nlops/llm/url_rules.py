@@ -7,9 +7,11 @@ interval border carries the stack of rules that are active from there on.  Pages
 and borders are sorted together and each page takes over the last border's
 stack; the rules' paths are then matched within that stack.
 
-Pages are dealt to the sweeps in turn, never by host, so that a host with a third of all rows spreads evenly; the borders (two per rule) are
-repeated for each sweep.  The rule table is therefore limited to ``MAX_RULES``
-rows, and more rules are refused rather than dropped.
+Pages are dealt to the sweeps in turn, never by host, so that a host with a third
+of all rows spreads evenly.  The borders (at most two per rule) are repeated for
+each sweep; the number of sweeps follows the rows, and a sweep has at least
+``ROWS_A_BORDER`` rows for each border, so the copies of the borders stay a
+fraction of the rows for rule tables of any length.
 
 Defined results: null urls and urls without ``://`` have empty host and path and
 the default verdict; empty tables give empty tables; repeated rows are judged
@@ -24,7 +26,9 @@ from pyspark.sql import functions as F
 
 from .common import read_table, shuffle_width
 
-MAX_RULES = 200_000
+#: Rows of a sweep where the borders don't ask for more: what one task sorts with ease.
+SWEEP_ROWS = 1 << 20
+ROWS_A_BORDER = 8
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 RULE_TYPE = "array<struct<size:int,block:int,rule:string,path:string,verdict:string>>"
 
@@ -87,29 +91,37 @@ def interval_borders(rules: DataFrame) -> DataFrame:
     )
 
 
+def sweep_count(n_pages: int, n_rules: int, width: int) -> int:
+    """Sweeps for so many pages: the session's width while they are small, beyond that as many as keep them near ``SWEEP_ROWS``, fewer where borders would outweigh pages."""
+    rows = max(2 * n_rules * ROWS_A_BORDER, min(SWEEP_ROWS, -(-n_pages // width)), 1)
+    return max(1, -(-n_pages // rows))
+
+
 def judge_urls(pages: DataFrame, rules: DataFrame, *, key: str = "page_id", url: str = "url", default: str = "allow") -> DataFrame:
     """page key, host, path, the longest fitting rule (or null) and the verdict."""
     spark = pages.sparkSession
-    if rules.limit(MAX_RULES + 1).count() > MAX_RULES:
-        raise ValueError(f"more than {MAX_RULES} rules; borders are repeated per sweep, so split the rule table")
     width = shuffle_width(spark)
+    sweeps = sweep_count(pages.count(), rules.count(), width)
     rows = pages.select(
         F.col(key).alias("page_key"),
         url_host(F.col(url)).alias("host"),
         url_path(F.col(url)).alias("path"),
-        F.pmod(F.monotonically_increasing_id(), F.lit(width)).cast("int").alias("sweep"),
+        F.pmod(F.monotonically_increasing_id(), F.lit(sweeps)).cast("int").alias("sweep"),
     ).select("*", host_key(F.col("host")).alias("at"), F.lit(1).alias("kind"), F.lit(None).cast(RULE_TYPE).alias("stack"))
     marks = interval_borders(rules).select(
         F.lit(None).cast(pages.schema[key].dataType).alias("page_key"),
         F.lit("").alias("host"),
         F.lit("").alias("path"),
-        F.explode(F.sequence(F.lit(0), F.lit(width - 1))).alias("sweep"),
+        F.explode(F.sequence(F.lit(0), F.lit(sweeps - 1))).alias("sweep"),
         F.col("border").alias("at"),
         F.lit(0).alias("kind"),
         F.col("stack").cast(RULE_TYPE).alias("stack"),
     )
     sweep = Window.partitionBy("sweep").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    swept = rows.unionByName(marks).withColumn("active", F.last("stack", ignorenulls=True).over(sweep)).filter("kind = 1")
+    dealt = rows.unionByName(marks)
+    if sweeps > width:  # more tasks than the session's shuffles have, each with about one sweep
+        dealt = dealt.repartition(sweeps, "sweep")
+    swept = dealt.withColumn("active", F.last("stack", ignorenulls=True).over(sweep)).filter("kind = 1")
     fits = F.filter("active", lambda r: F.col("path").startswith(r["path"]))
     return swept.withColumn("best", F.array_max(fits)).select(
         F.col("page_key").alias(key), "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.verdict", F.lit(default)).alias("verdict")

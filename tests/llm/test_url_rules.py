@@ -31,3 +31,19 @@ def test_no_rules(spark):
     df = spark.createDataFrame([(1, "http://a.com/x")], "page_id long, url string")
     rows = U.judge_urls(df, U.rule_frame(spark, U.RULES).limit(0)).collect()
     assert tuple(rows[0]) == (1, "a.com", "/x", None, "allow")
+
+
+def test_sweeps_follow_rows_and_rules(spark, monkeypatch):
+    assert U.sweep_count(0, 5, 8) == 1
+    assert U.sweep_count(64_000, 5, 8) == 8
+    assert U.sweep_count(10**12, 5, 200) == -(-(10**12) // U.SWEEP_ROWS)
+    # copies of borders never outnumber an eighth of the pages, but for one sweep's
+    assert U.sweep_count(10**12, 10**7, 200) * 2 * 10**7 <= 10**12 // 8 + 2 * 10**7
+    rules = [(f"h{i}.example.com", f"/{i % 3}", "block" if i % 2 else "allow") for i in range(300)] + U.RULES
+    urls = URLS + [f"http://a.h{i * 7}.example.com/{i % 4}/x" for i in range(40)] + ["http://x.net/es/1"] * 30
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    for rows, a_border in ((1 << 20, 8), (5, 0)):  # one sweep for the borders' sake; more sweeps than the session has partitions
+        monkeypatch.setattr(U, "SWEEP_ROWS", rows)
+        monkeypatch.setattr(U, "ROWS_A_BORDER", a_border)
+        got = {r.page_id: tuple(r)[1:] for r in U.judge_urls(df, U.rule_frame(spark, rules)).collect()}
+        assert got == {i: slow(u, rules) for i, u in enumerate(urls)}
