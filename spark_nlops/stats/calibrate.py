@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from ..staging import staged
 
 
+#: A score with a larger share of all rows is hot: at most its inverse many are, and their rows are spread.
+HOT_SHARE = 0.005
+
 #: Steps of the quantile function that is read off a sketch.
 STEPS = 200
 
@@ -25,7 +28,8 @@ def quantile_scale(df: DataFrame, score: str, out: str = "scaled", *, mode: str
 
     Exact ranks need no global window: distinct scores are counted, range
     partitioned, summed within partitions, and the partitions' totals (one number
-    each) are carried over.  Null scores stay null.
+    each) are carried over.  Null scores stay null.  Rows of a hot score (a share above
+    ``HOT_SHARE``) meet as many copies of its rank as shuffles have partitions.
     """
     if mode == "sketch":
         # the quantile function is read off the sketch on a fixed grid and becomes a literal step function
@@ -50,4 +54,10 @@ def quantile_scale(df: DataFrame, score: str, out: str = "scaled", *, mode: str
         running += totals[part]
     within = F.sum("n").over(Window.partitionBy("part").orderBy("_value").rowsBetween(Window.unboundedPreceding, 0))
     ranks = placed.select("_value", ((within + F.element_at(F.create_map(*offsets), F.col("part"))) / F.lit(float(running))).alias(out))
-    return df.join(ranks, df[score] == ranks["_value"], "left").drop("_value")
+    hot = [r["_value"] for r in placed.filter(F.col("n") > HOT_SHARE * running).select("_value").collect()]  # at most 1 / HOT_SHARE
+    if not hot:
+        return df.join(ranks, df[score] == ranks["_value"], "left").drop("_value")
+    copies = max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions", "200")))
+    dealt = df.withColumn("_copy", F.when(F.col(score).isin(hot), F.pmod(F.monotonically_increasing_id(), F.lit(copies))).otherwise(F.lit(0)).cast("int"))
+    ranks = ranks.withColumn("_copy", F.explode(F.when(F.col("_value").isin(hot), F.sequence(F.lit(0), F.lit(copies - 1))).otherwise(F.array(F.lit(0)))))
+    return dealt.join(ranks, (dealt[score] == ranks["_value"]) & (dealt["_copy"] == ranks["_copy"]), "left").drop("_value", "_copy")

@@ -433,18 +433,29 @@ def _(s, d):
     return nl_filter(docs(s, d, "doc_id", "text"), w.JUNK, w.junk_oracle(), proxy=w.junk_proxy(), plan="proxy_only").df.select("doc_id")
 
 
-MET_SQL = "SELECT * FROM (VALUES ('precision', true), ('recall', true)) v(metric, met)"
+def met_sql(truth: str) -> str:
+    return f"SELECT metric, (SELECT count(*) FROM ({truth})) AS n_truth, met FROM (VALUES ('precision', true), ('recall', true)) v(metric, met)"
 
 
 def met(s, out: DataFrame, gold: DataFrame, keys: list[str], target: float = TARGET) -> DataFrame:
+    """The size of the truth, and whether precision and recall against it reach the target."""
+    gold = staged(gold.select(*keys).distinct(), "gold")
     r = measures.set_precision_recall(out, gold, keys).first()
-    return s.createDataFrame([("precision", r["precision"] >= target), ("recall", r["recall"] >= target)], "metric string, met boolean")
+    n = gold.count()
+    return s.createDataFrame([("precision", n, r["precision"] >= target), ("recall", n, r["recall"] >= target)], "metric string, n_truth long, met boolean")
 
 
-@query("filter_cascade_meets_targets", MET_SQL)
+@query("filter_cascade_meets_targets", CHAIN_SQL.rstrip() + """,
+found AS (SELECT y FROM routed WHERE route = 'accept' OR (route = 'ask' AND y))
+SELECT 'precision' AS metric, count(*) FILTER (y) AS hits, count(*) AS n_rows, true AS met FROM found
+UNION ALL SELECT 'recall', (SELECT count(*) FILTER (y) FROM found), count(*) FILTER (y), true FROM scaled""")
 def _(s, d):
-    gold = nl_filter(docs(s, d, "doc_id", "text"), w.JUNK, w.junk_oracle(), plan="reference").df
-    return met(s, junk_cascade(s, d, bound="exact").df, gold, ["doc_id"])
+    """Hits among the rows found and among the true ones under the normal bound; whether the exact bound meets both targets."""
+    gold = staged(nl_filter(docs(s, d, "doc_id", "text"), w.JUNK, w.junk_oracle(), plan="reference").df.select("doc_id"), "gold")
+    found = staged(junk_cascade(s, d).df.select("doc_id"), "found")
+    hits = found.join(gold, "doc_id", "left_semi").count()
+    counted = s.createDataFrame([("precision", hits, found.count()), ("recall", hits, gold.count())], "metric string, hits long, n_rows long")
+    return counted.join(met(s, junk_cascade(s, d, bound="exact").df, gold, ["doc_id"]).drop("n_truth"), "metric")
 
 
 PAIR_SPEC = SampleSpec(min_rows=4000, weight_power=16.0, seed=3)
@@ -463,7 +474,7 @@ def contains_cascade(s, d, plan="auto", embedder=TRIGRAMS, spec=PAIR_SPEC, proje
     return _contains(s, d, "inner", plan=plan, embedder=embedder, projector=projector, recall=TARGET, precision=TARGET, delta=DELTA, sample=spec, **more)
 
 
-@query("join_cascade_meets_targets", MET_SQL)
+@query("join_cascade_meets_targets", met_sql(PAIRS_SQL))
 def _(s, d):
     out = contains_cascade(s, d).df.select("doc_id", F.col("right_item_id").alias("item_id"))
     return met(s, out, w.contained_pairs(docs(s, d), read_table(s, d, "benchmark")), ["doc_id", "item_id"])
@@ -481,13 +492,14 @@ def _(s, d):
     return s.createDataFrame([(pairs, projections, own == chosen or got.plan["plan"] == "reference", got.oracle_calls <= pairs + reports[0].sample)], "pairs long, projections long, chosen_is_cheapest boolean, below_nested_loop boolean")
 
 
-@query("classify_cascade_meets_target", "SELECT 'accuracy' AS metric, true AS met")
+@query("classify_cascade_meets_target", f"SELECT group_label, count(*) AS n_truth, true AS met FROM ({CLASSIFY_SQL}) GROUP BY ALL")
 def _(s, d):
+    """Rows of each label by the reference, and whether the cascade's accuracy over all of them meets the target."""
     df = docs(s, d, "doc_id", "text")
     gold = nl_classify(df, LANGUAGE, list(STOPS), language_oracle(), plan="reference").df
     got = nl_classify(df, LANGUAGE, list(STOPS), language_oracle(), key="doc_id", text="text", embedder=UNIGRAMS, centers=label_centers(), accuracy=TARGET, delta=DELTA, sample=SampleSpec(min_rows=300)).df
     a = measures.accuracy(got, gold.withColumnRenamed("group_label", "truth"), "doc_id", "group_label", "truth").first()["accuracy"]
-    return s.createDataFrame([("accuracy", a >= TARGET)], "metric string, met boolean")
+    return gold.groupBy("group_label").agg(F.count("*").alias("n_truth")).withColumn("met", F.lit(a >= TARGET))
 
 
 # --- vectors ---------------------------------------------------------------------------
@@ -617,7 +629,7 @@ def _(s, d):
     return factcheck.operator_program(claims(s, d), docs(s, d, "doc_id", "text"), UNIGRAMS, SUPPORTED, FACT_K).df.select("claim_id")
 
 
-@query("cascade_factcheck", MET_SQL)
+@query("cascade_factcheck", met_sql(FACT_SQL))
 def _(s, d):
     args = (claims(s, d), docs(s, d, "doc_id", "text"), UNIGRAMS, SUPPORTED, FACT_K)
     gold = factcheck.operator_program(*args).df

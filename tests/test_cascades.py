@@ -13,7 +13,7 @@ from spark_nlops.stats import bounds, calibrate, cuts, sampling
 from spark_nlops.stats.hashing import uniform
 from spark_nlops.template import Template
 from spark_nlops.workloads import common as w
-from spark_nlops.workloads.studies import PROXIES, scored_junk, trial_table
+from spark_nlops.workloads.studies import PROXIES, JunkTrials
 
 
 def sample(scores, labels):
@@ -59,8 +59,9 @@ def test_route_boundaries(spark):
 @pytest.mark.parametrize("proxy", list(PROXIES))
 @pytest.mark.parametrize("delta", [0.2, 0.4])
 def test_failure_share_stays_below_delta(spark, sf01, proxy, delta):
-    q, y = scored_junk(spark, sf01, PROXIES[proxy])
-    trials = [trial_table(q, y, SampleSpec(min_rows=300, seed=i), 0.9, 0.9, delta, "exact") for i in range(100)]
+    setting = (0.9, delta, "exact")
+    trials = JunkTrials(spark, sf01, PROXIES[proxy], 100).judged([setting])[setting]
+    assert len(trials) == 100
     failed = np.mean([r < 0.9 or p < 0.9 for r, p, _ in trials])
     assert failed <= delta + 2 * math.sqrt(delta * (1 - delta) / 100)
 
@@ -68,9 +69,9 @@ def test_failure_share_stays_below_delta(spark, sf01, proxy, delta):
 def test_weaker_proxies_and_higher_targets_cost_more(spark, sf01):
     mean = {}
     for proxy in ("strong", "useless"):
-        q, y = scored_junk(spark, sf01, PROXIES[proxy])
-        for target in (0.6, 0.9):
-            mean[proxy, target] = np.mean([trial_table(q, y, SampleSpec(min_rows=300, seed=i), target, target, 0.2, "exact")[2] for i in range(20)])
+        settings = [(target, 0.2, "exact") for target in (0.6, 0.9)]
+        for (target, _, _), trials in JunkTrials(spark, sf01, PROXIES[proxy], 20).judged(settings).items():
+            mean[proxy, target] = np.mean([calls for _, _, calls in trials])
     assert mean["useless", 0.9] > mean["strong", 0.9] and mean["useless", 0.9] > mean["useless", 0.6] and mean["strong", 0.9] >= mean["strong", 0.6]
 
 
@@ -136,3 +137,13 @@ def test_draws_of_a_heavy_row_are_not_capped(spark):
     df = spark.createDataFrame([(1, 1.0)] + [(i, 0.0) for i in range(2, 500)], "doc_id long, s double")
     got = {r.doc_id: r for r in sampling.draw_with_replacement(df, "s", "doc_id", SampleSpec(min_rows=300)).collect()}
     assert got[1].rate > 100 and abs(got[1].draws - got[1].rate) < 6 * got[1].rate ** 0.5
+
+
+def test_quantiles_of_hot_scores(spark):
+    scores = [0.0] * 400 + [0.25] * 9 + [i / 1000 for i in range(300)] + [None] * 3
+    df = spark.createDataFrame(list(enumerate(scores)), "id long, s double").repartition(5)
+    got = {r.id: r.q for r in calibrate.quantile_scale(df, "s", "q").collect()}
+    known = [s for s in scores if s is not None]
+    assert len(got) == len(scores)
+    for i, s in enumerate(scores):
+        assert got[i] is None if s is None else abs(got[i] - sum(x <= s for x in known) / len(known)) < 1e-12
