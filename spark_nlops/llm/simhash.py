@@ -180,6 +180,8 @@ ALL_PAIRS = 32
 BLOCK = 1024
 #: 64-bit words of a set's parity bitmap.
 PARITY = 8
+#: 64-bit words of the bitmap that tells which texts are compared.
+MARKS = 1 << 20
 #: Texts whose shingles are counted to tell common shingles from rare ones, and the number of common ones told to all tasks.
 COUNTED, COMMON = 4_000, 200_000
 
@@ -206,8 +208,13 @@ def parity(grams: np.ndarray) -> np.ndarray:
     return np.packbits(bits.astype(np.uint8), bitorder="little").view("<i8")
 
 
+def _grams(values: np.ndarray) -> np.ndarray:
+    """The set's members as sorted 32-bit hashes."""
+    return np.unique((values >> np.uint64(32)).astype("<u4"))
+
+
 def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
-    """doc, whole (hash of the set), n, sketch, parity and grams (sorted 32-bit shingle hashes) of each text."""
+    """doc, whole (hash of the set), n, sketch and parity of each text; the sets themselves are not kept."""
     small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -216,13 +223,48 @@ def _sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
                 rows = []
                 for t in batch["text"].iloc[a:b]:
                     values = shingle_set(t, shingle)
-                    grams = np.unique((values >> np.uint64(32)).astype("<u4"))
-                    rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), len(grams), values[:SKETCH].view(np.int64), parity(grams), grams.tobytes()))
-                yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "n", "sketch", "parity", "grams"])})
+                    grams = _grams(values)
+                    rows.append((int(np.uint64(xxh64_intdigest(values.tobytes(), SEED)).view(np.int64)), len(grams), values[:SKETCH].view(np.int64), parity(grams)))
+                yield pd.DataFrame({"doc": batch["doc"].array[a:b]} | {c: [r[i] for r in rows] for i, c in enumerate(["whole", "n", "sketch", "parity"])})
         trim_memory()
 
     rows = docs.select(F.col(key).cast("long").alias("doc"), text_or_empty(text).alias("text"))
-    return rows.mapInPandas(run, "doc long, whole long, n int, sketch array<long>, parity array<long>, grams binary")
+    return rows.mapInPandas(run, "doc long, whole long, n int, sketch array<long>, parity array<long>")
+
+
+def _bit(name: str):
+    return F.pmod(F.xxhash64(F.lit(9), name), F.lit(64 * MARKS))
+
+
+def _compared(docs: DataFrame, key: str, text: str, shingle: int, wanted: DataFrame) -> DataFrame:
+    """rep, n and grams (sorted 32-bit shingle hashes) of at least the wanted keys (column rep).
+
+    Texts stay where they are: the keys are told as a bitmap of one size, whose
+    collisions let some more texts through.
+    """
+    words = wanted.select(_bit("rep").alias("bit")).groupBy(F.shiftright("bit", 6).alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit & 63 as int))")).alias("bits")).toPandas()
+    marks = np.zeros(MARKS, dtype=np.int64)
+    marks[words["at"].to_numpy(dtype=np.int64)] = words["bits"].to_numpy(dtype=np.int64)
+    shipped = docs.sparkSession.sparkContext.broadcast(marks.view(np.uint64))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        told = shipped.value
+        for batch in batches:
+            bit = batch["bit"].to_numpy(dtype=np.int64)
+            batch = batch[(told[bit >> 6] >> (bit & 63).astype(np.uint64)) & np.uint64(1) == 1]
+            for a, b in slices(batch["text"].map(len).tolist(), 4_000_000):
+                grams = [_grams(shingle_set(t, shingle)) for t in batch["text"].iloc[a:b]]
+                yield pd.DataFrame({"rep": batch["rep"].array[a:b], "n": [len(g) for g in grams], "grams": [g.tobytes() for g in grams]})
+        trim_memory()
+
+    rows = docs.filter(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("rep"), text_or_empty(text).alias("text"))
+    return rows.withColumn("bit", _bit("rep")).mapInPandas(run, "rep long, n int, grams binary")
+
+
+def _may_be_near(x, y, similarity: float):
+    """Whether the parity bitmaps leave room for the similarity: members in one set only are at most (1 - s) / (1 + s) of both lengths, and every bit that differs needs one."""
+    differ = sum((F.bit_count(x["parity"][i].bitwiseXOR(y["parity"][i])) for i in range(1, PARITY)), F.bit_count(x["parity"][0].bitwiseXOR(y["parity"][0])))
+    return differ <= F.lit((1 - similarity) / (1 + similarity)) * (x["n"] + y["n"]) + 1e-6
 
 
 def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> tuple[DataFrame, DataFrame]:
@@ -244,16 +286,14 @@ def _candidates(sets: DataFrame, similarity: float, stage: Stage) -> tuple[DataF
     pairs = led.unionByName(few).filter("x.rep <> y.rep").select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).filter(
         (F.least("x.n", "y.n") >= F.lit(similarity) * F.greatest("x.n", "y.n"))
     )
-    # members that are in one set only: at most (1 - s) / (1 + s) of both lengths, and every bit that differs needs one
-    differ = sum((F.bit_count(F.col("x.parity")[i].bitwiseXOR(F.col("y.parity")[i])) for i in range(1, PARITY)), F.bit_count(F.col("x.parity")[0].bitwiseXOR(F.col("y.parity")[0])))
-    near = pairs.filter(differ <= F.lit((1 - similarity) / (1 + similarity)) * (F.col("x.n") + F.col("y.n")) + 1e-6)
+    near = pairs.filter(_may_be_near(F.col("x"), F.col("y"), similarity))
     return near.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct(), members
 
 
-def _verified(pairs: DataFrame, marked: DataFrame, similarity: float) -> DataFrame:
+def _verified(pairs: DataFrame, grams: DataFrame, similarity: float) -> DataFrame:
     """The pairs (a, b) whose sets have at least the similarity."""
     ends = pairs.select("a", "b", F.explode(F.array("a", "b")).alias("rep"))
-    held = ends.join(marked.select(F.col("doc").alias("rep"), "grams"), "rep").groupBy("a", "b").agg(F.min("grams").alias("g1"), F.max("grams").alias("g2"))
+    held = ends.join(grams.select("rep", "grams"), "rep").groupBy("a", "b").agg(F.min("grams").alias("g1"), F.max("grams").alias("g2"))
 
     def verify(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -270,6 +310,33 @@ def _verified(pairs: DataFrame, marked: DataFrame, similarity: float) -> DataFra
     return held.mapInPandas(verify, "a long, b long")
 
 
+def _settled(pairs: DataFrame, known: DataFrame, grams: DataFrame, n: int, similarity: float, stage: Stage, name: str) -> DataFrame:
+    """Links (a, b) that give the components of all pairs (a, b) of the similarity, beside the known links.
+
+    A pair's sets are written to it twice over, so pairs are verified in parts of
+    about ``n``, the number of sets, whose shuffles are freed one after the other.
+    What earlier parts have joined is not verified again.
+    """
+    size = pairs.count()
+    parts = max(1, -(-size // max(n, 1)))
+    if parts == 1:
+        return stage.keep(_verified(pairs, grams, similarity), name)
+    found = None
+    for i in range(parts):
+        todo = pairs.filter(F.pmod(F.xxhash64(F.lit(7), "a", "b"), F.lit(parts)) == i)
+        if found is not None:
+            joined = stage.keep(connected_components(found.unionByName(known), stage), f"{name}_joined{i}")
+            for end in ("a", "b"):
+                todo = todo.join(joined.select(F.col("node").alias(end), F.col("component").alias(f"c{end}")), end, "left").withColumn(f"c{end}", F.coalesce(f"c{end}", end))
+            todo = todo.filter("ca <> cb").select("a", "b")
+        links = stage.keep(_verified(todo, grams, similarity), f"{name}{i}")
+        if i:
+            stage.drop(f"{name}_joined{i}")
+        found = links if found is None else found.unionByName(links)
+        stage.release()
+    return found
+
+
 def _common_shingles(texts: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
     """The commonest shingles of a bounded sample in order, and their counts. They only decide which order is cheap: prefixes are complete in any order."""
 
@@ -352,7 +419,7 @@ def _across(keys: DataFrame, similarity: float, stage: Stage) -> DataFrame:
     return few.unionByName(cells.mapInPandas(compare, "a long, b long")).distinct()
 
 
-def _links_across(marked: DataFrame, large: DataFrame, parts: DataFrame, similarity: float, stage: Stage) -> DataFrame | None:
+def _links_across(grams: DataFrame, parities: DataFrame, large: DataFrame, parts: DataFrame, similarity: float, stage: Stage) -> DataFrame | None:
     """Verified links (a, b) between members of large buckets that the links so far leave in different components; None if there is nothing to compare."""
     names = parts.select(F.col("node").alias("rep"), F.col("component").alias("known"))
     named = large.join(names, "rep", "left").select("value", "rep", F.coalesce("known", "rep").alias("component"))
@@ -361,22 +428,21 @@ def _links_across(marked: DataFrame, large: DataFrame, parts: DataFrame, similar
     n = members.count()
     if not n:
         return None
-    texts = members.join(marked.select(F.col("doc").alias("rep"), "n", "grams"), "rep")
-    texts = stage.keep(texts, "texts")
+    texts = stage.keep(members.join(grams, "rep"), "texts")
     keys = stage.keep(_prefixes(texts, similarity, _common_shingles(texts, n)), "tokens")
     pairs = stage.keep(_across(keys, similarity, stage), "across")
-    for name in ("texts", "tokens", "across_met"):
+    for name in ("tokens", "across_met"):
         stage.drop(name)
-    found, size = [], pairs.count()
-    if size > 8 * n:  # a random part joins most of what belongs together; the rest is compared where it is still apart
-        draw = F.pmod(F.xxhash64(F.lit(7), "a", "b"), F.lit(1_000_000)) < F.lit(int(8_000_000 * n / size) + 1)
-        found.append(stage.keep(_verified(pairs.filter(draw), marked, similarity), "across_first"))
-        joined = stage.keep(connected_components(found[0].unionByName(members.select(F.col("rep").alias("a"), F.col("component").alias("b"))), stage), "joined")
-        for end in ("a", "b"):
-            pairs = pairs.join(joined.select(F.col("node").alias(end), F.col("component").alias(f"c{end}")), end, "left").withColumn(f"c{end}", F.coalesce(f"c{end}", end))
-        pairs = pairs.filter(~draw & (F.col("ca") != F.col("cb"))).select("a", "b")
-    found.append(stage.keep(_verified(pairs, marked, similarity), "across_links"))
-    return found[0] if len(found) == 1 else found[0].unionByName(found[1])
+    stage.release()
+    held = parities.join(members.select("rep"), "rep", "left_semi").select("rep", F.struct("n", "parity").alias("set"))
+    for end in ("a", "b"):
+        pairs = pairs.join(held.select(F.col("rep").alias(end), F.col("set").alias(f"s{end}")), end)
+    near = stage.keep(pairs.filter(_may_be_near(F.col("sa"), F.col("sb"), similarity)).select("a", "b"), "across_near")
+    stage.drop("across")
+    known = members.filter("rep <> component").select(F.col("rep").alias("a"), F.col("component").alias("b"))
+    links = _settled(near, known, texts, n, similarity, stage, "across_links")
+    stage.drop("texts")
+    return links
 
 
 def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8, stage: Stage | None = None) -> DataFrame:
@@ -396,14 +462,19 @@ def similar_documents(docs: DataFrame, *, key: str = "doc_id", text: str = "text
     marked = stage.keep(_sets(docs, key, text, shingle), "sets")
     folded = marked.filter("doc IS NOT NULL").groupBy("whole").agg(F.min("doc").alias("rep"))
     sets = marked.join(folded, (marked["doc"] == folded["rep"]) & (marked["whole"] == folded["whole"]), "left_semi").dropDuplicates(["doc", "whole"]).withColumnRenamed("doc", "rep")
-    pairs, large = _candidates(sets.select("rep", "n", "sketch", "parity"), similarity, stage)
+    sets = sets.select("rep", "n", "sketch", "parity")
+    pairs, large = _candidates(sets, similarity, stage)
     pairs = stage.keep(pairs, "pairs")
     stage.drop("keys")
     stage.drop("met")
     stage.release()
-    links = stage.keep(_verified(pairs, marked, similarity), "links")
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("rep")).unionByName(large.select("rep"))
+    grams = stage.keep(_compared(docs, key, text, shingle, wanted), "grams")
+    links = _settled(pairs, pairs.limit(0), grams, grams.count(), similarity, stage, "links")
     parts = stage.keep(connected_components(links, stage), "parts")
-    more = _links_across(marked, large, parts, similarity, stage)
+    stage.release()
+    more = _links_across(grams, sets, large, parts, similarity, stage)
+    stage.drop("grams")
     if more is not None:
         parts = connected_components(links.unionByName(more), stage)
     named = folded.join(parts.select(F.col("node").alias("rep"), "component"), "rep", "left").select("whole", F.coalesce("component", "rep").alias("component"))

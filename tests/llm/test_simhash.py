@@ -182,3 +182,24 @@ def test_parities_bound_the_difference():
         y = np.unique(np.concatenate((x[: n // 2], y)))
         bits = np.bitwise_count((simhash.parity(x) ^ simhash.parity(y)).view(np.uint64)).sum()
         assert bits <= len(np.setxor1d(x, y))
+
+
+def test_sets_of_compared_texts_only_are_written_and_pairs_in_parts(spark, monkeypatch):
+    rng = random.Random(8)
+    words = [f"w{rng.random()}" for _ in range(200)]
+    near = [" ".join(words[:i] + ["x"] + words[i + 1 :]) for i in range(40)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(near)] + [(100 + i, f"apart {i} " + " ".join(f"{i}-{j}" for j in range(50))) for i in range(200)], "doc_id long, text string")
+    grams = simhash._compared(df, "doc_id", "text", 5, spark.range(40).withColumnRenamed("id", "rep")).cache()
+    assert {r.rep for r in grams.collect()} >= set(range(40)) and grams.count() < 50
+    pairs = spark.createDataFrame([(a, b) for a in range(40) for b in range(a + 1, 40)], "a long, b long")
+    sizes, verified = [], simhash._verified
+
+    def counted(pairs, *more):
+        sizes.append(pairs.count())
+        return verified(pairs, *more)
+
+    monkeypatch.setattr(simhash, "_verified", counted)
+    stage = simhash.Stage(spark, "test")
+    links = simhash._settled(pairs, pairs.limit(0), grams, 40, 0.8, stage, "links")
+    assert len(sizes) > 4 and max(sizes) <= 100 and sum(sizes) < 780
+    assert {(r.node, r.component) for r in simhash.connected_components(links, stage).collect()} == {(i, 0) for i in range(40)}
