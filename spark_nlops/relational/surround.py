@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.tables import read_rows, read_table, write_partitioned, write_rows
-from ..staging import shared_folder
+from ..staging import shared_folder, staged
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -135,9 +135,15 @@ def _(s, d):
 
 @rel("join_range", "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey AND b.p_size BETWEEN a.p_size - 1 AND a.p_size + 1")
 def _(s, d):
-    a = T(s, d, "part", "p_partkey", "p_brand", "p_size").select(F.col("p_partkey").alias("a"), F.col("p_brand").alias("brand"), F.col("p_size").alias("x"))
-    b = T(s, d, "part", "p_partkey", "p_brand", "p_size").select(F.col("p_partkey").alias("b"), F.col("p_brand").alias("brand"), F.col("p_size").alias("y"))
-    return a.join(b, "brand").filter("a < b AND y BETWEEN x - 1 AND x + 1").select("a", "b")
+    """Keys of one brand and size meet as arrays: blocks of 4096 keys pair up with those of the same and both neighbouring sizes, and only pairs that are listed become rows."""
+    place = Window.partitionBy("brand", "size").orderBy("key")
+    part = T(s, d, "part", "p_partkey", "p_brand", "p_size").filter("p_brand IS NOT NULL AND p_size IS NOT NULL AND p_partkey IS NOT NULL")
+    dealt = part.select(F.col("p_partkey").alias("key"), F.col("p_brand").alias("brand"), F.col("p_size").alias("size")).withColumn("block", F.floor((F.row_number().over(place) - 1) / 4096))
+    blocks = staged(dealt.groupBy("brand", "size", "block").agg(F.collect_list("key").alias("keys")), "blocks")
+    left = blocks.select("brand", F.explode(F.array(F.col("size") - 1, F.col("size"), F.col("size") + 1)).alias("size"), F.col("keys").alias("lefts"))
+    cells = left.join(blocks.select("brand", "size", F.col("keys").alias("rights")), ["brand", "size"]).filter(F.array_min("lefts") < F.array_max("rights"))
+    cells = cells.select("lefts", "rights").repartition(8 * s.sparkContext.defaultParallelism)
+    return cells.select(F.explode("lefts").alias("a"), "rights").select("a", F.explode("rights").alias("b")).filter("a < b")
 
 
 @rel("join_interval", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id < b.event_id AND b.ts BETWEEN a.ts - INTERVAL 10 MINUTE AND a.ts + INTERVAL 10 MINUTE")
