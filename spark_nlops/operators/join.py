@@ -17,6 +17,7 @@ from ..result import NLResult, SampleSpec
 from ..staging import staged
 from ..stats import cuts
 from ..template import Template
+from ..vectors.containment import containment_candidates
 from ..vectors.embed import Embedder
 from ..vectors.similarity import block_product, score_histogram, similar_pairs
 from .filter import route
@@ -41,6 +42,15 @@ def finish(left: DataFrame, right: DataFrame, matched: DataFrame, left_key: str,
     return tied.join(named, F.col("_rk") == F.col(f"right_{right_key}"), how).drop("_rk")
 
 
+def _pairs_in_question(left: DataFrame, right: DataFrame, oracle: ModelBackend, left_key: str, right_key: str) -> DataFrame | None:
+    """For rules that only hold where a left text contains a right one: the pairs (lk, rk) that can; None for all pairs."""
+    holds = getattr(oracle, "holds", None)
+    if holds is None:
+        return None
+    text, part = (c.removeprefix(p) for c, p in zip(holds, ("left_", "right_")))
+    return containment_candidates(left, right, left_key, text, right_key, part)
+
+
 @dataclass
 class JoinPlanReport:
     name: str
@@ -141,7 +151,7 @@ def nl_join(
     template.bind_pair(left, right)
     n1, n2 = left.count(), right.count()
     if plan == "reference" or n1 * n2 == 0:
-        asked = pair_rows(left, right, template, left_key, right_key)
+        asked = pair_rows(left, right, template, left_key, right_key, _pairs_in_question(left, right, oracle, left_key, right_key))
         matched = oracle.label(asked, template, "_label").filter("_label").select("lk", "rk")
         return NLResult(finish(left, right, matched, left_key, right_key, how), {"oracle": n1 * n2}, {"plan": "reference"})
     if recall is None and precision is None and (own := budget.current()) is not None:

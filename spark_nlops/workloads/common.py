@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..models.rules import RuleModel
+from ..vectors.containment import containment_candidates
 
 JUNK = "{text} is junk"
 TOXIC = "{text} is toxic"
@@ -34,10 +35,11 @@ def toxic_oracle() -> RuleModel:
 
 
 def contains_oracle() -> RuleModel:
-    return RuleModel(predicate="contains(left_text, right_text)", model_id="containment")
+    return RuleModel(predicate="contains(left_text, right_text)", model_id="containment", holds=("left_text", "right_text"))
 
 
 def contained_pairs(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The truth: doc_id, item_id of verbatim containment."""
-    right = items.select("item_id", F.col("text").alias("passage"))
-    return docs.select("doc_id", "text").crossJoin(right).filter(F.expr("contains(text, passage)")).select("doc_id", "item_id")
+    right = items.select(F.col("item_id").alias("rk"), F.col("text").alias("passage"))
+    met = containment_candidates(docs, items, "doc_id", "text", "item_id", "text")
+    return met.join(docs.select(F.col("doc_id").alias("lk"), "text"), "lk").join(right, "rk").select(F.col("lk").alias("doc_id"), F.col("rk").alias("item_id"), "text", "passage").filter(F.expr("contains(text, passage)")).select("doc_id", "item_id")
