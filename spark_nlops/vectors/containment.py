@@ -1,9 +1,10 @@
 """Candidates of a containment join without a nested loop: texts meet by hashes that a part and every text around it choose alike.
 
 Of each run of ``w`` windows of ``k`` bytes the one of the least hash is chosen.  A
-part of at least k + w - 1 bytes brings the choice of its first and its last run;
+part of at least k + w - 1 bytes brings the choices of a few runs from its first to its last;
 whatever text holds the part holds these runs and chooses the same.  So no pair is
-missed, and texts bring only the choices that some part has brought.
+missed.  Texts bring only the choices that some part has brought, pairs meet by the
+part's rarest choice, and the text must hold its others too.
 """
 
 from __future__ import annotations
@@ -19,6 +20,8 @@ from ..staging import staged
 
 #: Window and run lengths by least bytes of a part, longest first; parts below the last meet all texts.
 TIERS = ((60, 20, 41), (16, 8, 9), (4, 4, 1))
+#: Runs of a part, evenly spaced.
+RUNS = 8
 #: 64-bit words of the bitmap of the parts' choices.
 WORDS = 1 << 20
 _SLICE = 2_000_000
@@ -78,28 +81,30 @@ def containment_candidates(texts: DataFrame, parts: DataFrame, text_key: str, te
         for batch in batches:
             known = [t.encode() for t in batch["part"]]
             for a, b in _parts(known):
-                frame = pd.DataFrame({"h": batch["h"].array[a:b], "rk": batch["rk"].array[a:b], "size": batch["size"].array[a:b], "tier": -1, "first": 0, "last": 0})
+                frame = pd.DataFrame({"h": batch["h"].array[a:b], "rk": batch["rk"].array[a:b], "size": batch["size"].array[a:b], "tier": -1})
+                brings: list = [[]] * len(frame)
                 sizes, upper = frame["size"].to_numpy(), 1 << 62
                 for i, (least, k, w) in enumerate(TIERS):
                     mine = np.flatnonzero((sizes >= least) & (sizes < upper))
                     upper = least
                     if len(mine):
                         of, _, value = chosen([known[a + x] for x in mine], k, w)
-                        edge = np.flatnonzero(np.diff(of)) + 1
+                        start = np.flatnonzero(np.diff(of, prepend=-1))
+                        for x, low, n in zip(mine, start, np.diff(start, append=len(of))):
+                            brings[x] = np.unique(value[low + np.linspace(0, n - 1, RUNS).astype(np.int64)])
                         frame.loc[mine, "tier"] = i
-                        frame.loc[mine, "first"] = value[np.concatenate(([0], edge))]
-                        frame.loc[mine, "last"] = value[np.concatenate((edge - 1, [len(value) - 1]))]
+                frame["brings"] = brings
                 yield frame.drop(columns="size")
 
-    keys = staged(given.mapInPandas(brought, "h string, rk long, tier int, first long, last long"), "parts")
+    keys = staged(given.mapInPandas(brought, "h string, rk long, tier int, brings array<long>"), "parts")
     tiers = [r["tier"] for r in keys.select("tier").distinct().collect()]
     slim = texts.filter(F.col(text).isNotNull()).select(F.col(text_key).cast("long").alias("lk"), F.col(text).alias("text"))
     short = keys.filter("tier = -1").select("rk")
     found = slim.select("lk").crossJoin(short)
     wanted = [i for i in tiers if i >= 0]
-    if not wanted:
+    if not wanted:  # short parts alone, or none
         return found
-    bits = keys.filter("tier >= 0").select(F.explode(F.array("first", "last")).alias("value")).select(F.expr(f"cast(value & {64 * WORDS - 1} as int)").alias("bit"))
+    bits = keys.filter("tier >= 0").select(F.explode("brings").alias("value")).select(F.expr(f"cast(value & {64 * WORDS - 1} as int)").alias("bit"))
     words = bits.groupBy(F.shiftright("bit", 6).alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, bit & 63)")).alias("bits")).toPandas()
     marks = np.zeros(WORDS, dtype=np.int64)
     marks[words["at"].to_numpy(dtype=np.int64)] = words["bits"].to_numpy(dtype=np.int64)
@@ -118,8 +123,12 @@ def containment_candidates(texts: DataFrame, parts: DataFrame, text_key: str, te
                     yield pd.DataFrame({"lk": rows[a + of[hit]], "tier": i, "value": value[hit]}).drop_duplicates()
 
     hits = staged(slim.mapInPandas(met, "lk long, tier int, value long"), "met").distinct()
-    # a part that many rows share is met once
-    once = keys.filter("tier >= 0").groupBy("h", "tier", "first", "last").agg(F.min("rk").alias("n")).drop("n")
-    pairs = hits.withColumnRenamed("value", "first").join(once, ["tier", "first"])
-    pairs = pairs.join(hits.withColumnRenamed("value", "last"), ["lk", "tier", "last"], "left_semi")
-    return found.unionByName(pairs.join(keys.filter("tier >= 0").select("h", "rk"), "h").select("lk", "rk"))
+    # a part that many rows share is met once, by the choice that the fewest parts bring
+    once = keys.filter("tier >= 0").groupBy("h", "tier", "brings").agg(F.min("rk").alias("n")).drop("n")
+    each = once.select("h", "tier", F.explode("brings").alias("value"))
+    rare = each.join(each.groupBy("tier", "value").agg(F.count("*").alias("n")), ["tier", "value"]).groupBy("h").agg(F.min_by("value", F.struct("n", "value")).alias("value"))
+    held = hits.groupBy("lk", "tier").agg(F.collect_set("value").alias("values"))
+    pairs = hits.join(once.join(rare, "h"), ["tier", "value"]).join(held, ["lk", "tier"])
+    pairs = pairs.filter(F.size(F.array_except("brings", "values")) == 0).select("lk", "h")
+    pairs = pairs.join(keys.filter("tier >= 0").select("h", "rk"), "h").select("lk", "rk")
+    return found.unionByName(pairs) if -1 in tiers else pairs
