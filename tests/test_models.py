@@ -16,6 +16,7 @@ from spark_nlops.operators.filter import nl_filter
 from spark_nlops.operators.rank import nl_rank
 from spark_nlops.operators.reduce import nl_reduce
 from spark_nlops.result import SampleSpec
+from spark_nlops.stats.hashing import below, uniform
 from spark_nlops.template import Template
 from spark_nlops.vectors.embed import EndpointEmbedder, HashedNgrams, PrecomputedVectors
 from spark_nlops.vectors.index import build_text_index, load_text_index
@@ -164,3 +165,10 @@ def test_hashed_vectors_of_kmeans_rows(spark):
     got = df.select("k", nearest_center(F.col("v"), [[0.0, 0.0], [3.0, 3.0]]).alias("n")).orderBy("k").collect()
     assert (got[0].n.d, got[0].n.c) == (0.0, 0) and (got[1].n.d, got[1].n.c) == (1.0, 1) and got[2].n.c is None
     assert HashedNgrams().dim == 256
+
+
+@pytest.mark.parametrize("rate", [-1.0, 0.0, 1e-9, 0.02, 0.5, 1.0, 2.0])
+def test_draws_by_digits_are_those_of_uniform(spark, rate):
+    """Noise of compared pairs is read off the digits of the hash; every draw is the number's, and null for a null key."""
+    df = spark.range(20_000).selectExpr("CASE WHEN id > 0 THEN concat(id, '|', id * 7) END AS k")
+    assert df.filter(~(uniform(F.col("k"), 11) < rate).eqNullSafe(below(F.col("k"), 11, rate))).count() == 0
