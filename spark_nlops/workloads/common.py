@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..models.rules import RuleModel
+from ..staging import staged
 from ..vectors.containment import containment_candidates
 
 JUNK = "{text} is junk"
@@ -41,5 +42,5 @@ def contains_oracle() -> RuleModel:
 def contained_pairs(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The truth: doc_id, item_id of verbatim containment."""
     right = items.select(F.col("item_id").alias("rk"), F.col("text").alias("passage"))
-    met = containment_candidates(docs, items, "doc_id", "text", "item_id", "text")
+    met = staged(containment_candidates(docs, items, "doc_id", "text", "item_id", "text"), "met")
     return met.join(docs.select(F.col("doc_id").alias("lk"), "text"), "lk").join(right, "rk").select(F.col("lk").alias("doc_id"), F.col("rk").alias("item_id"), "text", "passage").filter(F.expr("contains(text, passage)")).select("doc_id", "item_id")
