@@ -7,6 +7,8 @@ the result is the labelled positives and the rows predicted positive.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -42,8 +44,11 @@ def _keys(rows: DataFrame, key: str, found: list) -> DataFrame:
     return rows.sparkSession.createDataFrame([(x,) for x in found], T.StructType([T.StructField(key, rows.schema[key].dataType)]))
 
 
-def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend, *, key: str, vec: str, budget: int, batch: int = 50, seed: int = 0) -> NLResult:
-    """df has a vector column; at most ``budget`` rows, collected batch by batch, are ever on the driver."""
+def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend, *, key: str, vec: str, budget: int, batch: int = 50, seed: int = 0, shown: Callable[[DataFrame], DataFrame] | None = None) -> NLResult:
+    """df has a vector column; at most ``budget`` rows, collected batch by batch, are ever on the driver.
+
+    ``shown`` gives the rows of a batch the columns that the oracle is shown, where df hasn't got them.
+    """
     template = Template(template) if isinstance(template, str) else template
     rows = staged(df, "budget")
     known: dict = {}
@@ -51,14 +56,17 @@ def budget_filter(df: DataFrame, template: str | Template, oracle: ModelBackend,
     todo = first_batch(rows, key, min(batch, budget), seed)
     w = None
     while True:
-        for r in oracle.label(todo, template, "_label").select(key, vec, "_label").collect():
+        if shown is not None:  # a batch is drawn once, then looked up
+            todo = shown(F.broadcast(rows.sparkSession.createDataFrame(todo.collect(), todo.schema)))
+        told = oracle.label(todo, template, "_label").select(key, vec, "_label").collect()
+        for r in told:
             known[r[key]] = bool(r["_label"])
             xs.append(list(r[vec]))
             ys.append(float(bool(r["_label"])))
         if len(set(ys)) == 2:
             w = _fit(np.array(xs), np.array(ys))
         left = budget - len(known)
-        if left <= 0 or todo.limit(1).count() == 0:
+        if left <= 0 or not told:
             break
         open_rows = rows.join(F.broadcast(_keys(rows, key, list(known))), key, "left_anti")
         if open_rows.limit(1).count() == 0:
@@ -88,8 +96,9 @@ def budget_join(left: DataFrame, right: DataFrame, template: str, oracle: ModelB
     l = staged(embedder.embed(left.select(left_key, F.coalesce(t.columns("left")[0], F.lit("")).alias("_t")), "_t", "lv").drop("_t"), "left")
     r = staged(embedder.embed(right.select(right_key, F.coalesce(t.columns("right")[0], F.lit("")).alias("_t")), "_t", "rv").drop("_t"), "right")
     near = similar_pairs(l, r, left_key, "lv", right_key, "rv", k=candidates).select("lk", "rk")
-    pairs = pair_rows(left, right, t, left_key, right_key, near)
-    described = pairs.join(l.withColumnRenamed(left_key, "lk"), "lk").join(r.withColumnRenamed(right_key, "rk"), "rk")
+    described = near.join(l.withColumnRenamed(left_key, "lk"), "lk").join(r.withColumnRenamed(right_key, "rk"), "rk")
     described = described.withColumn("vec", F.zip_with("lv", "rv", lambda a, b: a * b)).withColumn("pair", F.concat_ws("-", "lk", "rk")).drop("lv", "rv")
-    out = budget_filter(described, t, oracle, key="pair", vec="vec", budget=budget, batch=batch, seed=seed)
+    # texts join a batch, not all candidates
+    shown = lambda todo: pair_rows(left, right, t, left_key, right_key, todo)
+    out = budget_filter(described, t, oracle, key="pair", vec="vec", budget=budget, batch=batch, seed=seed, shown=shown)
     return NLResult(out.df.select("lk", "rk"), out.calls, {"plan": "budget join"})

@@ -174,15 +174,20 @@ def nl_join(
     names = {"direct": ["direct"], "projected": ["projected"], "auto": ["direct", "projected"]}[plan]
     text_l, text_r = template.columns("left")[0], template.columns("right")[0]
     right_v = staged(embedder.embed(right.select(right_key, F.coalesce(text_r, F.lit("")).alias("_t")), "_t", "vec").drop("_t"), "right")
-    left_v = left.select(left_key, F.coalesce(text_l, F.lit("")).alias("_t"))
-    vecs = []
+    own, vecs = F.coalesce(text_l, F.lit("")).alias("_t"), []
+    if "projected" in names:
+        wanted = Template(projection) if isinstance(projection, str) else (projection or Template("{" + text_l + "}"))
+        left_v = projector.text(left, wanted, "_guess").select(left_key, own, F.coalesce("_guess", F.lit("")).alias("_guess"))
+    else:
+        left_v = left.select(left_key, own)
     if "direct" in names:
         left_v = embedder.embed(left_v, "_t", "vec_direct")
         vecs.append("vec_direct")
-    if "projected" in names:
-        wanted = Template(projection) if isinstance(projection, str) else (projection or Template("{" + text_l + "}"))
-        guessed = projector.text(left, wanted, "_guess").select(F.col(left_key).alias("_k"), "_guess")
-        left_v = left_v.join(guessed, left_v[left_key] == F.col("_k"), "left").drop("_k").withColumn("_guess", F.coalesce("_guess", F.lit("")))
+    if names == ["direct", "projected"]:  # a guess that is the text itself has its vector
+        other = embedder.embed(left_v.withColumns({"_same": F.col("_guess") == F.col("_t"), "_other": F.when(F.col("_guess") == F.col("_t"), F.lit("")).otherwise(F.col("_guess"))}), "_other", "_vec_other")
+        left_v = other.withColumn("vec_projected", F.when(F.col("_same"), F.col("vec_direct")).otherwise(F.col("_vec_other")))
+        vecs.append("vec_projected")
+    elif "projected" in names:
         left_v = embedder.embed(left_v, "_guess", "vec_projected")
         vecs.append("vec_projected")
     left_v = staged(left_v.select(left_key, *vecs), "left")
